@@ -14,9 +14,10 @@ enough other text.
    pairs by construction). The frequent elements of a prefix are too common for that: all documents of such a block, and all
    members of a group, are compared with the least one of the block, the hub.
 4. Verification reads the shingles of candidate documents only (a bit filter of fixed size picks them) and counts exactly.
-5. Components of the links so far. What a block could still link are members of different components; these pairs are
-   expanded, unless their distances to the hub differ by more than the Jaccard distance of a link allows (the distance is a
-   metric), and verified too. So no link between different texts is lost, and no block of m near copies costs m * m pairs.
+5. Components of the links so far. What a block could still link are members of different components. Two members that link
+   must have a number of differences to their hub in common, for which :func:`differences` gives lower bounds, so a prefix
+   join over the differences finds these pairs; they are verified too. No link between different texts is lost, and a block of
+   m near copies costs far fewer than m * m pairs.
 
 Similarity is compared in integers: 100 * intersection >= percent * union. Hashes have 64 bits.
 
@@ -145,7 +146,7 @@ def _prefixes(docs: DataFrame, k: int, percent: int, frequent: np.ndarray, bits:
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """pairs (a, b) with ``same`` and ``distance`` of their sets."""
+    """pairs (a, b, hub) with ``same``; where a is the hub of b, with the prefixes of their differences."""
     spark = docs.sparkSession
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     words = spark.sparkContext.broadcast(bit_filter(ids, "id"))
@@ -166,16 +167,32 @@ def _verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFr
 
     def compare(it):
         for b in it:
-            link, far = [], []
-            for x, y in batches([b], ("set_a", "set_b")):
+            cols: list[list] = [[] for _ in range(3)]
+            for x, y, hub in batches([b], ("set_a", "set_b", "hub")):
                 x, y = np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")
                 inter = len(np.intersect1d(x, y, assume_unique=True))
-                union = len(x) + len(y) - inter
-                link.append(100 * inter >= percent * union)
-                far.append(1 - inter / union if union else 1.0)
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(link), pa.array(far, pa.float64())], ["a", "b", "same", "distance"])
+                same = 100 * inter >= percent * (len(x) + len(y) - inter)
+                for c, v in zip(cols, (same, *(differences(x, y, same, percent) if hub else (None, None))), strict=True):
+                    c.append(v)
+            lists = pa.list_(pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), b.column("hub"), pa.array(cols[0], pa.bool_()), pa.array(cols[1], lists), pa.array(cols[2], lists)], ["a", "b", "hub", "same", "near", "far"])
+
+    return both.select("a", "b", "hub", "set_a", "set_b").mapInArrow(compare, f"a {kind}, b {kind}, hub boolean, same boolean, near array<long>, far array<long>")
+
+
+def differences(hub: np.ndarray, x: np.ndarray, same: bool, percent: int) -> tuple[np.ndarray, np.ndarray | None]:
+    """Prefixes of the symmetric difference of a set and its hub, see point 5 above.
 
-    return both.select("a", "b", "set_a", "set_b").mapInArrow(compare, f"a {kind}, b {kind}, same boolean, distance double")
+    With A = x - hub and R = hub - x, |x n y| = |hub| - |R_x| - |R_y| + o, where o counts differences that x and y have in common.
+    A link of x and y, of which y is not linked to the hub, needs o >= a |A_x| + (1 - a) |R_x| with a = t / (1 + t); one of a
+    linked y and an x that is not linked needs (1 - 2 a) |hub| less, but 1 at least. Both are bounds for prefix filters over
+    the differences: added elements first, as few documents share them."""
+    gone, new = np.setdiff1d(hub, x, assume_unique=True), np.setdiff1d(x, hub, assume_unique=True)
+    delta = np.concatenate([new, gone]).view(np.int64)
+    base = percent * len(new) + 100 * len(gone)
+    need = max(1, -(-base // (100 + percent)))
+    weak = max(1, -(-(base - (100 - percent) * len(hub)) // (100 + percent)))
+    return delta[: len(delta) - need + 1], None if same else delta[: len(delta) - weak + 1]
 
 
 def jaccard_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT, max_frequent: int = MAX_FREQUENT) -> DataFrame:
@@ -219,25 +236,25 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     blocks = keys.select(F.explode("common").alias("e"), "g").join(many, "g", "left").select("e", F.coalesce("rep", "g").alias("rep"))
     blocks = blocks.union(many.select(F.xxhash64("g", F.lit("group")).alias("e"), "rep"))
     hubs = blocks.groupBy("e").agg(F.min("rep").alias("hub"))
-    blocks = stored(blocks.join(hubs, "e"), "blocks")  # e, rep, hub
-    to_hub = blocks.select(F.col("hub").alias("p"), F.col("rep").alias("q"))
-    pairs = near.union(to_hub).where("p <> q").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
+    to_hub = blocks.join(hubs, "e").where("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b"), F.lit(True).alias("hub"))
+    pairs = near.where("p <> q").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), F.lit(False).alias("hub"))
+    pairs = pairs.union(to_hub).groupBy("a", "b").agg(F.max("hub").alias("hub"))
     first = stored(_verified(docs, stored(pairs, "pairs"), k, percent), "verified")
 
-    # what blocks could still link: members of different components, near enough by their distances to the hub
+    # what blocks could still link: members of different components that share a difference to their hub
     links = first.where("same").select("a", "b")
     so_far = stored(components(links, "a", "b"), "components")
-    at = blocks.join(first.select(F.col("a").alias("hub"), F.col("b").alias("rep"), "distance"), ["hub", "rep"], "left")
-    at = at.join(so_far.select(F.col("rec_id").alias("rep"), F.col("component")), "rep", "left")
-    at = at.select("e", "rep", F.coalesce("component", "rep").alias("c"), F.coalesce("distance", F.lit(0.0)).alias("d"))
-    mixed_blocks = at.groupBy("e").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("e")
-    at = stored(at.join(mixed_blocks, "e", "left_semi"), "open")
-    reach = 1 - percent / 100 + 1e-9
-    x = at.withColumn("band", F.floor(F.col("d") / reach)).alias("x")
-    y = at.withColumn("band", F.explode(F.array(*(F.floor(F.col("d") / reach) + i for i in (-1, 0, 1))))).alias("y")
-    close = (F.col("x.e") == F.col("y.e")) & (F.col("x.band") == F.col("y.band")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.c") != F.col("y.c")) & (F.abs(F.col("x.d") - F.col("y.d")) <= reach)
-    rest = x.join(y, close).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct().join(first.select("a", "b"), ["a", "b"], "left_anti")
-    rest = stored(rest, "rest")
+    of = so_far.select(F.col("rec_id").alias("b"), F.col("component"))
+    at = first.where("hub").join(of, "b", "left").select(F.col("a").alias("h"), F.col("b").alias("rep"), "same", "near", "far", F.coalesce("component", "b").alias("c"))
+    open_hubs = at.groupBy("h").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("h")
+    at = stored(at.join(open_hubs, "h", "left_semi"), "open")
+    row = lambda df, c, name: df.select("h", F.explode(c).alias("e"), "rep", "c").alias(name)
+    on = (F.col("x.h") == F.col("y.h")) & (F.col("x.e") == F.col("y.e")) & (F.col("x.c") != F.col("y.c"))
+    apart = row(at.where("not same"), "near", "x").join(row(at.where("not same"), "near", "y"), on & (F.col("x.rep") < F.col("y.rep")))
+    across = row(at.where("same"), "near", "x").join(row(at.where("not same"), "far", "y"), on)
+    rest = apart.select("x.rep", F.col("y.rep").alias("other")).union(across.select("x.rep", F.col("y.rep").alias("other")))
+    rest = rest.select(F.least("rep", "other").alias("a"), F.greatest("rep", "other").alias("b")).distinct()
+    rest = stored(rest.join(first.select("a", "b"), ["a", "b"], "left_anti").withColumn("hub", F.lit(False)), "rest")
     if not rest.isEmpty():
         more = stored(_verified(docs, rest, k, percent), "verified2").where("same").select("a", "b")
         links = links.union(more)
