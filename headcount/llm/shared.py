@@ -1,4 +1,4 @@
-"""What the text operators share: shipping code to workers, shared storage, word splitting, hashing, bounded bit filters.
+"""What the text operators share: word splitting, hashing, bounded bit filters.
 
 Conventions that hold for all operators of this subpackage:
 
@@ -10,16 +10,13 @@ Conventions that hold for all operators of this subpackage:
 
 from __future__ import annotations
 
-import os
-import tempfile
-import zipfile
 from collections.abc import Iterator
-from pathlib import Path
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from headcount.sources.shipping import ship  # noqa: F401
 from headcount.sources.storage import shared_dir, stored  # noqa: F401
 
 #: The characters between words, fixed by the contract of the operators: space, tab, line feed, vertical tab, form feed,
@@ -27,22 +24,6 @@ from headcount.sources.storage import shared_dir, stored  # noqa: F401
 BLANKS = r"[\x20\x09-\x0D]"
 NOT_BLANK = r"[^\x20\x09-\x0D]"
 
-_ROOT = Path(__file__).resolve().parents[2]
-
-
-def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers that were started elsewhere."""
-    known = [Path(p).resolve() for p in os.environ.get("PYTHONPATH", "").split(os.pathsep) if p]
-    if _ROOT in known or Path.cwd().resolve() == _ROOT or getattr(spark.sparkContext, "_headcount_shipped", False):
-        return
-    target = Path(tempfile.mkdtemp()) / "headcount.zip"
-    with zipfile.ZipFile(target, "w") as z:
-        for p in sorted((_ROOT / "headcount").rglob("*.py")):
-            z.write(p, p.relative_to(_ROOT))
-    spark.sparkContext.addPyFile(str(target))  # Spark's own file server carries it to the executors
-    spark.sparkContext._headcount_shipped = True
-
-
 def let(value: Column, body) -> Column:
     """Evaluate ``value`` once per row and use it many times in ``body`` (Catalyst would inline and repeat it)."""
     return F.transform(F.array(value), body)[0]

@@ -6,20 +6,30 @@ encoding the whole text; the tests hold both against each other. The memory is b
 
 from __future__ import annotations
 
+from array import array
 from functools import lru_cache
 
-import numpy as np
-
 VOCABULARY = "byte_bpe_50k.json"
 
 
+def _byte_letters() -> dict[int, str]:
+    """The usual byte alphabet of byte-level BPE: visible Latin-1 characters stand for themselves, the other bytes for the
+    characters from 256 on, in order."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in own]
+    return {b: chr(b) for b in own} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
 class _Pieces(dict):
+    """Piece -> ids. A new piece goes to the tokenizer's model directly, without offsets, masks and pattern."""
+
     def __init__(self, tokenizer, limit: int):
         super().__init__()
-        self._encode, self._limit = tokenizer.encode, limit
+        self._model, self._limit, self._letters = tokenizer.model, limit, _byte_letters()
 
     def __missing__(self, piece: str) -> bytes:
-        ids = np.array(self._encode(piece, add_special_tokens=False).ids, "<u4").tobytes()
+        found = self._model.tokenize(piece.encode().decode("latin-1").translate(self._letters))
+        ids = array("I", [t.id for t in found]).tobytes()
         if len(self) < self._limit:
             self[piece] = ids
         return ids
