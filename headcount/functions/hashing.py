@@ -30,8 +30,11 @@ def affine(x: Column, a: int, b: int) -> Column:
 def minhash(tokens: Texts, b: int, seed: int = 42) -> Column:
     """b independent minima of a set of portable numbers (null for an empty set)."""
     t = col(tokens)
-    minima = [F.array_min(F.transform(t, lambda x, c=c: affine(x, *c))) for c in coefficients(seed, b)]
-    return F.when(F.size(t) > 0, F.array(*minima))
+
+    def least(a: int, c: int) -> Column:
+        return F.array_min(F.transform(t, lambda x: affine(x, a, c)))
+
+    return F.when(F.size(t) > 0, F.array(*(least(*c) for c in coefficients(seed, b))))
 
 
 def one_permutation(tokens: Texts, b: int, seed: int = 42) -> Column:

@@ -78,8 +78,11 @@ def combined_set(text: Texts, k: int = 2) -> Column:
 
 def field_grams(fields: dict[str, Texts], k: int = 2) -> Column:
     """Grams of each field under the field's name, so that equal strings in different fields differ."""
-    parts = [F.transform(char_grams(normalise(c), k), lambda x, n=name: F.concat(F.lit(f"{n}:"), x)) for name, c in fields.items()]
-    return F.flatten(F.array(*parts))
+
+    def tagged(name: str, c: Texts) -> Column:
+        return F.transform(char_grams(normalise(c), k), lambda x: F.concat(F.lit(f"{name}:"), x))
+
+    return F.flatten(F.array(*(tagged(*f) for f in fields.items())))
 
 
 def token_number(token: Column) -> Column:
