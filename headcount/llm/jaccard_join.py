@@ -10,8 +10,8 @@ enough other text.
    broadcast. The order only steers the work; results do not depend on it.
 2. Sets. Documents with equal sets collapse into one representative, representatives with equal prefix and size into one
    group, whose least member is its key. Both steps aggregate before they shuffle.
-3. Candidates. Groups that share a prefix element of at most ``frequent`` sets are paired if their sizes allow a link (few
-   pairs by construction). The frequent elements of a prefix are too common for that: all documents of such a block, and all
+3. Candidates. Groups that share prefix elements of at most ``frequent`` sets are paired if their sizes allow a link and
+   they share as many as a link needs (few pairs by construction). The frequent elements of a prefix are too common for that: all documents of such a block, and all
    members of a group, are compared with the least one of the block, the hub.
 4. Verification reads the shingles of candidate documents only (a bit filter of fixed size picks them) and counts exactly.
 5. Components of the links so far. What a block could still link are members of different components. Two members that link
@@ -219,13 +219,22 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     reps = full.groupBy("n", "pre", "sig", "sig2").agg(F.min("doc_id").alias("rep"))
     groups = full.groupBy("n", "pre").agg(F.min("doc_id").alias("g"))
     member = stored(reps.join(groups, ["n", "pre"]), "members")  # n, pre, sig, sig2, rep, g
-    keys = full.join(groups.select(F.col("g").alias("doc_id")).distinct(), "doc_id", "left_semi").select(F.col("doc_id").alias("g"), "n", "rare", "common").dropDuplicates(["g"])
+    keys = full.join(groups.select(F.col("g").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    # n and the number of frequent elements of the prefix share a long: it is sent once per element
+    keys = keys.select(F.col("doc_id").alias("g"), (F.col("n") * 2**31 + F.size("common")).alias("nh"), "rare", "common")
 
-    # rare elements: all pairs of groups that share one
-    el = keys.select(F.explode("rare").alias("e"), "g", "n")
+    # rare elements: all pairs of groups that share enough of them
+    el = keys.select(F.explode("rare").alias("e"), "g", "nh")
     x, y = el.alias("x"), el.alias("y")
-    fits = (F.least("x.n", "y.n") * 100 >= F.greatest("x.n", "y.n") * percent) & (F.col("x.g") < F.col("y.g"))
-    shared = x.join(y, (F.col("x.e") == F.col("y.e")) & fits).select(F.col("x.g").alias("ga"), F.col("y.g").alias("gb")).distinct()
+    n = lambda c: F.shiftright(c, 31)
+    fits = (F.least(n("x.nh"), n("y.nh")) * 100 >= F.greatest(n("x.nh"), n("y.nh")) * percent) & (F.col("x.g") < F.col("y.g"))
+    shared = x.join(y, (F.col("x.e") == F.col("y.e")) & fits)
+    shared = shared.groupBy(F.col("x.g").alias("ga"), F.col("y.g").alias("gb")).agg(F.count("*").alias("c"), F.first("x.nh").alias("na"), F.first("y.nh").alias("nb"))
+    # With o common elements at least, the k-th of them has a rank of k + n - o at most in either set, so the prefixes share at
+    # least o - max(ceil(t n)) + 1 elements; the frequent ones among them are not counted here and are given away.
+    least = F.ceil((n("na") + n("nb")) * percent / (100 + percent) - 1e-9) - F.greatest(*(F.ceil(n(c) * percent / 100 - 1e-9) for c in ("na", "nb"))) + 1
+    given = F.least(F.col("na").bitwiseAND(2**31 - 1), F.col("nb").bitwiseAND(2**31 - 1))
+    shared = shared.where(F.col("c") >= least - given).select("ga", "gb")
     # members of groups that are not alone; most groups are
     size = member.groupBy("g").agg(F.count("*").alias("m")).where("m > 1")
     many = member.join(size, "g", "left_semi").select("g", "rep")

@@ -37,7 +37,7 @@ def text_bytes(df: DataFrame, *cols: str, text: str = "text") -> DataFrame:
 class WordHash(dict):
     """Word -> 63-bit hash, remembered for as many words as ``limit``."""
 
-    def __init__(self, limit: int = 400_000):
+    def __init__(self, limit: int = 150_000):
         import xxhash
 
         super().__init__()
@@ -99,10 +99,12 @@ def gram_hashes(a: np.ndarray, k: int) -> np.ndarray:
     return mixed(done)
 
 
-def batches(it, columns: tuple[str, ...]) -> Iterator[tuple]:
-    """Rows of Arrow batches as tuples of Python values."""
+def batches(it, columns: tuple[str, ...], at_once: int = 256) -> Iterator[tuple]:
+    """Rows of Arrow batches as tuples of Python values, a few at a time, so that texts are not held twice."""
     for b in it:
-        yield from zip(*(b.column(c).to_pylist() for c in columns), strict=True)
+        cols = [b.column(c) for c in columns]
+        for start in range(0, b.num_rows, at_once):
+            yield from zip(*(c.slice(start, at_once).to_pylist() for c in cols), strict=True)
 
 
 # --- a bit filter of fixed size: says "surely not" or "perhaps"; it only saves work, results never depend on it --------------------
