@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from headcount.functions.shingles import PRIME, col, jaccard
+from headcount.functions.shingles import PRIME, col, jaccard, let
 
 # --- bucket tables ---------------------------------------------------------------------------------------------------
 
@@ -25,11 +25,13 @@ def fold(minima: list[Column], table: int, mode: str = "native") -> Column:
 
 def meta_keys(sig: Column | str, k: int, tables: int, address_range: int | None = None, mode: str = "native") -> Column:
     """L keys of K minima each; a range folds them further, which can only add pairs."""
-    s = col(sig)
-    keys = [fold([F.get(s, t * k + i) for i in range(k)], t, mode) for t in range(tables)]
-    if address_range:
-        keys = [F.pmod(x, F.lit(address_range).cast("long")) for x in keys]
-    return F.when(s.isNotNull(), F.array(*keys))
+    def keys(s: Column) -> Column:
+        out = [fold([F.get(s, t * k + i) for i in range(k)], t, mode) for t in range(tables)]
+        if address_range:
+            out = [F.pmod(x, F.lit(address_range).cast("long")) for x in out]
+        return F.array(*out)
+
+    return F.when(col(sig).isNotNull(), let(col(sig), keys))  # evaluated once, not once per minimum
 
 
 def bucket_table(df: DataFrame, id_col: str, keys: str = "keys") -> DataFrame:
