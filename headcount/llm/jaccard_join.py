@@ -167,32 +167,32 @@ def _verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFr
 
     def compare(it):
         for b in it:
-            cols: list[list] = [[] for _ in range(3)]
+            cols: list[list] = [[] for _ in range(4)]
             for x, y, hub in batches([b], ("set_a", "set_b", "hub")):
                 x, y = np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")
                 inter = len(np.intersect1d(x, y, assume_unique=True))
                 same = 100 * inter >= percent * (len(x) + len(y) - inter)
-                for c, v in zip(cols, (same, *(differences(x, y, same, percent) if hub else (None, None))), strict=True):
+                for c, v in zip(cols, (same, *(differences(x, y, same, percent) if hub else (None, None, None))), strict=True):
                     c.append(v)
             lists = pa.list_(pa.int64())
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), b.column("hub"), pa.array(cols[0], pa.bool_()), pa.array(cols[1], lists), pa.array(cols[2], lists)], ["a", "b", "hub", "same", "near", "far"])
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), b.column("hub"), pa.array(cols[0], pa.bool_()), *(pa.array(c, lists) for c in cols[1:])], ["a", "b", "hub", "same", "near", "far", "sizes"])
 
-    return both.select("a", "b", "hub", "set_a", "set_b").mapInArrow(compare, f"a {kind}, b {kind}, hub boolean, same boolean, near array<long>, far array<long>")
+    return both.select("a", "b", "hub", "set_a", "set_b").mapInArrow(compare, f"a {kind}, b {kind}, hub boolean, same boolean, near array<long>, far array<long>, sizes array<long>")
 
 
-def differences(hub: np.ndarray, x: np.ndarray, same: bool, percent: int) -> tuple[np.ndarray, np.ndarray | None]:
-    """Prefixes of the symmetric difference of a set and its hub, see point 5 above.
+def differences(hub: np.ndarray, x: np.ndarray, same: bool, percent: int) -> tuple[np.ndarray, np.ndarray | None, list[int]]:
+    """Prefixes of the symmetric difference of a set and its hub, see point 5 above, and [|hub|, |A|, |R|, need, weak].
 
-    With A = x - hub and R = hub - x, |x n y| = |hub| - |R_x| - |R_y| + o, where o counts differences that x and y have in common.
-    A link of x and y, of which y is not linked to the hub, needs o >= a |A_x| + (1 - a) |R_x| with a = t / (1 + t); one of a
+    With A = x - hub and R = hub - x, |x n y| = |hub| - |R_x| - |R_y| + o, where o counts differences that x and y have in
+    common. A link of x and y, of which y is not linked to the hub, needs o > a |A_x| + (1 - a) |R_x| with a = t / (1 + t); one of a
     linked y and an x that is not linked needs (1 - 2 a) |hub| less, but 1 at least. Both are bounds for prefix filters over
     the differences: added elements first, as few documents share them."""
     gone, new = np.setdiff1d(hub, x, assume_unique=True), np.setdiff1d(x, hub, assume_unique=True)
     delta = np.concatenate([new, gone]).view(np.int64)
     base = percent * len(new) + 100 * len(gone)
-    need = max(1, -(-base // (100 + percent)))
+    need = base // (100 + percent) + 1
     weak = max(1, -(-(base - (100 - percent) * len(hub)) // (100 + percent)))
-    return delta[: len(delta) - need + 1], None if same else delta[: len(delta) - weak + 1]
+    return delta[: len(delta) - need + 1], None if same else delta[: len(delta) - weak + 1], [len(hub), len(new), len(gone), need, weak]
 
 
 def jaccard_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT, max_frequent: int = MAX_FREQUENT) -> DataFrame:
@@ -254,15 +254,26 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     links = first.where("same").select("a", "b")
     so_far = stored(components(links, "a", "b"), "components")
     of = so_far.select(F.col("rec_id").alias("b"), F.col("component"))
-    at = first.where("hub").join(of, "b", "left").select(F.col("a").alias("h"), F.col("b").alias("rep"), "same", "near", "far", F.coalesce("component", "b").alias("c"))
+    at = first.where("hub").join(of, "b", "left").select(F.col("a").alias("h"), F.col("b").alias("rep"), "same", "near", "far", "sizes", F.coalesce("component", "b").alias("c"))
     open_hubs = at.groupBy("h").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("h")
     at = stored(at.join(open_hubs, "h", "left_semi"), "open")
-    row = lambda df, c, name: df.select("h", F.explode(c).alias("e"), "rep", "c").alias(name)
-    on = (F.col("x.h") == F.col("y.h")) & (F.col("x.e") == F.col("y.e")) & (F.col("x.c") != F.col("y.c"))
-    apart = row(at.where("not same"), "near", "x").join(row(at.where("not same"), "near", "y"), on & (F.col("x.rep") < F.col("y.rep")))
-    across = row(at.where("same"), "near", "x").join(row(at.where("not same"), "far", "y"), on)
-    rest = apart.select("x.rep", F.col("y.rep").alias("other")).union(across.select("x.rep", F.col("y.rep").alias("other")))
-    rest = rest.select(F.least("rep", "other").alias("a"), F.greatest("rep", "other").alias("b")).distinct()
+
+    def row(which, prefix: str, place: int, name: str) -> DataFrame:
+        size = lambda i: F.get("sizes", F.lit(i))
+        return at.where(which).select("h", F.explode(prefix).alias("e"), "rep", "c", F.struct(size(0).alias("hub"), size(1).alias("new"), size(2).alias("gone"), size(place).alias("need")).alias("v")).alias(name)
+
+    def sharing(x: DataFrame, y: DataFrame, more) -> DataFrame:
+        """Pairs that share as many differences in their prefixes as their link needs: by the ranks of common elements, the
+        number needed by the pair, less the larger of the numbers that the prefixes are made for, plus 1."""
+        on = (F.col("x.h") == F.col("y.h")) & (F.col("x.e") == F.col("y.e")) & (F.col("x.c") != F.col("y.c")) & more
+        g = x.join(y, on).groupBy("x.h", F.col("x.rep").alias("p"), F.col("y.rep").alias("q")).agg(F.count("*").alias("n"), F.first("x.v").alias("v"), F.first("y.v").alias("w"))
+        both = 2 * F.col("v.hub") - F.col("v.gone") - F.col("w.gone") + F.col("v.new") + F.col("w.new")
+        needed = F.ceil(both * percent / (100 + percent) - 1e-9) - F.col("v.hub") + F.col("v.gone") + F.col("w.gone")
+        return g.where(F.col("n") >= needed - F.greatest("v.need", "w.need") + 1).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"))
+
+    apart = sharing(row(~F.col("same"), "near", 3, "x"), row(~F.col("same"), "near", 3, "y"), F.col("x.rep") < F.col("y.rep"))
+    across = sharing(row(F.col("same"), "near", 3, "x"), row(~F.col("same"), "far", 4, "y"), F.lit(True))
+    rest = apart.union(across).distinct()
     rest = stored(rest.join(first.select("a", "b"), ["a", "b"], "left_anti").withColumn("hub", F.lit(False)), "rest")
     if not rest.isEmpty():
         more = stored(_verified(docs, rest, k, percent), "verified2").where("same").select("a", "b")
