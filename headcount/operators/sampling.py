@@ -29,14 +29,14 @@ def meta_keys(sig: Column | str, k: int, tables: int, address_range: int | None
         out = [fold([F.get(s, t * k + i) for i in range(k)], t, mode) for t in range(tables)]
         if address_range:
             out = [F.pmod(x, F.lit(address_range).cast("long")) for x in out]
-        return F.array(*out)
+        return F.when(s.isNotNull(), F.array(*out))
 
-    return F.when(col(sig).isNotNull(), let(col(sig), keys))  # evaluated once, not once per minimum
+    return let(col(sig), keys)  # evaluated once, not once per minimum
 
 
 def bucket_table(df: DataFrame, id_col: str, keys: str = "keys") -> DataFrame:
     """(tbl, key, rec_id, keys): a row per record and table; records without keys are in no bucket."""
-    return df.where(F.col(keys).isNotNull()).select(F.posexplode(keys).alias("tbl", "key"), F.col(id_col).alias("rec_id"), F.col(keys).alias("keys"))
+    return df.select(F.posexplode(keys).alias("tbl", "key"), F.col(id_col).alias("rec_id"), F.col(keys).alias("keys"))
 
 
 def bucket_stats(buckets: DataFrame) -> DataFrame:
