@@ -187,7 +187,7 @@ def projection_against_minhash(spark, d):
     s = stored(R.REGISTRY.sets(R.registry(spark, d)), "sets")
     true = stored(L.truth_pairs(s, "rec_id", "entity"), "true")
     dense = F.transform(F.sequence(F.lit(0), F.lit(127)), lambda j: F.size(F.filter("tokens", lambda x: F.pmod(x, F.lit(128)) == j)).cast("double"))
-    sig = s.select("rec_id", sign_projection(160)(dense).alias("sig"))
+    sig = stored(stored(s.select("rec_id", dense.alias("v")), "dense").select("rec_id", sign_projection(160)("v").alias("sig")), "sig")
     signs = P.sample_pairs(P.bucket_table(sig.select("rec_id", P.meta_keys("sig", 20, 8).alias("keys")), "rec_id"))
     mins = Sampler(3, 8).pairs(s)
     n = s.count()
@@ -284,7 +284,7 @@ def stream_pairs_equals_batch(spark, d):
 @query()
 def stream_watermark_dedupe(spark, d):
     """Repeated emissions of an event within the watermark are dropped once."""
-    e = R.event_records(spark, d).select("entity", "ts", "user_id")
+    e = R.event_records(spark, d).select("entity", F.col("ts").cast("timestamp").alias("ts"), "user_id")
     s = _as_stream(e, 3, "ts")
     out = I.run_to_end(I.drop_repeats(s, ["entity"], "ts"), f"hc_dedupe_{abs(hash(d)) % 10**6}")
     return out.agg(F.count("*").alias("kept"), F.countDistinct("entity").alias("entities"))
@@ -293,7 +293,7 @@ def stream_watermark_dedupe(spark, d):
 @query()
 def stream_window_estimate(spark, d):
     """Entities per day from a stream, one histogram per window, one estimate per window."""
-    e = R.table(spark, d, "events").select("event_id", "ts", "user_id", "event_type")
+    e = R.table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
     s = _as_stream(e, 3, "ts")
     h = I.run_to_end(I.windowed_histogram(s, "ts", ["user_id", "event_type"]), f"hc_window_{abs(hash(d)) % 10**6}")
     hist = h.groupBy(F.col("w.start").cast("string").alias("day"), "size").agg(F.count("*").alias("n"))
@@ -303,7 +303,7 @@ def stream_window_estimate(spark, d):
 @query()
 def stream_interval_join(spark, d):
     """Pairs of a user's events within ten minutes, from two streams."""
-    e = R.table(spark, d, "events").select("event_id", "ts", "user_id")
+    e = R.table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id")
     out = I.run_to_end(I.interval_pairs(_as_stream(e, 2, "ts"), _as_stream(e, 2, "ts"), "user_id", "ts", "event_id"), f"hc_interval_{abs(hash(d)) % 10**6}")
     return out.select("id_a", "id_b")
 

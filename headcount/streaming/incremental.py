@@ -99,26 +99,27 @@ def interval_pairs(left: DataFrame, right: DataFrame, user: str, ts: str, id_col
     return x.join(y, near)
 
 
-def _bucket_members(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+def _bucket_members(key, frames: Iterator[pd.DataFrame], state, limit: int = 0) -> Iterator[pd.DataFrame]:
     """T5: members of one bucket as state: every arrival is paired with those before it."""
     held = list(state.get[0]) if state.exists else []
-    if state.hasTimedOut:
-        state.remove()
-        return
     out = []
     for f in frames:
         for r in f["rec_id"].tolist():
             out += [(min(r, h), max(r, h)) for h in held if h != r]
             if r not in held:
                 held.append(r)
-    state.update((held,))
-    state.setTimeoutDuration(3_600_000)
+    state.update((held[-limit:] if limit else held,))
     yield pd.DataFrame(out, columns=["id_a", "id_b"])
 
 
-def stateful_pairs(buckets: DataFrame) -> DataFrame:
-    """T5: pairs from a stream of (tbl, key, rec_id). State is a list per bucket with a time to live: for buckets that stay small."""
-    return buckets.groupBy("tbl", "key").applyInPandasWithState(_bucket_members, "id_a long, id_b long", "members array<long>", "append", "ProcessingTimeTimeout")
+def stateful_pairs(buckets: DataFrame, keep_last: int = 0) -> DataFrame:
+    """T5: pairs from a stream of (tbl, key, rec_id). State is a list per bucket, complete by default; ``keep_last`` bounds it to the
+    latest members where hot buckets would outgrow memory (p is measured on what is left)."""
+
+    def members(key, frames, state):
+        return _bucket_members(key, frames, state, keep_last)
+
+    return buckets.groupBy("tbl", "key").applyInPandasWithState(members, "id_a long, id_b long", "members array<long>", "append", "NoTimeout")
 
 
 def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
