@@ -290,4 +290,4 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
 def drop_near_duplicates(docs: DataFrame, k: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """One document of each class stays, the one with the least id; documents without words or id stay."""
     gone = jaccard_classes(docs, k, percent).where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs.doc_id == F.col("_gone"), "left_anti")
+    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

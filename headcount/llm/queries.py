@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, jaccard_join, language_id, packing, quality_classifier, quality_rules, secrets, sharding, substring_dedup, token_counts
+from . import decontamination, jaccard_join, language_id, oracles, packing, quality_classifier, quality_rules, secrets, sharding, substring_dedup, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -73,4 +73,11 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Twins at test scale. The others have no SQL form: they encode by a vocabulary (2, 9), train models (3, 10), test for
+    randomness (5) or search for a capacity (8); tests/llm holds them against brute force."""
+    return {
+        "op1_quality_rules": oracles.quality_rules(),
+        "op4_benchmark_decontamination": oracles.decontamination(),
+        "op6_ngram_jaccard_join": oracles.jaccard(),
+        "op7_substring_dedup": oracles.substrings(),
+    }
