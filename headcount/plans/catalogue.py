@@ -534,13 +534,13 @@ def clique_check(spark, d):
 
 
 _HIST = "SELECT size::BIGINT AS size, count(*)::BIGINT AS n FROM (SELECT count(*) AS size FROM {} GROUP BY {}) GROUP BY size"
-for _name, _table, _keys, _sql in (
-    ("lineitem", "lineitem", ["l_partkey", "l_suppkey"], "l_partkey, l_suppkey"),
-    ("orders", "orders", ["o_custkey", F.lit("year")], "o_custkey, year(o_orderdate)"),
-    ("part", "part", ["p_name", "p_brand"], "p_name, p_brand"),
-    ("lineitem_by_order", "lineitem", ["l_orderkey"], "l_orderkey"),
-    ("orders_by_customer", "orders", ["o_custkey"], "o_custkey"),
-    ("events", "events", ["user_id", "event_type", F.lit("day")], "user_id, event_type, ts::DATE"),
+for _name, _table, _sql in (
+    ("lineitem", "lineitem", "l_partkey, l_suppkey"),
+    ("orders", "orders", "o_custkey, year(o_orderdate)"),
+    ("part", "part", "p_name, p_brand"),
+    ("lineitem_by_order", "lineitem", "l_orderkey"),
+    ("orders_by_customer", "orders", "o_custkey"),
+    ("events", "events", "user_id, event_type, ts::DATE"),
 ):
 
     def _hist(spark, d, table=_table, sql=_sql):
