@@ -70,7 +70,7 @@ def expansions(n: int, m: int) -> tuple[int, int]:
     return r, left
 
 
-def vertex_bfs_estimate(df: DataFrame, id_col: str, entity: str, m: int, seed: int = 42, partial: str = "use") -> DataFrame:
+def vertex_bfs_estimate(df: DataFrame, id_col: str, entity: str, m: int, seed: int = 42, partial: str = "use", max_component: int | None = None) -> DataFrame:
     """Mean of 1 / (size of the component) over random starts, times M. Expanding a record asks for all others; with cliques
     the component of a start is known after one expansion. Starts follow the seeded order until the budget is spent; the
     interrupted start sees the first records of that order only, and is used or dropped.
@@ -87,6 +87,8 @@ def vertex_bfs_estimate(df: DataFrame, id_col: str, entity: str, m: int, seed: i
         seen = df.select(F.col(id_col).alias("_i"), F.col(entity).alias("_e")).orderBy(seeded(id_col, seed), id_col).limit(left + 1 + r)
         cut = starts.where(F.col("o") == r + 1).join(seen, F.col(entity) == F.col("_e")).groupBy(id_col).agg((1.0 / F.count("*")).alias("x"))
         parts = parts.union(cut.select("x"))
+    if max_component:  # components above that size count 0
+        parts = parts.select(F.when(F.col("x") >= 1.0 / max_component, F.col("x")).otherwise(0.0).alias("x"))
     row = parts.agg((F.avg("x") * n).alias("estimate"), F.count("*").alias("starts"))
     return row.withColumn("status", F.when(F.col("starts") == 0, "undefined").otherwise("ok"))
 

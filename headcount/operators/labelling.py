@@ -73,6 +73,15 @@ def bootstrap_recall(pairs: DataFrame, matched: DataFrame, rounds: int = 200, se
     return per.agg(F.avg("p").alias("p_mean"), F.stddev_samp("p").alias("p_sd"))
 
 
+def close_labels(matched: DataFrame) -> DataFrame:
+    """The transitive closure of matched pairs: all pairs within their components."""
+    from .components import components_auto
+
+    c = components_auto(matched.select("id_a", "id_b"))
+    x, y = c.alias("x"), c.alias("y")
+    return x.join(y, (F.col("x.component") == F.col("y.component")) & (F.col("x.rec_id") < F.col("y.rec_id"))).select(F.col("x.rec_id").alias("id_a"), F.col("y.rec_id").alias("id_b"))
+
+
 # --- trained labels --------------------------------------------------------------------------------------------------
 
 

@@ -82,6 +82,24 @@ def token_ids_parts(spark, d):
     return R.table(spark, d, "part").select("p_partkey", t.alias("t")).select("p_partkey", F.aggregate("t", F.lit(0).cast("long"), lambda a, x: a + x).alias("total"), F.size("t").cast("long").alias("n"))
 
 
+@query(
+    f"WITH t AS (SELECT p_partkey, list_transform({W.grams("replace(p_name, ' ', '')", 2)}, lambda g: 'c:' || g) AS c, list_transform(list_distinct(list_filter(string_split(p_name, ' '), lambda x: x <> '')), lambda w: 'w:' || w) AS w FROM part) SELECT p_partkey, (len(c) + len(w))::BIGINT AS n, md5({_joined('list_concat(c, w)')}) AS digest FROM t"
+)
+def combined_sets_parts(spark, d):
+    """Grams and words of a record in one set."""
+    g = R.table(spark, d, "part").select("p_partkey", S.combined_set("p_name", 2).alias("g"))
+    return g.select("p_partkey", F.size("g").cast("long").alias("n"), F.md5(F.array_join(F.sort_array("g"), "|").cast("binary")).alias("digest"))
+
+
+@query(
+    f"WITH t AS (SELECT p_partkey, list_concat(list_transform({W.grams(W.norm('p_brand'), 2)}, lambda g: 'brand:' || g), list_transform({W.grams(W.norm('p_type'), 2)}, lambda g: 'type:' || g)) AS g FROM part) SELECT p_partkey, len(g)::BIGINT AS n, md5({_joined('g')}) AS digest FROM t"
+)
+def field_grams_parts(spark, d):
+    """Grams per field: equal strings in different fields differ."""
+    g = R.table(spark, d, "part").select("p_partkey", S.field_grams({"brand": "p_brand", "type": "p_type"}, 2).alias("g"))
+    return g.select("p_partkey", F.size("g").cast("long").alias("n"), F.md5(F.array_join(F.sort_array("g"), "|").cast("binary")).alias("digest"))
+
+
 _C = f"WITH c AS (SELECT doc_id, list_distinct(list_filter(string_split(text, ' '), lambda x: x <> '')) AS w FROM documents), b AS (SELECT item_id, list_distinct(list_filter(string_split(text, ' '), lambda x: x <> '')) AS w FROM benchmark) "  # noqa: F541
 
 
@@ -556,6 +574,13 @@ def toy_graph_histogram(spark, d):
     return O.size_histogram(components(O.toy_graph(spark)), 6)
 
 
+@query(f"WITH RECURSIVE {W.REGISTRY}, e AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM registry x JOIN registry y ON x.rec_id < y.rec_id AND x.city = y.city AND x.full_name = y.full_name), {W.components('e')} SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM comps x JOIN comps y ON x.component = y.component AND x.rec_id < y.rec_id")
+def closed_labels(spark, d):
+    """Q8: the transitive closure of matched pairs."""
+    m = P.block_pairs(R.registry(spark, d), "rec_id", ["city", "full_name"])
+    return L.close_labels(m)
+
+
 # --- the estimator --------------------------------------------------------------------------------------------------------
 
 _ROWS = f"SELECT (SELECT count(p.id_a)::DOUBLE / count(*) FROM known LEFT JOIN pairs p USING (id_a, id_b)) AS p, {W.COUNTS} FROM hist"
@@ -762,6 +787,13 @@ def vertex_bfs_estimate(spark, d):
     return rounded(B.vertex_bfs_estimate(R.registry(spark, d), "rec_id", "entity_id", 20_000), 4)
 
 
+@query()
+def vertex_bfs_truncated(spark, d):
+    """Components above a size count nothing; a budget that lets ten expansions finish."""
+    n = R.registry(spark, d).count()
+    return B.vertex_bfs_estimate(R.registry(spark, d), "rec_id", "entity_id", 10 * n, max_component=2)
+
+
 @query(f"{_REG28}, matched AS (SELECT id_a, id_b FROM pairs JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE x.entity = y.entity), {W.components('matched')}, {W.histogram('(SELECT count(*) FROM sets)')} SELECT sum(n)::BIGINT AS estimate FROM hist")
 def observed_components_count(spark, d):
     s = stored(_registry_sets(spark, d), "sets")
