@@ -6,6 +6,7 @@ encoding the whole text; the tests hold both against each other. The memory is b
 
 from __future__ import annotations
 
+import re
 from array import array
 from functools import lru_cache
 
@@ -35,6 +36,17 @@ class _Pieces(dict):
         return ids
 
 
+#: The classes of the vocabulary's pattern among the code points below 256: letters, numbers, white space.
+_L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
+
+
+def narrow_pattern() -> re.Pattern:
+    """The vocabulary's pattern for texts of Latin-1 characters, with its classes spelled out: the standard library matches
+    these about three times as fast as properties. Runs of letters and numbers come first, as nothing else starts like them."""
+    parts = (f" ?[{_L}]+", f" ?[{_N}]+", "'(?:s|t|re|ve|m|ll|d)", f" ?[^{_S}{_L}{_N}]+", f"[{_S}]+(?![^{_S}])", f"[{_S}]+")
+    return re.compile("|".join(parts))
+
+
 class ByteBpe:
     def __init__(self, path: str, remember: int = 600_000):
         import public_tokenizers
@@ -43,12 +55,17 @@ class ByteBpe:
 
         t = Tokenizer.from_file(path)
         t.encode_special_tokens = True  # their strings in a text are ordinary text
-        self._find = regex.compile(public_tokenizers.PATTERN).findall
+        self._find, self._find_narrow = regex.compile(public_tokenizers.PATTERN).findall, narrow_pattern().findall
         self._ids = _Pieces(t, remember).__getitem__
 
     def encode(self, text: str) -> bytes:
         """Little-endian unsigned 32-bit ids."""
-        return b"".join(map(self._ids, self._find(text)))
+        try:
+            text.encode("latin-1")
+            find = self._find_narrow
+        except UnicodeEncodeError:
+            find = self._find
+        return b"".join(map(self._ids, find(text)))
 
 
 @lru_cache(maxsize=2)

@@ -96,6 +96,22 @@ def test_packing(docs, empty):
     assert {len(r["ids"]) // 4 for r in packing.sequences(packing.pack_documents(docs, with_ids=True)).collect()} <= set(range(1, 1025))
 
 
+def test_ids_are_those_of_the_tokenizer():
+    from tokenizers import Tokenizer
+
+    from headcount.llm.tokens import encoder, vocabulary_path
+
+    t = Tokenizer.from_file(vocabulary_path())
+    t.encode_special_tokens = True
+    rng = random.Random(8)
+    letters = [chr(i) for i in range(256)] + list("  \n\t'sdtmllreveaeE1") * 6
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randrange(60))) for _ in range(3000)]
+    texts += ["".join(rng.choice([*letters, "\u2028", "\u3000", "\u0661", "\u4e2d", "\u0301", "\U0001f600", "<|endoftext|>"]) for _ in range(40)) for _ in range(500)]
+    for x in texts:
+        ids = t.encode(x, add_special_tokens=False).ids
+        assert encoder(vocabulary_path()).encode(x) == b"".join(i.to_bytes(4, "little") for i in ids), repr(x)
+
+
 def test_open_bins_take_the_tightest_and_close_the_fullest():
     b = packing.OpenBins(10, limit=2)
     assert [b.put(n) for n in (6, 7, 3)] == [(0, 0), (1, 0), (1, 7)]
