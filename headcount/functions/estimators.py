@@ -9,7 +9,6 @@ from __future__ import annotations
 
 from collections.abc import Mapping
 from fractions import Fraction
-from functools import lru_cache
 from math import comb
 
 from pyspark.sql import Column, DataFrame
@@ -131,8 +130,3 @@ def with_errors(row: DataFrame) -> DataFrame:
     row = row.withColumn("lo", F.col("estimate") - 1.96 * F.col("sd")).withColumn("hi", F.col("estimate") + 1.96 * F.col("sd"))
     status = F.when(p.isNull(), "undefined").when(p < 0.5, "low_p").when((F.col("n2") < 0) | (F.col("n3") < 0), "negative_counts").otherwise("ok")
     return row.withColumn("status", status)
-
-
-@lru_cache(maxsize=256)
-def _weights(p: float, c: int) -> tuple[float, ...]:
-    return tuple(float(x) for x in component_weights(p, c))

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -148,7 +146,7 @@ def dense_index(df: DataFrame, id_col: str) -> DataFrame:
 def decode_rank(rank: Column) -> tuple[Column, Column]:
     """The (i, j), i < j, of a number below M (M - 1) / 2: triangular root with an exact correction."""
     j = F.floor((1 + F.sqrt(1 + 8 * rank.cast("double"))) / 2).cast("long")
-    j = F.when(F.expr("1 = 1") & (j * (j - 1) / 2 > rank), j - 1).otherwise(j)
+    j = F.when(j * (j - 1) / 2 > rank, j - 1).otherwise(j)
     tri = F.floor(j * (j - 1) / 2).cast("long")
     j = F.when(rank - tri >= j, j + 1).otherwise(j)
     return (rank - F.floor(j * (j - 1) / 2)).cast("long"), j
@@ -160,9 +158,10 @@ def uniform_pairs(df: DataFrame, id_col: str, m: int, seed: int = 42) -> DataFra
     total = n * (n - 1) // 2
     m = min(m, total)
     spark = df.sparkSession
-    draws = m if m == total else int(m * 1.02 - math.log1p(-min(0.999, m / total)) * 0 + m * m / max(1, total) + 50)
-    ranks = spark.range(total if m == total or draws * 2 > total else draws)
-    if m != total and draws * 2 <= total:
+    draws = int(1.02 * m + m * m / max(1, total) + 50)  # a few more than m, for those drawn twice
+    dense = draws * 2 > total  # then the whole rank space is shuffled instead
+    ranks = spark.range(total if dense else draws)
+    if not dense:
         u = F.conv(F.substring(F.md5(F.concat_ws(",", "id", F.lit(str(seed))).cast("binary")), 1, 15), 16, 10).cast("decimal(20,0)")
         ranks = ranks.select(F.pmod(u, F.lit(total).cast("decimal(20,0)")).cast("long").alias("id")).distinct()
     ranks = ranks.orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(m)
