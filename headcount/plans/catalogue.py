@@ -441,7 +441,7 @@ def threshold_labels(spark, d):
 _LAB = f"labd AS (SELECT doc_id, text FROM documents WHERE length(text) >= 24 AND doc_id IN (SELECT doc_id FROM labels)), cand AS (SELECT x.doc_id AS id_a, y.doc_id AS id_b FROM labd x JOIN labd y ON x.doc_id < y.doc_id AND (substr(x.text, 1, 24) = substr(y.text, 1, 24) OR right(x.text, 24) = right(y.text, 24))), known AS (SELECT id_a, id_b FROM cand JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE {W.jaccard('x.tokens', 'y.tokens')} >= 0.7)"
 
 
-@query(f"{_DOC}, {_LAB} SELECT count(*)::BIGINT AS n_labelled, count(p.id_a)::BIGINT AS hits, round(count(p.id_a)::DOUBLE / count(*), 6) AS p, round(sqrt((count(p.id_a)::DOUBLE / count(*)) * (1 - count(p.id_a)::DOUBLE / count(*)) / count(*)), 6) AS p_se FROM known LEFT JOIN pairs p USING (id_a, id_b)")
+@query(f"{_DOC}, {_LAB} SELECT count(*)::BIGINT AS n_labelled, count(p.id_a)::BIGINT AS hits, round(count(p.id_a)::DOUBLE / nullif(count(*), 0), 6) AS p, round(sqrt((count(p.id_a)::DOUBLE / nullif(count(*), 0)) * (1 - count(p.id_a)::DOUBLE / nullif(count(*), 0)) / count(*)), 6) AS p_se FROM known LEFT JOIN pairs p USING (id_a, id_b)")
 def labelled_recall(spark, d):
     s = _doc_sets(spark, d)
     known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
@@ -583,7 +583,7 @@ def closed_labels(spark, d):
 
 # --- the estimator --------------------------------------------------------------------------------------------------------
 
-_ROWS = f"SELECT (SELECT count(p.id_a)::DOUBLE / count(*) FROM known LEFT JOIN pairs p USING (id_a, id_b)) AS p, {W.COUNTS} FROM hist"
+_ROWS = f"SELECT (SELECT count(p.id_a)::DOUBLE / nullif(count(*), 0) FROM known LEFT JOIN pairs p USING (id_a, id_b)) AS p, {W.COUNTS} FROM hist"
 _EST_COLS = ["p", "s1", "s2", "s3", "s_rest", "observed", "n2", "n3", "estimate", "variance", "sd", "status"]
 
 
@@ -740,7 +740,7 @@ def averaged_estimate(spark, d):
 
 
 @query(
-    f"{_DOC}, {_LAB}, {_MATCHED}, {W.components('matched')}, sz AS (SELECT d.lang, component, count(*) AS size FROM comps JOIN documents d ON d.doc_id = rec_id GROUP BY d.lang, component), hs AS (SELECT lang, size, count(*) AS n FROM sz GROUP BY lang, size UNION ALL SELECT lang, 1, count(*) FROM documents WHERE doc_id NOT IN (SELECT rec_id FROM comps) GROUP BY lang), pp AS (SELECT count(p.id_a)::DOUBLE / count(*) AS p FROM known LEFT JOIN pairs p USING (id_a, id_b)) "
+    f"{_DOC}, {_LAB}, {_MATCHED}, {W.components('matched')}, sz AS (SELECT d.lang, component, count(*) AS size FROM comps JOIN documents d ON d.doc_id = rec_id GROUP BY d.lang, component), hs AS (SELECT lang, size, count(*) AS n FROM sz GROUP BY lang, size UNION ALL SELECT lang, 1, count(*) FROM documents WHERE doc_id NOT IN (SELECT rec_id FROM comps) GROUP BY lang), pp AS (SELECT count(p.id_a)::DOUBLE / nullif(count(*), 0) AS p FROM known LEFT JOIN pairs p USING (id_a, id_b)) "
     + W.estimates(f"(SELECT lang, any_value(p) AS p, {W.COUNTS} FROM hs, pp GROUP BY lang)", "lang")
 )
 def estimate_by_lang(spark, d):

@@ -1,6 +1,7 @@
 """Queries against their SQL twins on the smallest tables."""
 
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -20,7 +21,7 @@ def con(tiny):
 
 def rows(df):
     cols = sorted(df.columns)
-    clean = lambda v: "null" if v is None or v != v or str(v) in ("<NA>", "NaT") else (str(v)[:-2] if str(v).endswith(".0") else str(v))
+    clean = lambda v: "null" if pd.isna(v) else (str(v)[:-2] if str(v).endswith(".0") else str(v))
     return sorted(tuple(clean(v) for v in r) for r in df[cols].astype(object).values.tolist())
 
 
