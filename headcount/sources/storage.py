@@ -28,3 +28,9 @@ def removed(spark: SparkSession, path: str) -> None:
     """Delete a folder in shared storage."""
     target = spark._jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner drop the shuffle files of finished steps now. It does so when the driver's heap is collected, which
+    on a driver that holds little can be long after a step has ended and its files have filled the disks."""
+    spark._jvm.System.gc()
