@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from headcount.operators.components import components
 
-from .shared import batches, bit_filter, filter_slot, gram_hashes, mixed, passes, ship, stored, text_bytes, word_hashes
+from .shared import batches, bit_filter, filter_slot, gram_hashes, mixed, passes, release, ship, stored, text_bytes, word_hashes
 
 WORDS, PERCENT, FREQUENT, MAX_FREQUENT = 5, 80, 8, 1_000_000
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -212,6 +212,7 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     often, bits = frequent_shingles(docs, k, frequent)
     top = often.orderBy(F.desc("n"), "element").limit(max_frequent).select("element").toArrow()["element"].to_numpy()
     order = np.sort(top).astype(np.uint64)
+    release(spark)
     rows = stored(_prefixes(docs, k, percent, order, bits), "prefixes")
 
     # equal sets -> representative; equal prefix and size -> group
@@ -248,7 +249,10 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     to_hub = blocks.join(hubs, "e").where("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b"), F.lit(True).alias("hub"))
     pairs = near.where("p <> q").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), F.lit(False).alias("hub"))
     pairs = pairs.union(to_hub).groupBy("a", "b").agg(F.max("hub").alias("hub"))
-    first = stored(_verified(docs, stored(pairs, "pairs"), k, percent), "verified")
+    pairs = stored(pairs, "pairs")
+    release(spark)
+    first = stored(_verified(docs, pairs, k, percent), "verified")
+    release(spark)
 
     # what blocks could still link: members of different components that share a difference to their hub
     links = first.where("same").select("a", "b")
@@ -278,6 +282,7 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     if not rest.isEmpty():
         more = stored(_verified(docs, rest, k, percent), "verified2").where("same").select("a", "b")
         links = links.union(more)
+        release(spark)
         so_far = stored(components(links, "a", "b"), "components2")
     of_rep = member.join(so_far, member.rep == so_far.rec_id, "left").select("sig", "sig2", "n", "rep", F.coalesce("component", "rep").alias("component"))
     # a representative's row goes to all documents with its set

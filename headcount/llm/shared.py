@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from headcount.sources.shipping import ship  # noqa: F401
-from headcount.sources.storage import shared_dir, stored  # noqa: F401
+from headcount.sources.storage import release, shared_dir, stored  # noqa: F401
 
 #: The characters between words, fixed by the contract of the operators: space, tab, line feed, vertical tab, form feed,
 #: carriage return. ``bytes.split()`` splits at exactly these.

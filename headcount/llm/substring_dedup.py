@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import SuffixAutomaton
-from .shared import batches, bit_filter, filter_slot, gram_hashes, passes, ship, stored, text_bytes, word_hashes
+from .shared import batches, bit_filter, filter_slot, gram_hashes, passes, release, ship, stored, text_bytes, word_hashes
 
 WINDOW, ANCHOR, SHARD_WORDS, MAX_SHARDS = 50, 10, 100_000, 4
 
@@ -100,6 +100,7 @@ def hit_windows(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR) ->
 
     some = text_bytes(docs, "doc_id").where("doc_id is not null").withColumn("slot", filter_slot("doc_id")).mapInArrow(only_near, f"doc_id {kind}, text binary")
     windows = stored(some.join(wanted, "doc_id").mapInArrow(hash_windows, f"doc_id {kind}, start int, h long"), "windows")
+    release(spark)
     first = windows.groupBy("h").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("h", "first")
     hits = windows.join(first, "h").where("doc_id > first").groupBy("doc_id").agg(F.collect_set("start").alias("starts"))
     others = texts.join(least, ["s1", "s2"]).where("doc_id <> rep").select("doc_id").distinct()
@@ -126,6 +127,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR)
     kind = docs.schema["doc_id"].dataType.simpleString()
     hits, others = hit_windows(docs, window, anchor)
     touched = stored(hits.withColumn("whole", F.lit(False)).unionByName(others.select("doc_id", F.array().cast("array<int>").alias("starts"), F.lit(True).alias("whole"))).groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"), F.max("whole").alias("whole")), "touched")
+    release(spark)
     near = spark.sparkContext.broadcast(bit_filter(touched, "doc_id"))
     schema = f"doc_id {kind}, n_words long, n_removed long, kept binary, removed array<struct<a:int,b:int>>"
     span = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
