@@ -124,6 +124,29 @@ def minima_of(tokens: np.ndarray, b: int, seed: int) -> np.ndarray:
     return np.array([mix(x, seed * 1_000 + s).min() for s in range(b)], np.uint64)
 
 
+def grams_of(text: str, k: int) -> np.ndarray:
+    """Sorted distinct 64-bit numbers of the k-grams of a text (of the text itself, if shorter): a polynomial over code points,
+    mixed; one step a character and gram place."""
+    c = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    n = len(c) - k + 1
+    width = k if n > 0 else len(c)
+    h = c[: max(n, min(1, len(c)))].copy()
+    for i in range(1, width):
+        h = h * np.uint64(_M[0]) + c[i : i + len(h)]
+    return np.unique(mix(h, width))
+
+
+def gram_numbers(k: int):
+    """An Arrow UDF from normalised texts to sets of gram numbers: the native counterpart of grams, distinct and hash, which as
+    higher-order functions are interpreted per gram."""
+
+    @F.pandas_udf(T.ArrayType(T.LongType()))
+    def run(text: pd.Series) -> pd.Series:
+        return text.map(lambda t: grams_of(t or "", k).view(np.int64))
+
+    return run
+
+
 def signature(b: int, seed: int = 42, how: str = "probe"):
     """An Arrow UDF from arrays of 64-bit token numbers to signatures; ``how`` is a densification or ``classic``. Empty sets
     give null."""

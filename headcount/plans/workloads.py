@@ -203,7 +203,7 @@ _FIELDS = {"full_name": "longest", "street": "longest", "city": "longest", "segm
 def merged_records(spark, d):
     """Two rounds of blocking, labelling and merging."""
     r = R.registry(spark, d).select("rec_id", *_FIELDS)
-    return merging.iterative_match_merge(stored(r, "registry"), "rec_id", ["region", "event_day"], "event_day", "full_name", _FIELDS)
+    return merging.iterative_match_merge(stored(r, "registry"), "rec_id", ["region", "segment", "event_day"], "event_day", "full_name", _FIELDS)
 
 
 _SAME = f"WITH {W.REGISTRY}, p AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b, x.region, x.full_name AS xa, y.full_name AS ya, x.street AS xs, y.street AS ys FROM registry x JOIN registry y ON x.segment = y.segment AND x.city = y.city AND x.rec_id < y.rec_id), r AS (SELECT id_a, id_b, substr(xa, 1, 3) = substr(ya, 1, 3) AS one, coalesce(xs = ys, false) AS two FROM p)"
