@@ -596,6 +596,17 @@ def estimate_documents(spark, d):
     return rounded(row.select(*_EST_COLS))
 
 
+@query()
+def estimate_documents_total_error(spark, d):
+    """The flagship with the uncertainty of p in its error."""
+    s, pairs, m = _doc_matched(spark, d)
+    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
+    r = L.recall_row(pairs, known).first()
+    row = O.estimate_row(O.size_histogram(components_auto(m), s.count()), r["p"])
+    row = row.withColumn("n_labelled", F.lit(r["n_labelled"])).withColumn("hits", F.lit(r["hits"]))
+    return rounded(E.with_total_error(row).select("n_labelled", "hits", "p", "observed", "estimate", "sd", "sd_p", "sd_total", "status"))
+
+
 @query()
 def estimate_documents_native(spark, d):
     """The same with 64-bit hashes and one permutation: the form for large data."""
