@@ -63,7 +63,7 @@ def kl_table_registry(spark, d):
 @query()
 def kl_table_lines(spark, d):
     """K = 8 on descriptor lines (hot keys at the published K = 4 are a property of the synthetic words)."""
-    li = stored(R.lines(spark, d, 10), "lines")
+    li = stored(R.lines(spark, d), "lines")
     out = kl_rows(li, R.LINES, ((6, 25), (8, 25)))
     return out.withColumn("relative_error", M.relative_error("estimate", F.lit(float(li.select("entity").distinct().count()))))
 
