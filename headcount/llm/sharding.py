@@ -2,8 +2,9 @@
 
 Groups (equal texts) stand in the order of a hash of their text. Neighbouring groups form ``2**bin_bits`` atomic blocks, a
 fixed number whatever the size of the data, so one aggregation gives an ordered list of block sizes that is small enough for
-the driver. A binary search finds the smallest capacity for which a greedy pass needs no more than ``n_shards`` shards; the
-cuts of that pass are the shards' borders. Slots within a shard come from block counts (prefix sums) and a rank within the
+the driver. A binary search finds the smallest capacity for which a greedy pass needs no more than ``n_shards`` shards. Blocks
+larger than an equal share become shards of their own, and the search is repeated on the stretches between them with the other
+shards; the cuts of these passes are the shards' borders. Slots within a shard come from block counts (prefix sums) and a rank within the
 block; blocks with far more rows than the mean are ranked in sub-blocks by a hash of the id, so that a text with a third of
 all rows is not ranked in one task.
 
@@ -13,6 +14,8 @@ than shards the last shards stay empty; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import heapq
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -41,7 +44,62 @@ def smallest_capacity(sizes: list[int], n_shards: int) -> int:
     return low
 
 
+def _stretches(sizes: list[int], alone: list[int]) -> list[tuple[int, int]]:
+    """What lies between the blocks that stand alone, without empty stretches."""
+    ends = [-1, *sorted(alone), len(sizes)]
+    return [(a + 1, b) for a, b in zip(ends, ends[1:], strict=False) if b > a + 1]
+
+
+def _oversized(sizes: list[int], n_shards: int, capacity: int) -> list[int]:
+    """Blocks larger than an equal share of what is left without them, largest first: as many as can stand alone while the
+    rest still fits the other shards under ``capacity``."""
+    order, rest, out = sorted(range(len(sizes)), key=lambda i: -sizes[i])[:n_shards], sum(sizes), []
+    for i in order:
+        left = n_shards - len(out)
+        if sizes[i] * left <= rest:
+            break
+        out.append(i)
+        rest -= sizes[i]
+    while out:
+        parts = [greedy_cuts(sizes[a:b], capacity) for a, b in _stretches(sizes, out)]
+        if sum(len(p) + 1 for p in parts) <= n_shards - len(out):
+            break
+        out.pop()
+    return out
+
+
 def minimax_cuts(sizes: list[int], n_shards: int) -> list[int]:
+    """Cuts with the least maximum. Oversized blocks stand alone, so that they do not set the capacity of the others, which are
+    divided by a search of their own; shards left over after that halve the largest of the others."""
+    capacity = smallest_capacity(sizes, n_shards)
+    alone = _oversized(sizes, n_shards, capacity)
+    stretches, shards = _stretches(sizes, alone), n_shards - len(alone)
+    need = lambda c: [len(greedy_cuts(sizes[a:b], c)) + 1 for a, b in stretches]
+    low, high = max((max(sizes[a:b]) for a, b in stretches), default=0), capacity
+    while low < high:
+        mid = (low + high) // 2
+        if sum(need(mid)) <= shards:
+            high = mid
+        else:
+            low = mid + 1
+    starts = set(alone) | {i + 1 for i in alone}
+    for (a, b), n in zip(stretches, need(low), strict=True):
+        starts |= {a, *(a + c for c in minimax_of(sizes[a:b], n))}
+    cuts = sorted(starts - {0, len(sizes)})
+    ends = [0, *cuts, len(sizes)]
+    heap = [(-sum(sizes[a:b]), a, b) for a, b in zip(ends, ends[1:], strict=False) if b > a + 1]
+    heapq.heapify(heap)
+    while heap and len(cuts) + 1 < n_shards:
+        _, a, b = heapq.heappop(heap)
+        c = a + (minimax_of(sizes[a:b], 2) or [1])[0]  # blocks of no size have no cut
+        cuts.append(c)
+        for x, y in ((a, c), (c, b)):
+            if y > x + 1:
+                heapq.heappush(heap, (-sum(sizes[x:y]), x, y))
+    return sorted(cuts)
+
+
+def minimax_of(sizes: list[int], n_shards: int) -> list[int]:
     return greedy_cuts(sizes, smallest_capacity(sizes, n_shards))
 
 
