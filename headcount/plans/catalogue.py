@@ -306,9 +306,12 @@ def capped_pairs(spark, d):
 
 
 @query(f"{_REG28} SELECT DISTINCT q.rec_id AS query_id, b.rec_id AS rec_id FROM buckets q JOIN buckets b ON q.tbl = b.tbl AND q.key = b.key AND q.rec_id <> b.rec_id WHERE q.rec_id % 40 = 36")
-def point_query_neighbours(spark, d):
+def point_query_neighbours(spark, d, only="rec_id % 40 = 36"):
     b = _reg_buckets(spark, d)
-    return P.query_buckets(b.where("rec_id % 40 = 36").select(F.col("rec_id").alias("query_id"), "tbl", "key"), b)
+    return P.query_buckets(b.where(only).select(F.col("rec_id").alias("query_id"), "tbl", "key"), b)
+
+
+query(None, "point_query_neighbours_whole")(partial(point_query_neighbours, only="rec_id % 20 = 0"))  # the twin has fewer queries
 
 
 @query(f"{_REG28}, b AS (SELECT id_a, id_b FROM pairs UNION ALL SELECT id_b, id_a FROM pairs) SELECT id_a AS rec_id, count(*)::BIGINT AS n, min(id_b) AS first FROM b GROUP BY id_a")
