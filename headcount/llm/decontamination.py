@@ -5,7 +5,7 @@ if it lies inside an occurrence of a window: ``window`` consecutive words of an
 form removes hit spans, and the document itself if more than ``max_coverage`` of its words are hit.
 
 The items go to the workers as automata of at most ``shard_words`` words each; a larger benchmark is cut into shards, one
-pass over the documents streams through all that fit a broadcast, and the shards of further passes are united by document.
+pass over the documents streams through all that fit a broadcast, and the shards of further passes are united by row.
 
 Defined cases: null texts and texts without words have no hits; null and empty items have no windows; repeated items count
 by item_id; an empty benchmark hits nothing; repeated documents give repeated rows.
@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import SuffixAutomaton
-from .shared import batches, ship, text_bytes
+from .shared import batches, ship, stored, text_bytes
 
 WINDOW, SHARD_WORDS, MAX_SHARDS = 10, 100_000, 4
 #: Byte table: A-Z to a-z, word bytes to themselves, all others to a space.
@@ -81,22 +81,22 @@ def _shards(benchmark: DataFrame, shard_words: int) -> list[list[tuple[str, byte
 def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, max_shards: int = MAX_SHARDS) -> DataFrame:
     """doc_id, n_words, spans (array of first word and end), items (sorted ids as strings) for every document.
 
-    The benchmark's size is checked: what one broadcast cannot hold (``max_shards`` automata of ``shard_words``) raises, and
-    :func:`hits_in_passes` is the other way."""
+    One pass where one broadcast can hold the benchmark (``max_shards`` automata of ``shard_words``), else several."""
     shards = _shards(benchmark, shard_words)
-    if len(shards) > max_shards:
-        raise ValueError(f"{len(shards)} shards of benchmark items: use hits_in_passes")
-    return _one_pass(docs, shards, window)
+    return _one_pass(docs, shards, window) if len(shards) <= max_shards else _passes(docs, shards, window, max_shards)
 
 
 def hits_in_passes(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, max_shards: int = MAX_SHARDS) -> DataFrame:
-    """Any number of shards, ``max_shards`` a pass; spans and items of the passes are united by document, so here ids must
-    be unique."""
-    shards = _shards(benchmark, shard_words)
-    parts = [_one_pass(docs, shards[i : i + max_shards], window) for i in range(0, len(shards), max_shards)]
-    all_ = parts[0]
-    for p in parts[1:]:
-        all_ = all_.union(p)
+    """:func:`hits` by passes of ``max_shards`` shards, also where one would do."""
+    return _passes(docs, _shards(benchmark, shard_words), window, max_shards)
+
+
+def _passes(docs: DataFrame, shards, window: int, max_shards: int) -> DataFrame:
+    """Spans and items of the passes, united by row: rows are written once with a number, so that repeated and null ids stay apart."""
+    rows = stored(docs.select(F.struct(F.monotonically_increasing_id().alias("row"), F.col("doc_id").alias("id")).alias("doc_id"), "text"), "rows")
+    all_ = _one_pass(rows, shards[:max_shards], window)
+    for i in range(max_shards, len(shards), max_shards):
+        all_ = all_.union(_one_pass(rows, shards[i : i + max_shards], window).where(F.size("spans") > 0))
 
     def merge(s):
         zero = F.array().cast("array<struct<a:int,b:int>>")
@@ -109,7 +109,7 @@ def hits_in_passes(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
         return F.aggregate(F.sort_array(s), zero, step)
 
     g = all_.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("s"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    return g.select("doc_id", "n_words", merge(F.col("s")).alias("spans"), "items")
+    return g.select(F.col("doc_id.id").alias("doc_id"), "n_words", merge(F.col("s")).alias("spans"), "items")
 
 
 def _detectors(shards, window, cache={}):  # noqa: B006  one per worker
@@ -179,28 +179,33 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, m
     """The documents without hit spans and without those covered beyond ``max_coverage``; untouched documents keep every
     byte, and n_chars, where there is one, follows the text."""
     shards = _shards(benchmark, shard_words)
-    if len(shards) > max_shards:
-        raise ValueError(f"{len(shards)} shards of benchmark items are more than one broadcast should hold")
+    one = len(shards) <= max_shards
     ship(docs.sparkSession)
-    sent = docs.sparkSession.sparkContext.broadcast(shards)
+    sent = docs.sparkSession.sparkContext.broadcast(shards if one else [])
 
     def clean(it):
-        detectors = _detectors(sent.value, window)
+        detectors = _detectors(sent.value, window) if one else []
         for b in it:
             keep, new = [], []
+            given = None if one else iter(b.column("_spans").to_pylist())
             for (text,) in batches([b], ("_text",)):
                 words = text.translate(FOLD).split()
-                spans, _ = _find(detectors, words)
+                spans = _find(detectors, words)[0] if one else [(s["a"], s["b"]) for s in next(given)]
                 hit = sum(y - x for x, y in spans)
                 keep.append(hit <= max_coverage * len(words))
                 new.append(cut(text, spans) if spans and keep[-1] else None)
-            cols = [*(b.column(c) for c in b.schema.names if c != "_text"), pa.array(new, pa.binary())]
-            yield pa.RecordBatch.from_arrays(cols, [*(c for c in b.schema.names if c != "_text"), "_new"]).filter(pa.array(keep))
+            cols = [*(b.column(c) for c in b.schema.names if c not in own), pa.array(new, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, [*(c for c in b.schema.names if c not in own), "_new"]).filter(pa.array(keep))
 
     names = [f"c{i}" for i in range(len(docs.columns))]  # clashing names of extra columns don't matter
     packed = docs.toDF(*names)
+    own = {"_text", "_row", "_spans"}
     text = names[docs.columns.index("text")]
     packed = packed.withColumn("_text", F.coalesce(F.col(text).cast("binary"), F.lit(b"")))
+    if not one:
+        packed = stored(packed.withColumn("_row", F.monotonically_increasing_id()), "packed")
+        found = _passes(packed.select(F.col("_row").alias("doc_id"), F.col("_text").alias("text")), shards, window, max_shards)
+        packed = packed.join(found.select(F.col("doc_id").alias("_row"), F.col("spans").alias("_spans")), "_row")
     schema = ", ".join(f"{n} {f.dataType.simpleString()}" for n, f in zip(names, docs.schema.fields, strict=True)) + ", _new binary"
     out = packed.mapInArrow(clean, schema)
     changed = F.col("_new").cast("string")
