@@ -56,7 +56,7 @@ def kl_rows(df: DataFrame, spec: R.RecordSpec, grid, seeds=(1,), mode: str = "na
 def kl_table_registry(spark, d):
     """The settings of the small published set on the registry."""
     r = stored(R.registry(spark, d), "registry")
-    out = kl_rows(r, R.REGISTRY, ((2, 4), (2, 8), (4, 4), (4, 12)))
+    out = kl_rows(r, R.REGISTRY, ((1, 4), (1, 8), (1, 12), (1, 20), (2, 4), (2, 8), (4, 4), (4, 12)))
     return out.withColumn("relative_error", M.relative_error("estimate", F.lit(float(r.select("entity_id").distinct().count()))))
 
 
