@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from headcount.sources.storage import stored
+from headcount.sources.storage import dropped, stored
 
 
 def _both(edges: DataFrame) -> DataFrame:
@@ -40,7 +40,8 @@ def components(edges: DataFrame, a: str = "id_a", b: str = "id_b", max_rounds: i
     now = edges.select(F.least(a, b).alias("u"), F.greatest(a, b).alias("v")).where("u < v").distinct()
     seen = None
     for _ in range(max_rounds):
-        now = stored(_small_star(_large_star(now)), "star")
+        before, now = now, stored(_small_star(_large_star(now)), "star")
+        dropped(before)
         state = tuple(now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first())
         if state == seen:
             break

@@ -2,18 +2,31 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
+from functools import cache
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+@cache
+def _local_dir() -> str:
+    """A folder of this process, for local runs and tests where nothing is configured; it goes when the process ends."""
+    base = tempfile.mkdtemp(prefix="headcount-")
+    atexit.register(shutil.rmtree, base, ignore_errors=True)
+    return Path(base).as_uri()
+
+
 def shared_dir(spark: SparkSession) -> str:
     """A new folder in the storage that driver and executors share: the session's checkpoint folder."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
-        base = Path(tempfile.gettempdir(), "headcount-checkpoints").as_uri()  # local runs and tests: nothing is configured there
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = _local_dir()
     return f"{base}/hc-{uuid.uuid4().hex}"
 
 
@@ -21,13 +34,17 @@ def stored(df: DataFrame, name: str = "t") -> DataFrame:
     """Write ``df`` to shared storage once and read it back."""
     path = f"{shared_dir(df.sparkSession)}-{name}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._headcount_path = path
+    return out
 
 
-def removed(spark: SparkSession, path: str) -> None:
-    """Delete a folder in shared storage."""
-    target = spark._jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+def dropped(*tables: DataFrame) -> None:
+    """Delete tables that :func:`stored` has written, once everything that reads them has been written itself."""
+    for t in tables:
+        if path := getattr(t, "_headcount_path", None):
+            target = t.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            target.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def release(spark: SparkSession) -> None:
