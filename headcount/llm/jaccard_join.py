@@ -6,8 +6,9 @@ each. Frequent shingles (passages and lines that many documents share) so leave
 enough other text.
 
 1. Counts. Every task sends its shingle hashes, sorted, deduplicated and cut to 32 bits within buckets, as byte blocks; each
-   bucket is counted apart. Only shingles above ``frequent`` remain, the most frequent ``MAX_FREQUENT`` of them (8 MB) are
-   broadcast. The order only steers the work; results do not depend on it.
+   bucket is counted apart, and there are as many buckets as the bytes of the texts ask for. All shingles above ``frequent`` set
+   a bit of a filter of fixed size (16 MB), which is broadcast. A rare shingle that meets a set bit is taken for frequent
+   wherever it occurs, so the order is the same for all sets; it only steers the work, and results do not depend on it.
 2. Sets. Documents with equal sets collapse into one representative, representatives with equal prefix and size into one
    group, whose least member is its key. Both steps aggregate before they shuffle.
 3. Candidates. Groups that share prefix elements of at most ``frequent`` sets are paired if their sizes allow a link and
@@ -21,8 +22,13 @@ enough other text.
 
 Similarity is compared in integers: 100 * intersection >= percent * union. Hashes have 64 bits.
 
+Rows of hot keys (a hub with a family of a third of all documents, an element of very many prefixes, a text with very many
+copies) are dealt to many tasks by :func:`~headcount.llm.shared.salted_join`; a hub's set is sent once to each of them.
+
 Defined cases: null and blank texts have an empty set and are linked with nothing; texts of fewer words than a shingle have
-one element, all their words; repeated rows get equal result rows; an empty table gives an empty result.
+one element, all their words; texts of any length are taken whole; a similarity equal to the bound links; rows without an id
+are linked with nothing; repeated rows get equal result rows; extra columns are ignored by :func:`jaccard_classes` and kept by
+:func:`drop_near_duplicates`; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -34,9 +40,9 @@ from pyspark.sql import functions as F
 
 from headcount.operators.components import components
 
-from .shared import batches, bit_filter, filter_slot, gram_hashes, mixed, passes, release, ship, stored, text_bytes, word_hashes
+from .shared import batches, bit_filter, dropped, filter_slot, gram_hashes, mixed, passes, release, salted_join, ship, slot_filter, stored, text_bytes, word_hashes
 
-WORDS, PERCENT, FREQUENT, MAX_FREQUENT = 5, 80, 8, 1_000_000
+WORDS, PERCENT, FREQUENT, FILTER_BITS, BUCKET_BYTES = 5, 80, 8, 27, 32 << 20
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
@@ -58,10 +64,19 @@ def prefix_length(n: int, percent: int = PERCENT) -> int:
     return n - -(-percent * n // 100) + 1
 
 
-def frequent_shingles(docs: DataFrame, k: int = WORDS, above: int = FREQUENT, flush: int = 1_500_000) -> DataFrame:
-    """(element, n): leading bits of shingle hashes that occur in more than ``above`` documents, with their counts."""
-    spark = docs.sparkSession
-    bits = int(spark.conf.get("spark.sql.shuffle.partitions")).bit_length() + 2  # a few buckets for each reducer
+def bucket_bits(docs: DataFrame) -> int:
+    """Buckets of :func:`frequent_shingles`, as a power of two: a few for each reducer, and as many as it takes for a bucket to
+    hold about ``BUCKET_BYTES``, if a word has six bytes and a shingle is sent with four."""
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    by_tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")).bit_length() + 2
+    return min(20, max(by_tasks, int(total * 4 / 6 / BUCKET_BYTES).bit_length()))
+
+
+def frequent_shingles(docs: DataFrame, k: int = WORDS, above: int = FREQUENT) -> DataFrame:
+    """(element, n): the leading 32 + ``bits`` bits of shingle hashes that occur in more than ``above`` documents, with their
+    counts; and ``bits``."""
+    bits = bucket_bits(docs)
+    flush = max(1_500_000, min(6_000_000, 24 << bits))  # some shingles for each bucket, in 50 MB at most
 
     def send(it):
         held, size = [], 0
@@ -110,7 +125,7 @@ def frequent_shingles(docs: DataFrame, k: int = WORDS, above: int = FREQUENT, fl
     return sent.groupBy("bucket").applyInArrow(counted, "element long, n long"), bits
 
 
-def _prefixes(docs: DataFrame, k: int, percent: int, frequent: np.ndarray, bits: int) -> DataFrame:
+def _prefixes(docs: DataFrame, k: int, percent: int, frequent: np.ndarray) -> DataFrame:
     """doc_id, n, sig (of the set), pre (of the prefix), rare and common (the prefix by frequency)."""
     sent = docs.sparkSession.sparkContext.broadcast(frequent)
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -129,9 +144,7 @@ def _prefixes(docs: DataFrame, k: int, percent: int, frequent: np.ndarray, bits:
                 if n == 0:
                     row = (0, 0, 0, 0, None, None)
                 else:
-                    cut = s >> np.uint64(32 - bits)
-                    at = np.searchsorted(common, cut)
-                    is_common = common[np.minimum(at, len(common) - 1)] == cut if len(common) else np.zeros(n, bool)
+                    is_common = passes(common, (s >> np.uint64(64 - FILTER_BITS)).view(np.int64))
                     p = prefix_length(n, percent)
                     rare = s[~is_common][:p]
                     more = s[is_common][: p - len(rare)]
@@ -146,7 +159,9 @@ def _prefixes(docs: DataFrame, k: int, percent: int, frequent: np.ndarray, bits:
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """pairs (a, b, hub) with ``same``; where a is the hub of b, with the prefixes of their differences."""
+    """pairs (a, b, hub) with ``same``; where a is the hub of b, with the prefixes of their differences.
+
+    A pair takes the set of b along, and b is in few pairs; the set of a hub meets its many pairs in the last join, once a part."""
     spark = docs.sparkSession
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     words = spark.sparkContext.broadcast(bit_filter(ids, "id"))
@@ -162,8 +177,8 @@ def _verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFr
     kind = docs.schema["doc_id"].dataType.simpleString()
     own = text_bytes(docs, "doc_id").where("doc_id is not null").withColumn("slot", filter_slot("doc_id")).mapInArrow(sets, f"id {kind}, set binary")
     own = own.join(ids, "id", "left_semi")
-    with_a = pairs.join(own.select(F.col("id").alias("a"), F.col("set").alias("set_a")), "a")
-    both = with_a.join(own.select(F.col("id").alias("b"), F.col("set").alias("set_b")), "b")
+    with_b = pairs.join(own.select(F.col("id").alias("b"), F.col("set").alias("set_b")), "b")
+    both = salted_join(with_b, own.select(F.col("id").alias("a"), F.col("set").alias("set_a")), "a", pairs.groupBy("a").agg(F.count("*").alias("n")), pairs.count())
 
     def compare(it):
         for b in it:
@@ -195,32 +210,34 @@ def differences(hub: np.ndarray, x: np.ndarray, same: bool, percent: int) -> tup
     return delta[: len(delta) - need + 1], None if same else delta[: len(delta) - weak + 1], [len(hub), len(new), len(gone), need, weak]
 
 
-def jaccard_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT, max_frequent: int = MAX_FREQUENT) -> DataFrame:
+def jaccard_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT) -> DataFrame:
     """doc_id, n_shingles, representative, component_id for every row; see also :func:`jaccard_links`."""
-    return _join(docs, k, percent, frequent, max_frequent)[0]
+    return _join(docs, k, percent, frequent)[0]
 
 
-def jaccard_links(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT, max_frequent: int = MAX_FREQUENT) -> DataFrame:
+def jaccard_links(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, frequent: int = FREQUENT) -> DataFrame:
     """Verified links (a, b) between representatives, enough of them to connect every class."""
-    return _join(docs, k, percent, frequent, max_frequent)[1]
+    return _join(docs, k, percent, frequent)[1]
 
 
-def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: int) -> tuple[DataFrame, DataFrame]:
+def _join(docs: DataFrame, k: int, percent: int, frequent: int) -> tuple[DataFrame, DataFrame]:
     spark = docs.sparkSession
     ship(spark)
     docs = docs.select("doc_id", "text")
     often, bits = frequent_shingles(docs, k, frequent)
-    top = often.orderBy(F.desc("n"), "element").limit(max_frequent).select("element").toArrow()["element"].to_numpy()
-    order = np.sort(top).astype(np.uint64)
+    common = slot_filter(often, F.shiftright("element", 32 + bits - FILTER_BITS), FILTER_BITS)
     release(spark)
-    rows = stored(_prefixes(docs, k, percent, order, bits), "prefixes")
+    rows = stored(_prefixes(docs, k, percent, common), "prefixes")
 
     # equal sets -> representative; equal prefix and size -> group
     full = rows.where("n > 0 and doc_id is not null")
-    reps = full.groupBy("n", "pre", "sig", "sig2").agg(F.min("doc_id").alias("rep"))
-    groups = full.groupBy("n", "pre").agg(F.min("doc_id").alias("g"))
-    member = stored(reps.join(groups, ["n", "pre"]), "members")  # n, pre, sig, sig2, rep, g
-    keys = full.join(groups.select(F.col("g").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    reps = stored(full.groupBy("n", "pre", "sig", "sig2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n_docs")), "sets")
+    alike = F.struct("n", "pre").alias("s")
+    groups = reps.groupBy(alike).agg(F.min("rep").alias("g"), F.count("*").alias("n"))
+    member = salted_join(reps.select(alike, "n", "sig", "sig2", "rep", "n_docs"), groups.select("s", "g"), "s", groups.select("s", "n"), reps.count())
+    member = stored(member.select("n", "sig", "sig2", "rep", "n_docs", "g"), "members")
+    dropped(reps)
+    keys = full.join(member.select(F.col("g").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     # n and the number of frequent elements of the prefix share a long: it is sent once per element
     keys = keys.select(F.col("doc_id").alias("g"), (F.col("n") * 2**31 + F.size("common")).alias("nh"), "rare", "common")
 
@@ -237,21 +254,26 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     given = F.least(F.col("na").bitwiseAND(2**31 - 1), F.col("nb").bitwiseAND(2**31 - 1))
     shared = shared.where(F.col("c") >= least - given).select("ga", "gb")
     # members of groups that are not alone; most groups are
-    size = member.groupBy("g").agg(F.count("*").alias("m")).where("m > 1")
-    many = member.join(size, "g", "left_semi").select("g", "rep")
+    size = member.groupBy("g").agg(F.count("*").alias("n")).where("n > 1")
+    many = stored(salted_join(member.select("g", "rep"), size.select("g"), "g", size, member.count()), "many")
     expanded = shared.join(many.select(F.col("g").alias("ga"), F.col("rep").alias("ra")), "ga", "left").join(many.select(F.col("g").alias("gb"), F.col("rep").alias("rb")), "gb", "left")
     near = expanded.select(F.coalesce("ra", "ga").alias("p"), F.coalesce("rb", "gb").alias("q"))
 
     # frequent elements and groups with members: blocks with a hub
-    blocks = keys.select(F.explode("common").alias("e"), "g").join(many, "g", "left").select("e", F.coalesce("rep", "g").alias("rep"))
-    blocks = blocks.union(many.select(F.xxhash64("g", F.lit("group")).alias("e"), "rep"))
-    hubs = blocks.groupBy("e").agg(F.min("rep").alias("hub"))
-    to_hub = blocks.join(hubs, "e").where("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b"), F.lit(True).alias("hub"))
+    elements = keys.select(F.explode("common").alias("e"), "g")
+    of_many = salted_join(many, elements.join(size.select("g"), "g", "left_semi"), "g", size, many.count()).select("e", "rep")
+    blocks = elements.join(size.select("g"), "g", "left_anti").select("e", F.col("g").alias("rep")).union(of_many)
+    blocks = stored(blocks.union(many.select(F.xxhash64("g", F.lit("group")).alias("e"), "rep")), "blocks")
+    hubs = stored(blocks.groupBy("e").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1"), "hubs")
+    to_hub = salted_join(blocks, hubs.select("e", "hub"), "e", hubs, blocks.count())
+    to_hub = to_hub.where("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b"), F.lit(True).alias("hub"))
     pairs = near.where("p <> q").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), F.lit(False).alias("hub"))
     pairs = pairs.union(to_hub).groupBy("a", "b").agg(F.max("hub").alias("hub"))
     pairs = stored(pairs, "pairs")
+    dropped(many, blocks, hubs)
     release(spark)
     first = stored(_verified(docs, pairs, k, percent), "verified")
+    dropped(pairs)
     release(spark)
 
     # what blocks could still link: members of different components that share a difference to their hub
@@ -279,14 +301,17 @@ def _join(docs: DataFrame, k: int, percent: int, frequent: int, max_frequent: in
     across = sharing(row(F.col("same"), "near", 3, "x"), row(~F.col("same"), "far", 4, "y"), F.lit(True))
     rest = apart.union(across).distinct()
     rest = stored(rest.join(first.select("a", "b"), ["a", "b"], "left_anti").withColumn("hub", F.lit(False)), "rest")
+    dropped(at)
     if not rest.isEmpty():
         more = stored(_verified(docs, rest, k, percent), "verified2").where("same").select("a", "b")
         links = links.union(more)
         release(spark)
         so_far = stored(components(links, "a", "b"), "components2")
-    of_rep = member.join(so_far, member.rep == so_far.rec_id, "left").select("sig", "sig2", "n", "rep", F.coalesce("component", "rep").alias("component"))
+    same_set = F.struct("sig", "sig2", "n").alias("s")
+    of_rep = stored(member.join(so_far, member.rep == so_far.rec_id, "left").select(same_set, "rep", F.coalesce("component", "rep").alias("component"), "n_docs"), "classes")
+    dropped(member)
     # a representative's row goes to all documents with its set
-    out = rows.select("doc_id", "n", "sig", "sig2").join(of_rep, ["sig", "sig2", "n"], "left")
+    out = salted_join(rows.select("doc_id", "n", same_set), of_rep.select("s", "rep", "component"), "s", of_rep.select("s", F.col("n_docs").alias("n")), rows.count(), "left")
     own = F.col("n") == 0
     classes = out.select("doc_id", F.col("n").alias("n_shingles"), F.when(own | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("rep")).alias("representative"), F.when(own | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"))
     return classes, links

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from headcount.sources.shipping import ship  # noqa: F401
-from headcount.sources.storage import release, shared_dir, stored  # noqa: F401
+from headcount.sources.storage import dropped, release, shared_dir, stored  # noqa: F401
 
 #: The characters between words, fixed by the contract of the operators: space, tab, line feed, vertical tab, form feed,
 #: carriage return. ``bytes.split()`` splits at exactly these.
@@ -107,12 +107,36 @@ def batches(it, columns: tuple[str, ...], at_once: int = 256) -> Iterator[tuple]
             yield from zip(*(c.slice(start, at_once).to_pylist() for c in cols), strict=True)
 
 
+# --- joins on keys of which some have very many rows ------------------------------------------------------------------------------
+
+LEAST_HOT, MOST_HOT = 1_000, 20_000
+
+
+def salted_join(many: DataFrame, few: DataFrame, key: str, counts: DataFrame, total: int, how: str = "inner") -> DataFrame:
+    """``many`` joined with the few rows per key of ``few``; no task gets all rows of a key that has very many.
+
+    ``counts`` (key, n) holds the rows per key of ``many``, ``total`` in all. Keys with more than ``total / MOST_HOT`` rows, of
+    which there can be no more than ``MOST_HOT``, are broadcast with their counts; their rows are dealt to as many parts as it
+    takes, and each part gets a copy of the rows of ``few``. Whatever AQE would do, this needs no threshold in bytes."""
+    limit = max(LEAST_HOT, total // MOST_HOT)
+    hot = F.broadcast(counts.where(F.col("n") > limit).select(F.col(key).alias("_k"), F.ceil(F.col("n") / limit).cast("int").alias("_parts")))
+    parts = F.coalesce("_parts", F.lit(1))
+    own = F.when(F.col("_parts").isNotNull(), F.pmod(F.xxhash64(*(F.col(f"`{c}`") for c in many.columns if c != key)), parts).cast("int")).otherwise(0)
+    left = many.join(hot, many[key] == F.col("_k"), "left").withColumn("_part", own).drop("_k", "_parts")
+    right = few.join(hot, few[key] == F.col("_k"), "left").withColumn("_part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("_k", "_parts")
+    return left.join(right, [key, "_part"], how).drop("_part")
+
+
 # --- a bit filter of fixed size: says "surely not" or "perhaps"; it only saves work, results never depend on it --------------------
 
 
 def bit_filter(df: DataFrame, col: str, bits: int = 26) -> np.ndarray:
     """Bits set at the hash of each value. 2^bits bits whatever the data's size; a full filter lets everything pass."""
-    slot = F.shiftrightunsigned(F.xxhash64(F.col(col)), 64 - bits)
+    return slot_filter(df, F.shiftrightunsigned(F.xxhash64(F.col(col)), 64 - bits), bits)
+
+
+def slot_filter(df: DataFrame, slot: Column, bits: int) -> np.ndarray:
+    """The same from slots, numbers below 2^bits."""
     words = (
         df.select(F.shiftright(slot, 6).alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), (slot % 64).cast("int")).alias("b"))
         .groupBy("w")

@@ -12,7 +12,8 @@ Two forms:
   2. Every window of ``window`` words selects its least 10-gram hash as anchor, so equal windows select equal anchors. About one
      10-gram in twenty is an anchor of anything. Anchors that occur in one text only are dropped, and with them most windows.
   3. The remaining windows are hashed (64 bits); the least document of each hash is aggregated before the shuffle, so that a
-     passage in a third of all documents costs a row per task. Windows of later documents are hits.
+     passage in a third of all documents costs a row per task. Windows of later documents are hits; the join that tells them
+     deals the rows of hot hashes, and those of hot texts, to many tasks.
   4. Documents without hits, which a bit filter of fixed size tells, never leave their scan task.
 
 Windows are judged on the input. Words are split at ASCII blanks and kept unchanged; what is left is joined by one space.
@@ -31,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import SuffixAutomaton
-from .shared import batches, bit_filter, filter_slot, gram_hashes, passes, release, ship, stored, text_bytes, word_hashes
+from .shared import batches, bit_filter, dropped, filter_slot, gram_hashes, passes, release, salted_join, ship, stored, text_bytes, word_hashes
 
 WINDOW, ANCHOR, SHARD_WORDS, MAX_SHARDS = 50, 10, 100_000, 4
 
@@ -52,8 +53,9 @@ def _copies(docs: DataFrame) -> DataFrame:
     return docs.where("doc_id is not null and text is not null").select("doc_id", F.xxhash64("text").alias("s1"), (F.hash("text").cast("long") * 2**31 + F.octet_length("text")).alias("s2"))
 
 
-def hit_windows(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, starts): the first words of hit windows of least copies; and (doc_id): the other copies."""
+def hit_windows(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR) -> tuple[DataFrame, DataFrame, list[DataFrame]]:
+    """(doc_id, starts): the first words of hit windows of least copies; (doc_id): the other copies; and the written tables that
+    both read."""
     spark = docs.sparkSession
     ship(spark)
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -101,10 +103,15 @@ def hit_windows(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR) ->
     some = text_bytes(docs, "doc_id").where("doc_id is not null").withColumn("slot", filter_slot("doc_id")).mapInArrow(only_near, f"doc_id {kind}, text binary")
     windows = stored(some.join(wanted, "doc_id").mapInArrow(hash_windows, f"doc_id {kind}, start int, h long"), "windows")
     release(spark)
-    first = windows.groupBy("h").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("h", "first")
-    hits = windows.join(first, "h").where("doc_id > first").groupBy("doc_id").agg(F.collect_set("start").alias("starts"))
-    others = texts.join(least, ["s1", "s2"]).where("doc_id <> rep").select("doc_id").distinct()
-    return hits, others
+    dropped(anchors)
+    first = windows.groupBy("h").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("first < last")
+    first = stored(first.select("h", "first", "n"), "first")
+    dropped(wanted)
+    hits = salted_join(windows, first.select("h", "first"), "h", first, windows.count()).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("start").alias("starts"))
+    same = texts.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1").withColumn("s", F.struct("s1", "s2"))
+    copies = texts.select(F.struct("s1", "s2").alias("s"), "doc_id")
+    others = salted_join(copies, same.select("s", "rep"), "s", same.select("s", "n"), texts.count()).where("doc_id <> rep").select("doc_id").distinct()
+    return hits, others, [windows, first, texts]
 
 
 def _judge(text: bytes, starts, window: int, whole: bool) -> tuple[list[bytes], np.ndarray]:
@@ -125,9 +132,10 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR)
     """doc_id, n_words, n_removed, kept (the words left, joined by a space), removed (spans of words) of all documents."""
     spark = docs.sparkSession
     kind = docs.schema["doc_id"].dataType.simpleString()
-    hits, others = hit_windows(docs, window, anchor)
+    hits, others, read = hit_windows(docs, window, anchor)
     touched = stored(hits.withColumn("whole", F.lit(False)).unionByName(others.select("doc_id", F.array().cast("array<int>").alias("starts"), F.lit(True).alias("whole"))).groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"), F.max("whole").alias("whole")), "touched")
     release(spark)
+    dropped(*read)
     near = spark.sparkContext.broadcast(bit_filter(touched, "doc_id"))
     schema = f"doc_id {kind}, n_words long, n_removed long, kept binary, removed array<struct<a:int,b:int>>"
     span = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))

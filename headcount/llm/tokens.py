@@ -1,7 +1,8 @@
 """Byte-level BPE ids by a public vocabulary: one regular-expression pass, each distinct piece encoded once per worker.
 
 A byte-level BPE encodes the pieces of its pattern one by one, so remembering the ids of pieces gives the same ids as
-encoding the whole text; the tests hold both against each other. The memory is bounded; what no longer fits is encoded anew.
+encoding the whole text; the tests hold both against each other. The memory is bounded in pieces and
+their length (some 200 bytes a piece); what no longer fits is encoded anew.
 """
 
 from __future__ import annotations
@@ -24,14 +25,14 @@ def _byte_letters() -> dict[int, str]:
 class _Pieces(dict):
     """Piece -> ids. A new piece goes to the tokenizer's model directly, without offsets, masks and pattern."""
 
-    def __init__(self, tokenizer, limit: int):
+    def __init__(self, tokenizer, limit: int, longest: int):
         super().__init__()
-        self._model, self._limit, self._letters = tokenizer.model, limit, _byte_letters()
+        self._model, self._limit, self._longest, self._letters = tokenizer.model, limit, longest, _byte_letters()
 
     def __missing__(self, piece: str) -> bytes:
         found = self._model.tokenize(piece.encode().decode("latin-1").translate(self._letters))
         ids = array("I", [t.id for t in found]).tobytes()
-        if len(self) < self._limit:
+        if len(self) < self._limit and len(piece) <= self._longest:
             self[piece] = ids
         return ids
 
@@ -48,7 +49,7 @@ def narrow_pattern() -> re.Pattern:
 
 
 class ByteBpe:
-    def __init__(self, path: str, remember: int = 600_000):
+    def __init__(self, path: str, remember: int = 600_000, longest: int = 48):
         import public_tokenizers
         import regex
         from tokenizers import Tokenizer
@@ -56,7 +57,7 @@ class ByteBpe:
         t = Tokenizer.from_file(path)
         t.encode_special_tokens = True  # their strings in a text are ordinary text
         self._find, self._find_narrow = regex.compile(public_tokenizers.PATTERN).findall, narrow_pattern().findall
-        self._ids = _Pieces(t, remember).__getitem__
+        self._ids = _Pieces(t, remember, longest).__getitem__
 
     def encode(self, text: str) -> bytes:
         """Little-endian unsigned 32-bit ids."""
