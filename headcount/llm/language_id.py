@@ -1,14 +1,17 @@
 """Language identification by a byte convolutional network, trained and applied in numpy.
 
-Bytes become 64 symbols. Filters of widths 2, 3 and 4 run over windows of ``WINDOW`` bytes; each filter keeps its largest value
-(max pooling), a rectifier and a softmax layer follow. Because the symbols are few, a filter's value is a sum of table rows:
-convolution is looking up and adding. A document's prediction is the mean of the log-probabilities of all its windows.
+Filters of widths 2, 3 and 4 run over windows of ``WINDOW`` bytes, all 256 of which are symbols of their own; each filter keeps
+its largest value (max pooling), a rectifier and a softmax layer follow. A filter's value is a sum of table rows, one for
+each byte under it: convolution is looking up and adding. A document's prediction is the mean of the log-probabilities of all
+its windows.
 
-Trained on a bounded sample of labelled rows (``max_rows`` documents with the least hash of their id, ``per_doc`` windows each);
+Trained on a bounded sample of labelled documents (the ``max_rows`` with the least hash of their id, ``per_doc`` windows each);
 applied to every window of every text.
 
-Defined cases: null texts and texts without a letter are ``und`` with score 0; without labelled rows all are; rows with null
-lang or null id are not learned from; repeated rows get repeated predictions.
+Defined cases: null texts and texts without a letter are ``und`` with score 0; without labelled rows all are; texts of any
+length are read whole, some windows at a time; rows with null lang or null id are not learned from, and of repeated ids the
+least (lang, text) is; rows with null or repeated ids are predicted like others; of equally likely languages the first by name
+is taken; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,31 +24,14 @@ from pyspark.sql import functions as F
 from .quality_classifier import held_out
 from .shared import batches, ship
 
-WINDOW, FILTERS, WIDTHS, SYMBOLS, MAX_ROWS, PER_DOC = 128, 16, (2, 3, 4), 64, 3_000, 4
-
-
-def _symbols() -> np.ndarray:
-    """Letters without case 0-25, blanks 26, digits 27, other ASCII 28, lead bytes 29-31, continuation bytes 32-63."""
-    t = np.full(256, 28, np.uint8)
-    t[9:14] = t[32] = 26
-    t[48:58] = 27
-    t[65:91] = t[97:123] = np.arange(26)
-    t[128:192] = 32 + np.arange(64) % 32
-    t[192:256] = 31
-    t[195] = 29
-    t[194] = t[196] = t[197] = 30
-    return t
-
-
-TABLE = _symbols()
+WINDOW, FILTERS, WIDTHS, SYMBOLS, MAX_ROWS, PER_DOC, BLANK = 128, 16, (2, 3, 4), 256, 3_000, 4, 32
 
 
 def windows(text: bytes, length: int = WINDOW) -> np.ndarray:
-    """All windows of a text as rows of symbols; the last is filled up with blanks."""
-    a = TABLE[np.frombuffer(text, np.uint8)]
-    n = max(1, -(-len(a) // length))
-    out = np.full(n * length, 26, np.uint8)
-    out[: len(a)] = a
+    """All windows of a text as rows of bytes; the last is filled up with blanks."""
+    n = max(1, -(-len(text) // length))
+    out = np.full(n * length, BLANK, np.uint8)
+    out[: len(text)] = np.frombuffer(text, np.uint8)
     return out.reshape(n, length)
 
 
@@ -116,21 +102,24 @@ class ByteNetwork:
 
 
 class Compiled:
-    """Tables over pairs and triples of symbols: two to four look-ups a byte."""
+    """One table over pairs of bytes, with the columns of all filters, and one over the last byte of the filters of width 3: two
+    look-ups a byte."""
 
     def __init__(self, net: ByteNetwork):
         self.net = net
         c2, c3, c4 = (net.conv[w] for w in WIDTHS)
-        pair = lambda a, b: (a[:, None, :] + b[None, :, :]).reshape(SYMBOLS**2, -1)
-        self.two, self.four = pair(c2[0], c2[1]), (pair(c4[0], c4[1]), pair(c4[2], c4[3]))
-        self.three = (pair(c3[0], c3[1])[:, None, :] + c3[2][None, :, :]).reshape(SYMBOLS**3, -1)
+        first = np.concatenate([c2[0], c3[0], c4[0], c4[2]], 1)
+        second = np.concatenate([c2[1], c3[1], c4[1], c4[3]], 1)
+        self.pair = (first[:, None, :] + second[None, :, :]).reshape(SYMBOLS**2, -1)
+        self.last = np.ascontiguousarray(c3[2])
 
     def log_probabilities(self, x: np.ndarray) -> np.ndarray:
-        x = x.astype(np.int32)
-        p = x[:, :-1] * SYMBOLS + x[:, 1:]
-        two = np.take(self.two, p, 0).max(1)
-        three = np.take(self.three, p[:, :-1] * SYMBOLS + x[:, 2:], 0).max(1)
-        four = (np.take(self.four[0], p[:, :-2], 0) + np.take(self.four[1], p[:, 2:], 0)).max(1)
+        f = self.net.filters
+        x = x.astype(np.intp)
+        g = np.take(self.pair, x[:, :-1] * SYMBOLS + x[:, 1:], 0)
+        two = g[:, :, :f].max(1)
+        three = (g[:, :-1, f : 2 * f] + np.take(self.last, x[:, 2:], 0)).max(1)
+        four = (g[:, :-2, 2 * f : 3 * f] + g[:, 2:, 3 * f :]).max(1)
         return np.log(self.net.probabilities(np.concatenate([two, three, four], 1) + self.net.bias) + 1e-12)
 
 
@@ -138,8 +127,9 @@ def train(docs: DataFrame, max_rows: int = MAX_ROWS, per_doc: int = PER_DOC) ->
     """Learns from documents that are not held out and have a lang; their windows reach the driver (2 MB at most)."""
     ship(docs.sparkSession)
     known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & F.col("text").rlike(r"\p{L}") & ~held_out())
-    ids = known.select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    rows = known.join(F.broadcast(ids.distinct()), "doc_id", "left_semi").select("doc_id", "lang", F.col("text").cast("binary").alias("text"))
+    ids = known.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
+    one = known.join(F.broadcast(ids), "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct("lang", "text")).alias("r"))
+    rows = one.select("doc_id", F.col("r.lang").alias("lang"), F.col("r.text").cast("binary").alias("text"))
 
     def cut(it):
         for b in it:
@@ -162,7 +152,7 @@ def train(docs: DataFrame, max_rows: int = MAX_ROWS, per_doc: int = PER_DOC) ->
     return ByteNetwork(classes).fit(x, np.array([classes.index(c) for c in langs]))
 
 
-def identify(docs: DataFrame, model: ByteNetwork | None, chunk: int = 1024) -> DataFrame:
+def identify(docs: DataFrame, model: ByteNetwork | None, chunk: int = 128) -> DataFrame:
     """doc_id, lang_pred, score of every document."""
     spark = docs.sparkSession
     ship(spark)

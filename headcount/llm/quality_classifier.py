@@ -3,11 +3,13 @@
 score = sigmoid(w0 + sum w_i x_i + 1/2 sum_f [(sum v_if x_i)^2 - sum v_if^2 x_i^2]): all pairs of features interact through
 ``RANK`` factors at a cost linear in the features of a text.
 
-Trained in numpy (AdaGrad) on a bounded sample of labelled rows: at most ``max_rows``, those with the least hash of their id;
-scoring covers every whole text. Words are split at ASCII blanks and hashed to ``BUCKETS`` numbers.
+Trained in numpy (AdaGrad) on a bounded sample of labelled documents: at most ``max_rows``, those with the least hash of their
+id; scoring covers every whole text. Words are split at ASCII blanks and hashed to ``BUCKETS`` numbers.
 
-Defined cases: null and empty texts are scored by their (empty) structure; without labels every score is 0.5; null labels
-and null ids are not learned from; a null metadata value is a feature of its own; repeated rows get repeated scores.
+Defined cases: null and empty texts are scored by their (empty) structure; texts of any length are read whole; without labels
+every score is near 0.5; null labels and null ids are not learned from, and of repeated ids the least label and the least row are; a
+null metadata value is a feature of its own; rows with null or repeated ids are scored like others; a score of exactly 0.5
+counts as label 1; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -114,8 +116,10 @@ def train(docs: DataFrame, labels: DataFrame, metadata: tuple[str, ...] = (), ma
     """Learns from labelled rows that are not held out; texts become features before they reach the driver."""
     ship(docs.sparkSession)
     sample = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).select("doc_id", F.col(label).cast("int").alias("y"))
-    sample = sample.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_rows)
-    rows = _texts(docs.join(F.broadcast(sample), "doc_id"), "doc_id", "y", *metadata)  # at most max_rows rows are broadcast
+    sample = sample.groupBy("doc_id").agg(F.min("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
+    one = docs.select("doc_id", F.struct("text", *metadata).alias("r")).join(F.broadcast(sample), "doc_id")  # at most max_rows rows are broadcast
+    one = one.groupBy("doc_id").agg(F.min("y").alias("y"), F.min("r").alias("r"))
+    rows = _texts(one.select("doc_id", "y", "r.*"), "doc_id", "y", *metadata)
 
     def build(it):
         for b in it:

@@ -2,21 +2,26 @@
 
 The fixed patterns give the base spans. The battery looks
 at other runs of 20 or more code characters that hold a letter and a digit, infers their encoding (hexadecimal, base 32,
-letters and digits of one or both cases, base 64) and computes
+letters and digits of one or both cases, base 64) and runs three tests of the hypothesis that the symbols are drawn at random
+from that alphabet:
 
-* the chi-squared distance of the symbol counts from uniform use of the alphabet. Text repeats symbols more often than chance
-  does, so the statistic is compared with its mean and spread under text: a small p value speaks against "text";
-* the runs above and below the middle of the alphabet and the serial correlation of neighbours, as normal scores under
-  randomness; a run of symbols that either rejects (a counter, an alphabet) is no secret, whatever its counts.
+* chi-squared uniformity: the statistic of the symbol counts against equal use of the alphabet. Runs are short for their
+  alphabets, so its mean and spread are taken exactly from the multinomial law, not from the limit law;
+* runs above and below the middle of the alphabet;
+* serial correlation of neighbours.
 
-The p values of a document's candidates go through a Benjamini-Hochberg step-up with weights in proportion to length, as
-short runs carry little evidence.
+The squares of the three normal scores add up to a chi-squared statistic with three degrees of freedom; what it rejects (a
+word, a counter, an alphabet) is no secret. What passes may still be text that happens to look even, and the shorter it is the likelier that is: the p value of a candidate is the chance that text, whose symbols repeat
+more often, has as small a chi-squared statistic. These p values go through a Benjamini-Hochberg step-up over the document's
+candidates with weights in proportion to length, as short runs carry little evidence.
 
 Positions are code points, ends exclusive. They are found without user functions: the pieces between the matches of a
-pattern and the matches themselves alternate, so running sums of their lengths are the places.
+pattern and the matches themselves alternate, so running sums of their lengths are the places. Running values and overlaps go
+by blocks of matches, so that a text with many thousands of matches stays cheap.
 
 Defined cases: a null text is empty and has no spans; a text without any trace of the patterns skips the span search; very
-long texts are scanned whole; ties of start are ordered by kind; empty tables and extra columns are fine.
+long texts are scanned whole; ties of start are ordered by kind; null and repeated ids are rows like others; repeated rows give
+repeated results; empty tables and extra columns are fine.
 """
 
 from __future__ import annotations
@@ -37,7 +42,9 @@ LONG = {"access": "AKIA[A-Z0-9]{16,}+", "hex": "[0-9a-f]{24,}+"}
 KINDS = ("assign", "access", "hex", "random")
 RUN = r"[A-Za-z0-9+/_-]{20,}+={0,2}+"
 RUN_TRACE = r"(?=[A-Za-z+/_-]*+[0-9])[A-Za-z0-9+/_-]{20}"
-FALSE_DISCOVERIES, OUTLYING = 0.01, 3.3
+FALSE_DISCOVERIES = 0.01
+#: 99 % quantile of the chi-squared law with three degrees of freedom: what the squared scores of the three tests add up to at most.
+OUTLYING = 11.345
 #: Chance that two symbols of a text are equal, about that of English letters.
 TEXT_REPEATS = 0.065
 #: Alphabets in their usual order.
@@ -50,18 +57,47 @@ ALPHABETS = {
 }
 MASK = "[secret]"
 
+BLOCK = 64
+
+
+def _blocks(values: Column, body) -> Column:
+    """``body`` of each stretch of BLOCK neighbouring elements."""
+    n = F.ceil(F.size(values) / BLOCK).cast("int")
+    at = F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>"))
+    return F.transform(at, lambda j: body(F.slice(values, j * BLOCK + 1, F.lit(BLOCK))))
+
+
+def running(values: Column, join, zero: int = 0) -> Column:
+    """Running value before each element of an array of ints, for an associative ``join`` (sum, greatest): within blocks, then
+    over the blocks. An aggregate that appends to one array copies it at every step; blocks keep those copies short."""
+    empty = F.array().cast("array<int>")
+    start = F.struct(F.lit(zero).alias("v"), empty.alias("out"))
+    step = lambda a, x: F.struct(join(a["v"], x).alias("v"), F.concat(a["out"], F.array(a["v"])).alias("out"))
+    inner = _blocks(values, lambda b: F.aggregate(b, start, step))
+    before = lambda i: F.aggregate(F.transform(i, lambda x: x["v"]), start, step, lambda a: a["out"])
+    return let(inner, lambda i: F.flatten(F.zip_with(i, before(i), lambda x, v: F.transform(x["out"], lambda y: join(v, y)))))
+
+
 def _places(text: Column, pattern: str, kind: int) -> Column:
     """All matches of the pattern: kind, start, end, match."""
-    zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<kind:int,start:int,end:int,found:string>>").alias("out"))
+    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
 
-    def step(a, x):
-        start = a["at"] + F.length(x["gap"])
-        end = start + F.length(x["found"])
-        return F.struct(end.alias("at"), F.concat(a["out"], F.array(F.struct(F.lit(kind).alias("kind"), start.alias("start"), end.alias("end"), x["found"].alias("found")))).alias("out"))
+    def placed(m):
+        gaps = F.transform(F.slice(F.split(text, pattern, -1), F.lit(1), F.size(m)), lambda g: F.length(g))
+        both = F.zip_with(gaps, m, lambda g, f: F.struct(g.alias("gap"), F.length(f).alias("own"), f.alias("found")))
 
-    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    pairs = let(found, lambda m: F.zip_with(F.slice(F.split(text, pattern, -1), F.lit(1), F.size(m)), m, lambda g, f: F.struct(g.alias("gap"), f.alias("found"))))
-    return F.aggregate(pairs, zero, step, lambda a: a["out"])
+        def whole(p):
+            before = running(F.transform(p, lambda x: x["gap"] + x["own"]), lambda a, x: a + x)
+
+            def one(x, at):
+                start = at + x["gap"]
+                return F.struct(F.lit(kind).alias("kind"), start.alias("start"), (start + x["own"]).alias("end"), x["found"].alias("found"))
+
+            return F.zip_with(p, before, one)
+
+        return let(both, whole)
+
+    return let(found, placed)
 
 
 def base_spans(text: Column) -> Column:
@@ -75,7 +111,6 @@ def base_spans(text: Column) -> Column:
     return let(F.concat(assign, access, hexes), lambda s: F.when(F.size(s) < 2, s).otherwise(F.array_sort(s, order)))
 
 
-
 def _symbols(run: Column) -> Column:
     """struct(k, x): size of the inferred alphabet and the symbols as numbers below it."""
     core = F.regexp_replace(run, "[^A-Za-z0-9]", "")
@@ -97,7 +132,8 @@ def _symbols(run: Column) -> Column:
 
 
 def randomness(run: Column) -> Column:
-    """struct(n, k, repeats, runs, serial, p) of one run of code characters; p is that of the hypothesis "text"."""
+    """struct(n, k, chi, runs, serial, uneven, p) of one run of code characters: the statistics, the last three of them as normal
+    scores under randomness, and p of the hypothesis "text", which is 1 where the tests reject randomness."""
 
     def scores(v):
         x, k = v["x"], v["k"].cast("double")
@@ -119,14 +155,17 @@ def randomness(run: Column) -> Column:
         )
 
     def p_text(s):
-        # The chi-squared statistic is k / n * (equal pairs + n) - n, so its distribution under text is that of the pairs.
+        # The chi-squared statistic is k / n * (equal pairs + n) - n, so its law is that of the pairs: under uniform use their
+        # mean is n (n - 1) / k and their variance 2 n (n - 1) / k (1 - 1 / k).
+        even = s["n"] * (s["n"] - 1) / s["k"]
+        uneven = (s["pairs"] - even) / F.sqrt(2 * even * (1 - 1 / s["k"]))
         n, repeats = s["n"], F.greatest(F.lit(TEXT_REPEATS), 2 / s["k"])
         expected = n * (n - 1) * repeats
         spread = F.sqrt(2 * expected + 4 * n * (n - 1) * (n - 2) * 0.3 * repeats * repeats)
         z = (s["pairs"] - expected) / spread
         normal = 1 / (1 + F.exp(-(1.5976 * z + 0.07056 * z * z * z)))
-        ordered = (F.abs(s["runs"]) > OUTLYING) | (F.abs(s["serial"]) > OUTLYING)
-        return F.struct(*(s[c].alias(c) for c in ("n", "k", "chi", "runs", "serial")), F.when(ordered, 1.0).otherwise(normal).alias("p"))
+        rejected = F.pow(uneven, F.lit(2)) + F.pow(s["runs"], F.lit(2)) + F.pow(s["serial"], F.lit(2)) > OUTLYING
+        return F.struct(*(s[c].alias(c) for c in ("n", "k", "chi", "runs", "serial")), uneven.alias("uneven"), F.when(rejected, 1.0).otherwise(normal).alias("p"))
 
     return let(_symbols(run), lambda v: let(scores(v), p_text))
 
@@ -150,9 +189,10 @@ def random_spans(text: Column, base: Column) -> Column:
     """Spans (kind, start, end, found) that the battery adds: none overlaps a base span."""
     none = F.array().cast("array<struct<kind:int,start:int,end:int,found:string>>")
 
-    def search(b):
+    def search(blocks):
         def free(x):
-            return x["found"].rlike("[0-9]") & x["found"].rlike("[A-Za-z]") & ~F.exists(b, lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"]))
+            meets = lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"])
+            return x["found"].rlike("[0-9]") & x["found"].rlike("[A-Za-z]") & ~F.exists(blocks, lambda o: meets(o) & F.exists(o["own"], meets))
 
         def score(x):
             r = lambda s: F.struct(x["kind"].alias("kind"), x["start"].alias("start"), x["end"].alias("end"), x["found"].alias("found"), s["p"].alias("p"), s["n"].alias("n"))
@@ -162,7 +202,10 @@ def random_spans(text: Column, base: Column) -> Column:
         plain = lambda c: F.transform(c, lambda x: F.struct(*(x[n].alias(n) for n in ("kind", "start", "end", "found"))))
         return let(F.transform(found, score), lambda c: plain(_discovered(c)))
 
-    return F.when(text.rlike(RUN_TRACE), let(base, search)).otherwise(none)
+    # base spans by blocks with their extent, so that a run is compared with the blocks and with those that it may meet
+    ends = lambda b, end, best: best(F.transform(b, lambda y: y[end]))
+    blocks = _blocks(base, lambda b: F.struct(ends(b, "start", F.array_min).alias("start"), ends(b, "end", F.array_max).alias("end"), b.alias("own")))
+    return F.when(text.rlike(RUN_TRACE), let(blocks, search)).otherwise(none)
 
 
 def scan(docs: DataFrame, *keep: str) -> DataFrame:
@@ -183,14 +226,14 @@ def listed(spans: Column) -> Column:
 
 def redacted(text: Column, spans: Column) -> Column:
     """The text with each maximal stretch of spans replaced by a mark."""
-    zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
-    def step(a, x):
-        before = F.substring(text, a["at"] + 1, x["start"] - a["at"])
-        grown = F.when(x["start"] >= a["at"], F.concat(a["out"], before, F.lit(MASK))).otherwise(a["out"])
-        return F.struct(F.greatest(a["at"], x["end"]).alias("at"), grown.alias("out"))
+    def masked(reach):
+        """``reach``: where the spans before each one end, at most."""
+        piece = lambda x, at: F.when(x["start"] >= at, F.concat(F.substring(text, at + 1, x["start"] - at), F.lit(MASK))).otherwise("")
+        last = F.array_max(F.transform(spans, lambda x: x["end"]))
+        return F.concat(F.array_join(F.zip_with(spans, reach, piece), ""), F.substring(text, last + 1, F.length(text)))
 
-    return F.when(F.size(spans) == 0, text).otherwise(F.aggregate(spans, zero, step, lambda a: F.concat(a["out"], F.substring(text, a["at"] + 1, F.length(text)))))
+    return F.when(F.size(spans) == 0, text).otherwise(let(running(F.transform(spans, lambda x: x["end"]), F.greatest), masked))
 
 
 def redact_secrets(docs: DataFrame) -> DataFrame:

@@ -2,24 +2,30 @@
 
 Groups (equal texts) stand in the order of a hash of their text. Neighbouring groups form ``2**bin_bits`` atomic blocks, a
 fixed number whatever the size of the data, so one aggregation gives an ordered list of block sizes that is small enough for
-the driver. A binary search finds the smallest capacity for which a greedy pass needs no more than ``n_shards`` shards. Blocks
-larger than an equal share become shards of their own, and the search is repeated on the stretches between them with the other
-shards; the cuts of these passes are the shards' borders. Slots within a shard come from block counts (prefix sums) and a rank within the
-block; blocks with far more rows than the mean are ranked in sub-blocks by a hash of the id, so that a text with a third of
-all rows is not ranked in one task.
-
-Defined cases: a null text has 16 bytes and is a group of its own; repeated rows get slots of their own; with fewer blocks
-than shards the last shards stay empty; an empty table gives an empty result.
+the driver; while there are far fewer groups than blocks, nearly every block is one group. A binary search finds the smallest
+capacity for which a greedy pass needs no more than ``n_shards`` shards. Any cuts that keep this capacity are minimax cuts; of
+those, the ones taken leave every shard as near as may be to an equal share of what is left, so that the slack does not
+gather in the last one. Blocks larger than an equal share become shards of their own, and the search is repeated on the
+stretches between them with the other shards. Slots within a shard come from block counts (prefix sums) and a rank within the
+block; a block with far more rows than the mean is ranked in parts by a hash of the row, as many as it takes, so that a text
+with a third of all rows is not ranked in one task.
+
+Defined cases: a null text has 16 bytes and is a group of its own; texts of any length count with all their bytes; null and
+repeated ids are rows like others; repeated rows get slots of their own (equal rows are ranked in one part); ties are ordered
+by id and text; extra columns are ignored; with fewer blocks than shards the last shards stay empty; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
 
 import heapq
+from bisect import bisect_left, bisect_right
+from itertools import accumulate
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-N_SHARDS, OVERHEAD, BIN_BITS, SALTS = 40, 16, 16, 64
+N_SHARDS, OVERHEAD, BIN_BITS = 40, 16, 16
 
 
 def greedy_cuts(sizes: list[int], capacity: int) -> list[int]:
@@ -100,7 +106,30 @@ def minimax_cuts(sizes: list[int], n_shards: int) -> list[int]:
 
 
 def minimax_of(sizes: list[int], n_shards: int) -> list[int]:
-    return greedy_cuts(sizes, smallest_capacity(sizes, n_shards))
+    return level_cuts(sizes, n_shards, smallest_capacity(sizes, n_shards))
+
+
+def level_cuts(sizes: list[int], n_shards: int, capacity: int) -> list[int]:
+    """Cuts that keep the capacity with every shard as near as may be to an equal share of what is left: a shard ends where it
+    is nearest to that, but not before the rest fits the other shards and not beyond the capacity."""
+    n, upto = len(sizes), [0, *accumulate(sizes)]
+    need = [0] * (n + 1)  # shards that the blocks from here on take at least
+    for i in range(n - 1, -1, -1):
+        need[i] = 1 + need[max(i + 1, bisect_right(upto, upto[i] + capacity) - 1)]
+    fewer = [-x for x in need]  # ascending
+    cuts, at = [], 0
+    for left in range(min(n_shards, n), 1, -1):
+        share = upto[at] + (upto[n] - upto[at]) / left
+        to = bisect_left(upto, share)
+        if to > at + 1 and share - upto[to - 1] < upto[to] - share:
+            to -= 1
+        first = max(at + 1, bisect_left(fewer, 1 - left))
+        last = max(at + 1, bisect_right(upto, upto[at] + capacity) - 1)
+        at = min(max(to, first), last)
+        if at >= n:
+            break
+        cuts.append(at)
+    return cuts
 
 
 def _block(bits: int) -> Column:
@@ -108,7 +137,7 @@ def _block(bits: int) -> Column:
     return F.shiftrightunsigned(key, 64 - bits).cast("int")
 
 
-def shard(docs: DataFrame, n_shards: int = N_SHARDS, overhead: int = OVERHEAD, bin_bits: int = BIN_BITS, salts: int = SALTS) -> DataFrame:
+def shard(docs: DataFrame, n_shards: int = N_SHARDS, overhead: int = OVERHEAD, bin_bits: int = BIN_BITS) -> DataFrame:
     """doc_id, size, text_crc32, block, shard, slot of every row."""
     rows = docs.select(
         "doc_id",
@@ -116,17 +145,17 @@ def shard(docs: DataFrame, n_shards: int = N_SHARDS, overhead: int = OVERHEAD, b
         F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("text_crc32"),
         _block(bin_bits).alias("block"),
     )
-    salt = F.pmod(F.xxhash64("doc_id"), F.lit(salts)).cast("int")
     blocks = rows.groupBy("block").agg(F.sum("size").alias("size"), F.count("*").alias("n")).orderBy("block").collect()  # 2**bin_bits rows at most
     cuts = [blocks[i]["block"] for i in minimax_cuts([b["size"] for b in blocks], n_shards)]
-    total = sum(b["n"] for b in blocks)
-    hot = [b["block"] for b in blocks if b["n"] > max(64, 8 * total / 2**bin_bits)]  # fewer than 2**bin_bits / 8
-    is_hot = F.col("block").isin(hot) if hot else F.lit(False)
-    rows = rows.withColumn("salt", F.when(is_hot, salt).otherwise(F.lit(0)))
+    limit = max(64, 8 * sum(b["n"] for b in blocks) // 2**bin_bits)
+    hot = [(b["block"], -(-b["n"] // limit)) for b in blocks if b["n"] > limit]  # their parts are fewer than 2**bin_bits / 4
+    hot = F.broadcast(docs.sparkSession.createDataFrame(hot, "block int, parts int"))
+    salt = F.pmod(F.xxhash64("doc_id", "text_crc32", "size"), F.coalesce("parts", F.lit(1))).cast("int")
+    rows = rows.join(hot, "block", "left").withColumn("salt", salt).drop("parts")
     of = F.lit(0)
     for c in cuts:
         of = of + (F.col("block") >= c).cast("int")
-    # starts of sub-blocks within their shard: a table of at most 2**bin_bits + hot * salts rows, ranked in one small window
+    # starts of sub-blocks within their shard: a table of at most 1.25 * 2**bin_bits rows, ranked in one small window
     counts = rows.groupBy("block", "salt").agg(F.count("*").alias("n")).withColumn("shard", of)
     before = Window.partitionBy("shard").orderBy("block", "salt").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select("block", "salt", "shard", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))

@@ -117,9 +117,13 @@ def salted_join(many: DataFrame, few: DataFrame, key: str, counts: DataFrame, to
 
     ``counts`` (key, n) holds the rows per key of ``many``, ``total`` in all. Keys with more than ``total / MOST_HOT`` rows, of
     which there can be no more than ``MOST_HOT``, are broadcast with their counts; their rows are dealt to as many parts as it
-    takes, and each part gets a copy of the rows of ``few``. Whatever AQE would do, this needs no threshold in bytes."""
+    takes, and each part gets a copy of the rows of ``few``. Whatever AQE would do, this needs no threshold in bytes. Without
+    such keys it is a plain join."""
     limit = max(LEAST_HOT, total // MOST_HOT)
-    hot = F.broadcast(counts.where(F.col("n") > limit).select(F.col(key).alias("_k"), F.ceil(F.col("n") / limit).cast("int").alias("_parts")))
+    hot = counts.where(F.col("n") > limit).select(F.col(key).alias("_k"), F.ceil(F.col("n") / limit).cast("int").alias("_parts"))
+    if hot.isEmpty():
+        return many.join(few, key, how)
+    hot = F.broadcast(hot)
     parts = F.coalesce("_parts", F.lit(1))
     own = F.when(F.col("_parts").isNotNull(), F.pmod(F.xxhash64(*(F.col(f"`{c}`") for c in many.columns if c != key)), parts).cast("int")).otherwise(0)
     left = many.join(hot, many[key] == F.col("_k"), "left").withColumn("_part", own).drop("_k", "_parts")
