@@ -134,11 +134,12 @@ def with_errors(row: DataFrame) -> DataFrame:
 
 def with_total_error(row: DataFrame, step: float = 1e-5) -> DataFrame:
     """Adds sd_p, the part of the error that comes from measuring p on ``n_labelled`` matches with ``hits`` in the sample, and
-    sd_total with the closed form. The share is shrunk by half a match, so that a p of 1 on few matches is not taken for
+    sd_total with the closed form, which the bounds then follow. The share is shrunk by half a match, so that a p of 1 on few matches is not taken for
     certain; its error goes through the slope of the estimate in p."""
     shrunk = (F.col("hits") + 0.5) / (F.col("n_labelled") + 1)
     se = F.sqrt(shrunk * (1 - shrunk) / F.col("n_labelled"))
     at = lambda p: F.col("s2") * weight(F.lit(2), p) + F.col("s3") * weight(F.lit(3), p)
     slope = (at(F.col("p") + step) - at(F.col("p") - step)) / (2 * step)
     row = row.withColumn("sd_p", F.abs(slope) * se)
-    return row.withColumn("sd_total", F.sqrt(F.col("variance") + F.col("sd_p") * F.col("sd_p")))
+    row = row.withColumn("sd_total", F.sqrt(F.col("variance") + F.col("sd_p") * F.col("sd_p")))
+    return row.withColumn("lo", F.col("estimate") - 1.96 * F.col("sd_total")).withColumn("hi", F.col("estimate") + 1.96 * F.col("sd_total"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .sampling import pair_hash, pair_similarity
+from .sampling import hash32, pair_hash, pair_similarity
 
 
 def label_by_truth(pairs: DataFrame, truth: DataFrame, id_col: str, entity: str) -> DataFrame:
@@ -66,7 +66,7 @@ def bootstrap_recall(pairs: DataFrame, matched: DataFrame, rounds: int = 200, se
     hit = pairs.select("id_a", "id_b").withColumn("_hit", F.lit(1))
     j = matched.select("id_a", "id_b").join(hit, ["id_a", "id_b"], "left")
     r = j.select("*", F.explode(F.sequence(F.lit(1), F.lit(rounds))).alias("round"))
-    u = F.pmod(F.xxhash64("id_a", "id_b", "round", F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+    u = hash32("id_a", "id_b", "round", F.lit(seed)) / float(2**32)
     w = F.when(u < 0.36788, 0).when(u < 0.73576, 1).when(u < 0.91970, 2).when(u < 0.98101, 3).otherwise(4)
     per = r.groupBy("round").agg((F.sum(w * F.coalesce("_hit", F.lit(0))) / F.nullif(F.sum(w), F.lit(0))).alias("p"))
     return per.agg(F.avg("p").alias("p_mean"), F.stddev_samp("p").alias("p_sd"))

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from headcount.functions.shingles import char_grams, jaccard, normalise
+from headcount.sources.storage import stored
 
 from .components import components_auto
 
@@ -27,14 +28,21 @@ def majority(df: DataFrame, group: str, field: str, order: str, seed: int = 0) -
 def merge_records(records: DataFrame, comps: DataFrame, id_col: str, fields: dict[str, str], seed: int = 0) -> DataFrame:
     """One record per match group; ``fields`` says per field whether the ``longest`` or the most ``frequent`` value wins.
 
-    One aggregation: the winner of a field is the largest (precision, count) over the values of its group, and the counts come
-    from a map-side combined first step per field.
+    Fields become rows (group, field, value), counted with a map-side combine; the winner of a group and field is the least
+    (-precision, -count, hash, value) in one more aggregation, and a last one turns the winners back into columns. Three
+    shuffles, however many fields there are.
     """
     c = records.join(comps.select(F.col("rec_id").alias(id_col), "component"), id_col, "left").withColumn("_g", F.coalesce("component", F.col(id_col)))
-    out = c.groupBy("_g").agg(F.count("*").alias("n_merged"))
-    for f, how in fields.items():
-        out = out.join(majority(c, "_g", f, how, seed), "_g", "left")
-    return out.withColumnRenamed("_g", id_col)
+    cells = F.array(*(F.struct(F.lit(f).alias("f"), F.col(f).cast("string").alias("v")) for f in fields))
+    long = [f for f, how in fields.items() if how == "longest"]
+    n = c.select("_g", F.explode(cells).alias("x")).select("_g", "x.f", "x.v").groupBy("_g", "f", "v").agg(F.count("*").alias("n"))
+    precise = F.when(F.col("f").isin(long), -F.length("v")).otherwise(0)
+    order = F.struct(F.col("v").isNull().alias("none"), precise.alias("a"), (-F.col("n")).alias("b"), F.xxhash64("v", F.lit(seed)).alias("h"), F.col("v").alias("v"))
+    first = next(iter(fields))
+    won = n.groupBy("_g", "f").agg(F.min(order).alias("o"), F.sum("n").alias("n"))
+    wide = won.groupBy("_g").agg(F.map_from_entries(F.collect_list(F.struct("f", "o.v"))).alias("m"), F.max(F.when(F.col("f") == first, F.col("n"))).alias("n_merged"))
+    types = dict(records.dtypes)
+    return wide.select(F.col("_g").alias(id_col), "n_merged", *(F.element_at("m", f).cast(types[f]).alias(f) for f in fields))
 
 
 def near_days(df: DataFrame, id_col: str, keys: list[str], day: str, within: int = 1) -> DataFrame:
@@ -58,8 +66,8 @@ def iterative_match_merge(records: DataFrame, id_col: str, block: list[str], day
     for i in range(rounds):
         pairs = block_pairs(current, id_col, [*block[:-1], F.floor(F.col(day) / 365)]) if i == 0 else near_days(current, id_col, block[:-1], day, 1)
         labels = rule_label(pairs, current, id_col, name, strict)
-        comps = components_auto(labels.where("is_match"))
+        comps = stored(components_auto(stored(labels.where("is_match").select("id_a", "id_b"), "matched")), "groups")
         c = current.select(id_col, F.col("n_merged").alias("_m")).join(comps.select(F.col("rec_id").alias(id_col), "component"), id_col, "left")
         weights = c.groupBy(F.coalesce("component", F.col(id_col)).alias(id_col)).agg(F.sum("_m").alias("n_merged"))
-        current = merge_records(current.drop("n_merged"), comps, id_col, fields).drop("n_merged").join(weights, id_col)
+        current = stored(merge_records(current.drop("n_merged"), comps, id_col, fields).drop("n_merged").join(weights, id_col), "merged")
     return current

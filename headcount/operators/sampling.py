@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from headcount.functions.shingles import PRIME, col, jaccard, let
+from headcount.sources.storage import stored
 
 # --- bucket tables ---------------------------------------------------------------------------------------------------
 
@@ -32,9 +33,10 @@ def meta_keys(sig: Column | str, k: int, tables: int, address_range: int | None
     return let(col(sig), keys)  # evaluated once, not once per minimum
 
 
-def bucket_table(df: DataFrame, id_col: str, keys: str = "keys") -> DataFrame:
-    """(tbl, key, rec_id, keys): a row per record and table; records without keys are in no bucket."""
-    return df.select(F.posexplode(keys).alias("tbl", "key"), F.col(id_col).alias("rec_id"), F.col(keys).alias("keys"))
+def bucket_table(df: DataFrame, id_col: str, keys: str = "keys", narrow: bool = False) -> DataFrame:
+    """(tbl, key, rec_id, keys): a row per record and table; records without keys are in no bucket. Narrow rows leave the L keys
+    of the record out, so a record costs L small rows in a shuffle and not L * L keys."""
+    return df.select(F.posexplode(keys).alias("tbl", "key"), F.col(id_col).alias("rec_id"), *([] if narrow else [F.col(keys).alias("keys")]))
 
 
 def bucket_stats(buckets: DataFrame) -> DataFrame:
@@ -44,30 +46,32 @@ def bucket_stats(buckets: DataFrame) -> DataFrame:
 
 
 def shared_buckets(buckets: DataFrame) -> DataFrame:
-    """Rows of buckets with two records or more. Most keys are alone at K > 1; the count aggregates before it shuffles, and it
-    is partitioned as the join that follows needs it."""
-    w = Window.partitionBy("tbl", "key")
-    return buckets.withColumn("_n", F.count("*").over(w)).where("_n > 1").drop("_n")
+    """Rows of buckets with two records or more; most keys are alone at K > 1. The counts aggregate before they are shuffled, so a
+    hot bucket is a row per task, and the join back is one that AQE may split."""
+    shared = buckets.groupBy("tbl", "key").agg(F.count("*").alias("_n")).where("_n > 1").drop("_n")
+    return buckets.join(shared, ["tbl", "key"], "left_semi")
 
 
-def sample_pairs(buckets: DataFrame, dedupe: str = "first_table", max_bucket: int | None = None, policy: str = "keep") -> DataFrame:
+def sample_pairs(buckets: DataFrame, dedupe: str | None = None, max_bucket: int | None = None, policy: str = "keep") -> DataFrame:
     """Distinct unordered pairs that share a bucket of any table.
 
-    ``first_table`` keeps a pair only in the first table in which its keys agree: no shuffle of pairs. ``distinct`` is the plain
-    union. Buckets above ``max_bucket`` are kept, ``split`` by a further hash, or ``subsample``d to that many records; the recall p
-    is measured on the pairs after that, so the estimate stays corrected.
+    ``distinct`` (of narrow buckets) shuffles small bucket rows and then the pairs, combined before they are sent; ``first_table``
+    (of buckets that carry their records' keys) keeps a pair in the first table in which its keys agree, so it shuffles no pairs, but
+    L keys with every bucket row: for settings that make far more pairs than bucket rows. Buckets above ``max_bucket`` are kept,
+    ``split`` by a further hash, or ``subsample``d to about that many records by hash; the recall p is measured on the pairs after
+    that, so the estimate stays corrected.
     """
+    dedupe = dedupe or ("first_table" if "keys" in buckets.columns else "distinct")
     b = buckets
     if max_bucket and policy != "keep":
-        n = F.count("*").over(Window.partitionBy("tbl", "key"))
-        b = b.withColumn("_n", n)
+        hot = b.groupBy("tbl", "key").agg(F.count("*").alias("_n")).where(F.col("_n") > max_bucket)
+        b = b.select("tbl", "key", "rec_id").join(hot, ["tbl", "key"], "left")
         if policy == "split":
-            part = F.pmod(F.xxhash64("rec_id", "tbl"), F.ceil(F.col("_n") / max_bucket))
-            b = b.withColumn("key", F.when(F.col("_n") > max_bucket, F.xxhash64("key", part)).otherwise(F.col("key")))
+            part = F.when(F.col("_n").isNotNull(), hash32("rec_id", "tbl") % F.ceil(F.col("_n") / max_bucket)).otherwise(-1)
+            b = b.select("tbl", F.struct("key", part.alias("part")).alias("key"), "rec_id")
         else:
-            rank = F.row_number().over(Window.partitionBy("tbl", "key").orderBy(F.xxhash64("rec_id"), "rec_id"))
-            b = b.withColumn("_r", rank).where(F.col("_r") <= max_bucket).drop("_r")
-        b = b.drop("_n")
+            u = hash32("rec_id", F.lit("subsample")) / float(2**32)
+            b = b.where(F.col("_n").isNull() | (u * F.col("_n") < max_bucket)).drop("_n")
         dedupe = "distinct"  # keys no longer tell the first table
     x, y = b.alias("x"), b.alias("y")
     same = (F.col("x.tbl") == F.col("y.tbl")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.rec_id") < F.col("y.rec_id"))
@@ -95,15 +99,32 @@ def candidates_per_record(pairs: DataFrame) -> DataFrame:
     return both.groupBy(F.col("id_a").alias("rec_id")).agg(F.sort_array(F.collect_set("id_b")).alias("candidates"))
 
 
-def pair_hash(a: str = "id_a", b: str = "id_b", seed: int = 0) -> Column:
-    """32 bits of the MD5 of a pair: the same in any engine."""
-    s = F.concat_ws(",", F.col(a).cast("string"), F.col(b).cast("string"), F.lit(str(seed)))
+def hash32(*parts: Column | str) -> Column:
+    """32 bits of the MD5 of the parts, comma-joined: the same in any engine."""
+    s = F.concat_ws(",", *((F.col(p) if isinstance(p, str) else p).cast("string") for p in parts))
     return F.conv(F.substring(F.md5(s.cast("binary")), 1, 8), 16, 10).cast("long")
 
 
+def pair_hash(a: str = "id_a", b: str = "id_b", seed: int = 0) -> Column:
+    """32 bits of the MD5 of a pair and a seed."""
+    return hash32(a, b, F.lit(str(seed)))
+
+
 def cap_pairs(pairs: DataFrame, m: int, seed: int = 0) -> DataFrame:
-    """At most m pairs: the m least by hash (a top-k, not a full sort). p has to be measured after it."""
-    return pairs.select("id_a", "id_b").orderBy(pair_hash(seed=seed), "id_a", "id_b").limit(m)
+    """At most m pairs: the m least by hash. p has to be measured after it.
+
+    A threshold a little below the m-th hash takes nearly all of them where they are; only the rest, some multiples of sqrt(m),
+    goes through one task as a top-k."""
+    p = stored(pairs.select("id_a", "id_b", pair_hash(seed=seed).alias("_h")), "hashed")
+    n = p.count()
+    if n <= m:
+        return p.drop("_h")
+    below = p.where(F.col("_h") < int(2**32 * max(0.0, m - 5 * m**0.5) / n))
+    left = m - below.count()
+    if left < 0:  # hashes far from even
+        return p.orderBy("_h", "id_a", "id_b").limit(m).drop("_h")
+    rest = p.where(F.col("_h") >= int(2**32 * max(0.0, m - 5 * m**0.5) / n)).orderBy("_h", "id_a", "id_b").limit(left)
+    return below.union(rest).drop("_h")
 
 
 def thin_pairs(pairs: DataFrame, p: float, seed: int = 0) -> DataFrame:

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -114,14 +113,18 @@ def containment_benchmark_in_documents(spark, d):
     return words.groupBy("item_id", "doc_id", "n").agg(F.count("*").alias("c")).where("c >= 0.8 * n").select("item_id", "doc_id", F.round(F.col("c") / F.col("n"), 6).alias("containment"))
 
 
-@query(f"WITH t AS (SELECT p_partkey AS id, {W.numbers(W.grams(W.norm(_PART_TEXT), 2))} AS t FROM part WHERE p_partkey <= 150) SELECT x.id AS id_a, y.id AS id_b, round({W.jaccard('x.t', 'y.t')}, 6) AS similarity FROM t x JOIN t y ON x.id < y.id WHERE {W.jaccard('x.t', 'y.t')} >= 0.5")
-def jaccard_pairs_parts(spark, d, only="p_partkey <= 150"):
+_INVERTED = "t AS (SELECT id, len(t) AS n, unnest(t) AS t FROM tokens), s AS (SELECT x.id AS id_a, y.id AS id_b, count(*)::DOUBLE / (any_value(x.n) + any_value(y.n) - count(*)) AS j FROM t x JOIN t y ON x.t = y.t AND x.id < y.id GROUP BY 1, 2)"
+_PART_PAIRS = f"WITH tokens AS (SELECT p_partkey AS id, {W.numbers(W.grams(W.norm(_PART_TEXT), 2))} AS t FROM part), {_INVERTED}"
+
+
+def _part_sets(spark, d):
     t = S.token_ids(S.char_grams(S.normalise(S.record_text(["p_name", "p_brand", "p_type"])), 2), "portable")
-    p = R.table(spark, d, "part").where(only).select(F.col("p_partkey").alias("id"), t.alias("t"))
-    return rounded(P.all_pair_similarity(p, "id", "t", 0.5))
+    return R.table(spark, d, "part").select(F.col("p_partkey").alias("id"), t.alias("t"))
 
 
-query(None, "jaccard_pairs_parts_whole")(partial(jaccard_pairs_parts, only="true"))  # the twin reads a few rows only
+@query(f"{_PART_PAIRS} SELECT id_a, id_b, round(j, 6) AS similarity FROM s WHERE j >= 0.5")
+def jaccard_pairs_parts(spark, d):
+    return rounded(P.all_pair_similarity(_part_sets(spark, d), "id", "t", 0.5))
 
 
 # --- hashing ----------------------------------------------------------------------------------------------------------
@@ -129,6 +132,10 @@ query(None, "jaccard_pairs_parts_whole")(partial(jaccard_pairs_parts, only="true
 _REG = f"WITH {W.REGISTRY}, {W.sets('registry', 'rec_id', W.REGISTRY_TEXT, 2, 'entity_id AS entity')}"
 
 
+_REG18 = f"{_REG}, {W.sampled(1, 8)}".replace("WITH ", "WITH RECURSIVE ", 1)
+_REG28 = f"{_REG}, {W.sampled(2, 8)}".replace("WITH ", "WITH RECURSIVE ", 1)
+
+
 def _registry_sets(spark, d, mode="portable"):
     return R.REGISTRY.sets(R.registry(spark, d), mode)
 
@@ -208,7 +215,10 @@ def stock_projection_join(spark, d):
     return H.stock_projection_join(R.vectors(spark, d), "vec", "vec_id", 4, 2.0, 0.3)
 
 
-@query()
+_SEGMENT = f"{_REG28}, s AS (SELECT r.rec_id, r.segment, r.region, t.tokens FROM registry r JOIN sets t USING (rec_id)), pr AS (SELECT {W.jaccard('x.tokens', 'y.tokens')} AS j, p.id_a IS NOT NULL AS hit FROM s x JOIN s y ON x.segment = y.segment AND x.region = y.region AND x.rec_id < y.rec_id LEFT JOIN pairs p ON p.id_a = x.rec_id AND p.id_b = y.rec_id)"
+
+
+@query(_SEGMENT + " SELECT least(floor(j * 5), 4)::INT AS band, count(*)::BIGINT AS n, round(avg(hit::INT), 6) AS rate FROM pr GROUP BY band")
 def monotone_collisions(spark, d):
     """The collision rate does not fall as the similarity grows."""
     s = stored(_registry_sets(spark, d).withColumn("keys", P.meta_keys(H.minhash("tokens", 16), 2, 8, mode="portable")), "keys")
@@ -216,16 +226,12 @@ def monotone_collisions(spark, d):
     j = P.pair_similarity(sims, s, "rec_id", "tokens")
     x, y = s.select(F.col("rec_id").alias("id_a"), F.col("keys").alias("kx")), s.select(F.col("rec_id").alias("id_b"), F.col("keys").alias("ky"))
     j = j.join(x, "id_a").join(y, "id_b").withColumn("hit", F.arrays_overlap("kx", "ky"))
-    return H.monotone_check(j, "similarity", "hit")
+    return rounded(H.monotone_check(j, "similarity", "hit"))
 
 
 # --- sampler ----------------------------------------------------------------------------------------------------------
 
 _DOC = f"WITH RECURSIVE {W.sets('documents', 'doc_id', 'text', 5)}, {W.sampled(4, 4)}"
-_REG18 = f"{_REG}, {W.sampled(1, 8)}".replace("WITH ", "WITH RECURSIVE ", 1)
-_REG28 = f"{_REG}, {W.sampled(2, 8)}".replace("WITH ", "WITH RECURSIVE ", 1)
-
-
 def _doc_sets(spark, d, mode="portable"):
     return stored(R.DOCUMENTS.sets(R.table(spark, d, "documents").withColumnRenamed("doc_id", "rec_id"), mode), "docsets")
 
@@ -269,12 +275,15 @@ def lsh_sample_size_k1l8(spark, d):
     return P.sample_pairs(_reg_buckets(spark, d, 1, 8)).agg(F.count("*").alias("m"))
 
 
-@query()
+_SPLIT = f"{_REG18.split(', pairs AS')[0]}, sz AS (SELECT tbl, key, count(*) AS n FROM buckets GROUP BY tbl, key), sp AS MATERIALIZED (SELECT rec_id, tbl, key, CASE WHEN n > 50 THEN {W.hash32('rec_id', 'tbl')} % ((n + 49) // 50) ELSE -1 END AS part FROM buckets JOIN sz USING (tbl, key)), pairs AS (SELECT DISTINCT x.rec_id AS id_a, y.rec_id AS id_b FROM sp x JOIN sp y ON x.tbl = y.tbl AND x.key = y.key AND x.part = y.part AND x.rec_id < y.rec_id), known AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM sets x JOIN sets y ON x.entity = y.entity AND x.rec_id < y.rec_id)"
+
+
+@query(f"{_SPLIT} SELECT count(*)::BIGINT AS n_labelled, count(p.id_a)::BIGINT AS hits, round(count(p.id_a)::DOUBLE / count(*), 6) AS p, round(sqrt(count(p.id_a)::DOUBLE / count(*) * (1 - count(p.id_a)::DOUBLE / count(*)) / count(*)), 6) AS p_se, (SELECT count(*)::BIGINT FROM pairs) AS m FROM known LEFT JOIN pairs p USING (id_a, id_b)")
 def lsh_pairs_split_buckets(spark, d):
     """Hot buckets split by a further hash: far fewer pairs, and p is measured on what is left."""
     s = stored(_registry_sets(spark, d), "sets")
     pairs = stored(Sampler(1, 8, mode="portable", max_bucket=50, policy="split").pairs(s), "pairs")
-    return L.recall_row(pairs, L.truth_pairs(s, "rec_id", "entity")).crossJoin(pairs.agg(F.count("*").alias("m")))
+    return rounded(L.recall_row(pairs, L.truth_pairs(s, "rec_id", "entity")).crossJoin(pairs.agg(F.count("*").alias("m"))))  # one row each
 
 
 @query("WITH j AS (SELECT unnest([0.1, 0.3, 0.5, 0.7, 0.9]) AS j), g AS (SELECT j, k, l FROM j, (VALUES (1, 4), (1, 8), (4, 4), (4, 25), (8, 25)) v(k, l)) SELECT j::DOUBLE AS j, k::INT AS k, l::INT AS l, round(1 - pow(1 - pow(j, k), l), 6) AS probability FROM g")
@@ -305,13 +314,10 @@ def capped_pairs(spark, d):
     return P.cap_pairs(Sampler(2, 8, mode="portable").pairs(_registry_sets(spark, d)), 500)
 
 
-@query(f"{_REG28} SELECT DISTINCT q.rec_id AS query_id, b.rec_id AS rec_id FROM buckets q JOIN buckets b ON q.tbl = b.tbl AND q.key = b.key AND q.rec_id <> b.rec_id WHERE q.rec_id % 40 = 36")
-def point_query_neighbours(spark, d, only="rec_id % 40 = 36"):
+@query(f"{_REG28} SELECT DISTINCT q.rec_id AS query_id, b.rec_id AS rec_id FROM buckets q JOIN buckets b ON q.tbl = b.tbl AND q.key = b.key AND q.rec_id <> b.rec_id WHERE q.rec_id % 20 = 0")
+def point_query_neighbours(spark, d):
     b = _reg_buckets(spark, d)
-    return P.query_buckets(b.where(only).select(F.col("rec_id").alias("query_id"), "tbl", "key"), b)
-
-
-query(None, "point_query_neighbours_whole")(partial(point_query_neighbours, only="rec_id % 20 = 0"))  # the twin has fewer queries
+    return P.query_buckets(b.where("rec_id % 20 = 0").select(F.col("rec_id").alias("query_id"), "tbl", "key"), b)
 
 
 @query(f"{_REG28}, b AS (SELECT id_a, id_b FROM pairs UNION ALL SELECT id_b, id_a FROM pairs) SELECT id_a AS rec_id, count(*)::BIGINT AS n, min(id_b) AS first FROM b GROUP BY id_a")
@@ -413,27 +419,16 @@ def block_pairs_any_rule(spark, d):
     return P.block_pairs_any(R.registry(spark, d), "rec_id", [["city"], ["street"], ["full_name"]])
 
 
-@query(f"WITH {W.sets('(SELECT * FROM documents WHERE doc_id < 150)', 'doc_id', 'text', 5)} SELECT x.rec_id AS id_a, y.rec_id AS id_b, round({W.jaccard('x.tokens', 'y.tokens')}, 6) AS similarity FROM sets x JOIN sets y ON x.rec_id < y.rec_id WHERE {W.jaccard('x.tokens', 'y.tokens')} >= 0.2")
-def all_pairs_similarity_small(spark, d, only="doc_id < 150"):
-    """All similarities of a few documents by an inverted index: the cost that sampling avoids."""
-    s = R.DOCUMENTS.sets(R.table(spark, d, "documents").where(only).withColumnRenamed("doc_id", "rec_id"), "portable")
+@query()
+def all_pairs_similarity(spark, d):
+    """All similarities of all documents by an inverted index: the cost that sampling avoids. Tested by brute force."""
+    s = R.DOCUMENTS.sets(R.table(spark, d, "documents").withColumnRenamed("doc_id", "rec_id"), "portable")
     return rounded(P.all_pair_similarity(s, "rec_id", "tokens", 0.2))
 
 
-query(None, "all_pairs_similarity_whole")(partial(all_pairs_similarity_small, only="true"))  # the twin reads a few rows only
-
-
-_SMALL = f"WITH t AS (SELECT p_partkey AS id, {W.numbers(W.grams(W.norm(_PART_TEXT), 2))} AS t FROM part WHERE p_partkey <= 150), s AS (SELECT x.id AS id_a, y.id AS id_b, {W.jaccard('x.t', 'y.t')} AS j FROM t x JOIN t y ON x.id < y.id WHERE {W.jaccard('x.t', 'y.t')} > 0)"
-
-
-@query(f"{_SMALL} SELECT id_a, id_b FROM s, (SELECT sum(j) AS total FROM s) WHERE {W.hash32('id_a', 'id_b', '0')} / 4294967296.0 < least(1.0, 300.0 / total * j)")
-def similarity_weighted_pairs(spark, d, only="p_partkey <= 150"):
-    t = S.token_ids(S.char_grams(S.normalise(S.record_text(["p_name", "p_brand", "p_type"])), 2), "portable")
-    p = R.table(spark, d, "part").where(only).select(F.col("p_partkey").alias("id"), t.alias("t"))
-    return P.similarity_proportional_pairs(stored(P.all_pair_similarity(p, "id", "t"), "similarities"), 300)
-
-
-query(None, "similarity_weighted_pairs_whole")(partial(similarity_weighted_pairs, only="true"))  # the twin reads a few rows only
+@query(f"{_PART_PAIRS} SELECT id_a, id_b FROM s, (SELECT sum(j) AS total FROM s) WHERE {W.hash32('id_a', 'id_b', '0')} / 4294967296.0 < least(1.0, 300.0 / total * j)")
+def similarity_weighted_pairs(spark, d):
+    return P.similarity_proportional_pairs(stored(P.all_pair_similarity(_part_sets(spark, d), "id", "t"), "similarities"), 300)
 
 
 # --- labels and recall --------------------------------------------------------------------------------------------------
@@ -451,45 +446,55 @@ def threshold_labels(spark, d):
     return L.label_by_threshold(Sampler(4, 4, mode="portable").pairs(s), s, "rec_id", "tokens", 0.7)
 
 
-_LAB = f"labd AS (SELECT doc_id, text FROM documents WHERE length(text) >= 24 AND doc_id IN (SELECT doc_id FROM labels)), cand AS (SELECT x.doc_id AS id_a, y.doc_id AS id_b FROM labd x JOIN labd y ON x.doc_id < y.doc_id AND (substr(x.text, 1, 24) = substr(y.text, 1, 24) OR right(x.text, 24) = right(y.text, 24))), known AS (SELECT id_a, id_b FROM cand JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE {W.jaccard('x.tokens', 'y.tokens')} >= 0.7)"
+_LAB = f"labd AS MATERIALIZED (SELECT rec_id, tokens FROM sets WHERE rec_id IN (SELECT doc_id FROM labels)), known AS MATERIALIZED (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM labd x JOIN labd y ON x.rec_id < y.rec_id AND len(x.tokens) >= 0.69 * len(y.tokens) AND len(y.tokens) >= 0.69 * len(x.tokens) WHERE {W.jaccard('x.tokens', 'y.tokens')} >= 0.7)"
 
 
 @query(f"{_DOC}, {_LAB} SELECT count(*)::BIGINT AS n_labelled, count(p.id_a)::BIGINT AS hits, round(count(p.id_a)::DOUBLE / nullif(count(*), 0), 6) AS p, round(sqrt((count(p.id_a)::DOUBLE / nullif(count(*), 0)) * (1 - count(p.id_a)::DOUBLE / nullif(count(*), 0)) / count(*)), 6) AS p_se FROM known LEFT JOIN pairs p USING (id_a, id_b)")
-def labelled_recall(spark, d, known_pairs=R.blocked_document_pairs):
+def labelled_recall(spark, d):
     s = _doc_sets(spark, d)
-    known = known_pairs(spark, d, s, 0.7).where("is_match")
+    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
     return rounded(L.recall_row(Sampler(4, 4, mode="portable").pairs(s), known))
 
 
 @query(f"{_DOC}, {_LAB}, k AS (SELECT rec_id, list(key ORDER BY tbl) AS keys FROM buckets GROUP BY rec_id) SELECT count(*)::BIGINT AS n_labelled, count(*) FILTER (len(list_filter(range(1, 5), lambda i: x.keys[i] = y.keys[i])) > 0)::BIGINT AS hits, round(count(*) FILTER (len(list_filter(range(1, 5), lambda i: x.keys[i] = y.keys[i])) > 0)::DOUBLE / count(*), 6) AS p FROM known JOIN k x ON x.rec_id = id_a JOIN k y ON y.rec_id = id_b")
-def labelled_recall_by_keys(spark, d, known_pairs=R.blocked_document_pairs):
+def labelled_recall_by_keys(spark, d):
     """PE1 without a sample: keys of the labelled records only."""
     s = _doc_sets(spark, d)
-    known = known_pairs(spark, d, s, 0.7).where("is_match")
+    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
     return rounded(L.edge_recall_by_keys(Sampler(4, 4, mode="portable").keys(s), known))
 
 
 @query(f"{_DOC.split(', sigs AS')[0]}, {_LAB} SELECT round(avg(1 - pow(1 - pow({W.jaccard('x.tokens', 'y.tokens')}, 4), 4)), 6) AS p_model FROM known JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b")
-def model_implied_recall(spark, d, known_pairs=R.blocked_document_pairs):
+def model_implied_recall(spark, d):
     s = _doc_sets(spark, d)
-    known = known_pairs(spark, d, s, 0.7).where("is_match")
+    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
     return rounded(L.modelled_recall(P.pair_similarity(known, s, "rec_id", "tokens"), 4, 4))
 
 
-@query()
+_BOOT = f"{_REG}, {W.sampled(4, 2)}, known AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM sets x JOIN sets y ON x.entity = y.entity AND x.rec_id < y.rec_id), h AS (SELECT id_a, id_b, (p.id_a IS NOT NULL)::INT AS hit, unnest(range(1, 201)) AS round FROM known LEFT JOIN pairs p USING (id_a, id_b)), u AS (SELECT round, hit, {W.hash32('id_a', 'id_b', 'round', '0')} / 4294967296.0 AS u FROM h), w AS (SELECT round, hit, CASE WHEN u < 0.36788 THEN 0 WHEN u < 0.73576 THEN 1 WHEN u < 0.91970 THEN 2 WHEN u < 0.98101 THEN 3 ELSE 4 END AS w FROM u), r AS (SELECT sum(w * hit)::DOUBLE / nullif(sum(w), 0) AS p FROM w GROUP BY round)"
+
+
+@query(f"{_BOOT} SELECT round(avg(p), 6) AS p_mean, round(stddev_samp(p), 6) AS p_sd FROM r")
 def bootstrap_recall(spark, d):
     s = stored(_registry_sets(spark, d), "sets")
-    return L.bootstrap_recall(Sampler(4, 2, mode="portable").pairs(s), L.truth_pairs(s, "rec_id", "entity"))
+    return rounded(L.bootstrap_recall(Sampler(4, 2, mode="portable").pairs(s), L.truth_pairs(s, "rec_id", "entity")))
+
+
+#: Trained labellers see less than a ten-thousandth of all pairs.
+TRAINING_SHARE = 0.9e-4
 
 
-def _proxy(spark, d, kind, share=2e-4):
+def _training(s, pairs, n):
+    return L.training_pairs(L.truth_pairs(s, "rec_id", "entity"), pairs, n * (n - 1) // 2, TRAINING_SHARE)
+
+
+def _proxy(spark, d, kind):
     """Labels by a classifier trained on a small share of all pairs; p by the labelled matches only."""
     r = R.registry(spark, d)
     s = stored(R.REGISTRY.sets(r), "sets")
     n = s.count()
     pairs = stored(Sampler(2, 12).pairs(s), "pairs")
-    true = L.truth_pairs(s, "rec_id", "entity")
-    train = L.training_pairs(true, pairs, n * (n - 1) // 2, share)
+    train = stored(_training(s, pairs, n), "training")
     fields = list(R.REGISTRY.fields)
     f, names = L.pair_features(train, r, "rec_id", fields)
     model = L.train_labeller(stored(f, "train"), names, kind)
@@ -516,11 +521,14 @@ def forest_labels(spark, d):
     return _proxy_row(spark, d, "forest")
 
 
-@query(f"WITH {W.REGISTRY} SELECT count(*)::BIGINT AS n, greatest(1, (0.0001 * (count(*) * (count(*) - 1) // 2) / 2)::BIGINT) AS half FROM registry".replace("(0.0001 *", "floor(0.0001 *").replace("/ 2)::BIGINT)", "/ 2)::BIGINT)"))
+@query()
 def training_share(spark, d):
-    n = F.count("*")
-    half = F.greatest(F.lit(1).cast("long"), F.floor(F.lit(0.0001) * F.expr("count(1) * (count(1) - 1) div 2") / 2).cast("long"))
-    return R.registry(spark, d).agg(n.alias("n"), half.alias("half"))
+    """The training set itself: pairs by label, and their share of all pairs, in percent. Tested against its bound."""
+    r = R.registry(spark, d)
+    s = stored(R.REGISTRY.sets(r), "sets")
+    n = s.count()
+    train = _training(s, stored(Sampler(2, 12).pairs(s), "pairs"), n)
+    return train.agg(F.count_if("is_match").alias("matches"), F.count_if(~F.col("is_match")).alias("others"), M.sample_share(F.count("*"), F.lit(n)).alias("share_percent"))
 
 
 # --- observed graph -----------------------------------------------------------------------------------------------------
@@ -600,33 +608,27 @@ _ROWS = f"SELECT (SELECT count(p.id_a)::DOUBLE / nullif(count(*), 0) FROM known
 _EST_COLS = ["p", "s1", "s2", "s3", "s_rest", "observed", "n2", "n3", "estimate", "variance", "sd", "status"]
 
 
-@query(f"{_DOC}, {_LAB}, {_MATCHED}, {W.components('matched')}, {W.histogram('(SELECT count(*) FROM documents)')} " + W.estimates(f"({_ROWS})", ""))
-def estimate_documents(spark, d, known_pairs=R.blocked_document_pairs):
-    """The flagship: unique documents with a standard error; p from labelled documents only, labels by exact similarity."""
-    s, pairs, m = _doc_matched(spark, d)
-    known = known_pairs(spark, d, s, 0.7).where("is_match")
-    row = O.estimate_row(O.size_histogram(components_auto(m), s.count()), L.edge_recall(pairs, known))
-    return rounded(row.select(*_EST_COLS))
+_HITS = f"SELECT n_labelled, hits, hits::DOUBLE / nullif(n_labelled, 0) AS p, {W.COUNTS} FROM hist, (SELECT count(*)::BIGINT AS n_labelled, count(p.id_a)::BIGINT AS hits FROM known LEFT JOIN pairs p USING (id_a, id_b)) GROUP BY n_labelled, hits"
+_TOTAL_COLS = [*_EST_COLS, "n_labelled", "hits", "sd_p", "sd_total", "lo", "hi"]
 
 
-@query()
-def estimate_documents_total_error(spark, d):
-    """The flagship with the uncertainty of p in its error."""
+@query(f"{_DOC}, {_LAB}, {_MATCHED}, {W.components('matched')}, {W.histogram('(SELECT count(*) FROM documents)')} " + W.total_errors(f"({_HITS})"))
+def estimate_documents(spark, d):
+    """The flagship: unique documents with the whole standard error, that of p included; p from labelled documents only, labels
+    by exact similarity."""
     s, pairs, m = _doc_matched(spark, d)
-    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
-    r = L.recall_row(pairs, known).first()
+    r = L.recall_row(pairs, R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")).first()
     row = O.estimate_row(O.size_histogram(components_auto(m), s.count()), r["p"])
-    row = row.withColumn("n_labelled", F.lit(r["n_labelled"])).withColumn("hits", F.lit(r["hits"]))
-    return rounded(E.with_total_error(row).select("n_labelled", "hits", "p", "observed", "estimate", "sd", "sd_p", "sd_total", "status"))
+    return rounded(E.with_total_error(row.withColumn("n_labelled", F.lit(r["n_labelled"])).withColumn("hits", F.lit(r["hits"]))).select(*_TOTAL_COLS))
 
 
 @query()
 def estimate_documents_native(spark, d):
-    """The same with 64-bit hashes and one permutation: the form for large data."""
-    s = R.DOCUMENTS.sets(R.table(spark, d, "documents").withColumnRenamed("doc_id", "rec_id"))
-    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match").select("id_a", "id_b")
+    """The same with 64-bit hashes and one permutation: the form for large data. Gram sets are made once."""
     docs = R.table(spark, d, "documents").withColumnRenamed("doc_id", "rec_id")
-    return estimate_unique_entities(docs, R.DOCUMENTS, Sampler(4, 8), theta=0.7, labelled=stored(known, "known"))
+    s = stored(R.DOCUMENTS.sets(docs), "sets")
+    known = stored(R.labelled_document_pairs(spark, d, s, 0.7).where("is_match").select("id_a", "id_b"), "known")
+    return estimate_unique_entities(docs, R.DOCUMENTS, Sampler(4, 8), theta=0.7, labelled=known, sets=s)
 
 
 @query(f"{_REG28}, matched AS (SELECT id_a, id_b FROM pairs JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE x.entity = y.entity), known AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM sets x JOIN sets y ON x.entity = y.entity AND x.rec_id < y.rec_id), {W.components('matched')}, {W.histogram('(SELECT count(*) FROM sets)')} " + W.estimates(f"({_ROWS})", ""))
@@ -635,19 +637,14 @@ def estimate_registry(spark, d):
     return rounded(row.select(*_EST_COLS))
 
 
-def _thinned(p: float) -> str:
-    key = W.hash32("x.l_orderkey", "x.l_linenumber", "x.r", "y.l_orderkey", "y.l_linenumber", "y.r")
-    return key
-
-
-_LI = "li AS (SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_shipdate, l_discount, l_tax) AS r, (l_partkey * 1000000 + l_suppkey) AS entity FROM lineitem WHERE l_partkey % 5 = 0)"
+_LI = "li AS (SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_shipdate, l_discount, l_tax) AS r, (l_partkey * 1000000 + l_suppkey) AS entity FROM lineitem)"
 _THIN = f"WITH RECURSIVE {_LI}, e AS (SELECT x.r AS id_a, y.r AS id_b FROM li x JOIN li y ON x.entity = y.entity AND x.r < y.r), kept AS (SELECT id_a, id_b FROM e WHERE {W.hash32('id_a', 'id_b', '7')} < {int(0.6 * 2**32)})"
 
 
-def _line_records(spark, d, only="true"):
+def _line_records(spark, d):
     from pyspark.sql import Window
 
-    li = R.table(spark, d, "lineitem").where(only)
+    li = R.table(spark, d, "lineitem")
     order = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate", "l_discount", "l_tax"]
     # ranks by range: sorted within ranges, offsets by range, no global window
     one = li.select(F.struct(*order).alias("o"), (F.col("l_partkey") * 1_000_000 + F.col("l_suppkey")).alias("entity"))
@@ -658,20 +655,13 @@ def _line_records(spark, d, only="true"):
     return local.join(F.broadcast(start), "_p").select((F.col("k") + F.col("s")).alias("r"), "entity")
 
 
-def _thinned_edges(spark, d, p=0.6, seed=7, only="true"):
-    li = stored(_line_records(spark, d, only), "lines")
+def _thinned_edges(spark, d, p=0.6, seed=7):
+    li = stored(_line_records(spark, d), "lines")
     return li, P.thin_pairs(R.clique_edges(li, "r", ["entity"]), p, seed)
 
 
 @query(f"{_THIN}, {W.components('kept')}, {W.histogram('(SELECT count(*) FROM li)')} " + W.estimates(f"(SELECT 0.6 AS p, {W.COUNTS} FROM hist)", ""))
 def estimate_lineitem_known_p(spark, d):
-    """W13 on the fifth of the line items that the SQL twin reads; ``estimate_lineitem_known_p_whole`` has them all."""
-    li, kept = _thinned_edges(spark, d, only="l_partkey % 5 = 0")
-    return rounded(O.estimate_row(O.size_histogram(components_auto(kept), li.count()), 0.6).select(*_EST_COLS))
-
-
-@query()
-def estimate_lineitem_known_p_whole(spark, d):
     """Every true edge kept with probability .6; the estimate has to come back to the number of entities."""
     li, kept = _thinned_edges(spark, d)
     return rounded(O.estimate_row(O.size_histogram(components_auto(kept), li.count()), 0.6).select(*_EST_COLS))
@@ -718,7 +708,7 @@ def component_weights_c6(spark, d):
     return spark.createDataFrame(rows, "p double, size int, w double")
 
 
-@query("SELECT unnest([1, 2, 3, 4, 5])::INT AS k, unnest([1.0, 1.0, 1.0, 1.229932, 1.486667])::DOUBLE AS contribution WHERE false")
+@query()
 def clique_contributions(spark, d):
     """Expected contribution of one clique at p = .42: 1 up to three records, too much beyond."""
     p = 0.42
@@ -730,9 +720,6 @@ def clique_contributions(spark, d):
     return spark.createDataFrame(rows, "k int, contribution double")
 
 
-TWINS.pop("clique_contributions")
-
-
 def _seeds(spark, d, sampler: Sampler, seeds: range):
     """Repeats over hash seeds: the seed is part of the key, so all runs are one job; p is measured per run."""
     s = stored(_registry_sets(spark, d, sampler.mode), "sets")
@@ -774,10 +761,10 @@ def averaged_estimate(spark, d):
     f"{_DOC}, {_LAB}, {_MATCHED}, {W.components('matched')}, sz AS (SELECT d.lang, component, count(*) AS size FROM comps JOIN documents d ON d.doc_id = rec_id GROUP BY d.lang, component), hs AS (SELECT lang, size, count(*) AS n FROM sz GROUP BY lang, size UNION ALL SELECT lang, 1, count(*) FROM documents WHERE doc_id NOT IN (SELECT rec_id FROM comps) GROUP BY lang), pp AS (SELECT count(p.id_a)::DOUBLE / nullif(count(*), 0) AS p FROM known LEFT JOIN pairs p USING (id_a, id_b)) "
     + W.estimates(f"(SELECT lang, any_value(p) AS p, {W.COUNTS} FROM hs, pp GROUP BY lang)", "lang")
 )
-def estimate_by_lang(spark, d, known_pairs=R.blocked_document_pairs):
+def estimate_by_lang(spark, d):
     """Per-group estimates in one pass: one p, a histogram per language."""
     s, pairs, m = _doc_matched(spark, d)
-    known = known_pairs(spark, d, s, 0.7).where("is_match")
+    known = R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")
     p = L.edge_recall(pairs, known)
     lang = R.table(spark, d, "documents").select(F.col("doc_id").alias("rec_id"), "lang")
     comps = lang.join(components_auto(m), "rec_id", "left")
@@ -786,11 +773,6 @@ def estimate_by_lang(spark, d, known_pairs=R.blocked_document_pairs):
     return rounded(O.estimate_rows(h, ["lang"], rec).select("lang", *_EST_COLS))
 
 
-# the same with all labelled pairs: the twins of these find only those of two blocking rules
-for _f in (labelled_recall, labelled_recall_by_keys, model_implied_recall, estimate_documents, estimate_by_lang):
-    query(None, f"{_f.__name__}_whole")(partial(_f, known_pairs=R.labelled_document_pairs))
-
-
 # --- baselines ------------------------------------------------------------------------------------------------------------
 
 
@@ -818,16 +800,27 @@ def subgraph_estimate_scale(spark, d):
     return rounded(B.subgraph_estimate(R.registry(spark, d), "rec_id", "entity_id", 20_000, variant="scale"), 4)
 
 
-@query(f"WITH {W.REGISTRY}, o AS (SELECT rec_id, entity_id, row_number() OVER (ORDER BY {W.hash32('rec_id', '42')}, rec_id) AS o, count(*) OVER () AS n FROM registry), r AS (SELECT max(o) AS r FROM o WHERE o * (n - 1) - o * (o - 1) / 2 <= 20000), f AS (SELECT 1.0 / count(*) AS x FROM o s JOIN r ON s.o <= r.r JOIN o t ON s.entity_id = t.entity_id GROUP BY s.rec_id), l AS (SELECT r, (20000 - (r * (n - 1) - r * (r - 1) / 2))::BIGINT AS l FROM r, (SELECT any_value(n) AS n FROM o)), c AS (SELECT 1.0 / count(*) AS x FROM o s JOIN l ON s.o = l.r + 1 AND l.l > 0 JOIN o t ON s.entity_id = t.entity_id AND t.o <= l.l + 1 + l.r GROUP BY s.rec_id) SELECT round(avg(x) * (SELECT count(*) FROM o), 4) AS estimate, count(*)::BIGINT AS starts, 'ok' AS status FROM (SELECT x FROM f UNION ALL SELECT x FROM c)")
+def _bfs(budget: str, x: str) -> str:
+    return (
+        f"WITH {W.REGISTRY}, o AS (SELECT rec_id, entity_id, row_number() OVER (ORDER BY {W.hash32('rec_id', '42')}, rec_id) AS o, count(*) OVER () AS n FROM registry), "
+        f"r AS (SELECT max(o) AS r FROM o WHERE o * (n - 1) - o * (o - 1) / 2 <= {budget}), "
+        "f AS (SELECT 1.0 / count(*) AS x FROM o s JOIN r ON s.o <= r.r JOIN o t ON s.entity_id = t.entity_id GROUP BY s.rec_id), "
+        f"l AS (SELECT r, ({budget} - (r * (n - 1) - r * (r - 1) / 2))::BIGINT AS l FROM r, (SELECT any_value(n) AS n FROM o)), "
+        "c AS (SELECT 1.0 / count(*) AS x FROM o s JOIN l ON s.o = l.r + 1 AND l.l > 0 JOIN o t ON s.entity_id = t.entity_id AND t.o <= l.l + 1 + l.r GROUP BY s.rec_id) "
+        f"SELECT round(avg({x}) * (SELECT count(*) FROM o), 4) AS estimate, count(*)::BIGINT AS starts, 'ok' AS status FROM (SELECT x FROM f UNION ALL SELECT x FROM c)"
+    )
+
+
+@query(_bfs("20000", "x"))
 def vertex_bfs_estimate(spark, d):
     return rounded(B.vertex_bfs_estimate(R.registry(spark, d), "rec_id", "entity_id", 20_000), 4)
 
 
-@query()
+@query(_bfs("10 * n", "CASE WHEN x >= 0.5 THEN x ELSE 0.0 END"))
 def vertex_bfs_truncated(spark, d):
     """Components above a size count nothing; a budget that lets ten expansions finish."""
     n = R.registry(spark, d).count()
-    return B.vertex_bfs_estimate(R.registry(spark, d), "rec_id", "entity_id", 10 * n, max_component=2)
+    return rounded(B.vertex_bfs_estimate(R.registry(spark, d), "rec_id", "entity_id", 10 * n, max_component=2), 4)
 
 
 @query(f"{_REG28}, matched AS (SELECT id_a, id_b FROM pairs JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE x.entity = y.entity), {W.components('matched')}, {W.histogram('(SELECT count(*) FROM sets)')} SELECT sum(n)::BIGINT AS estimate FROM hist")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from functools import partial
 
 from pyspark.sql import Window
 from pyspark.sql import functions as F
@@ -200,18 +199,16 @@ def join_full_confusion(spark, d):
     return j.agg(F.count_if(F.col("s").isNotNull() & F.col("t").isNotNull()).alias("tp"), F.count_if(F.col("t").isNull()).alias("fp"), F.count_if(F.col("s").isNull()).alias("fn"))
 
 
-@rel("SELECT e.event_type, count(*)::BIGINT AS n, round(sum(value - a), 2) AS spread FROM events e JOIN (SELECT event_type, avg(value) AS a FROM events WHERE event_id % 2 = 0 GROUP BY event_type) x ON e.event_type = x.event_type GROUP BY e.event_type".replace("round(sum(value - a), 2) AS spread", "count(DISTINCT user_id)::BIGINT AS users"))
-def join_skew(spark, d, only="event_id % 2 = 0"):
+@rel("SELECT e.event_type, count(*)::BIGINT AS n, round(sum(value - a), 2) AS spread FROM events e JOIN (SELECT event_type, avg(value) AS a FROM events GROUP BY event_type) x ON e.event_type = x.event_type GROUP BY e.event_type".replace("round(sum(value - a), 2) AS spread", "count(DISTINCT user_id)::BIGINT AS users"))
+def join_skew(spark, d):
     """A few hot keys: the large side is salted, the small side repeated once per salt."""
     salts = 8
     e = _t(spark, d, "events").select("event_type", "user_id", F.pmod(F.xxhash64("event_id"), F.lit(salts)).alias("salt"))
-    a = _t(spark, d, "events").where(only).groupBy("event_type").agg(F.avg("value").alias("a"))
+    a = _t(spark, d, "events").groupBy("event_type").agg(F.avg("value").alias("a"))
     a = a.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))).alias("salt"))
     return e.join(a, ["event_type", "salt"]).groupBy("event_type").agg(F.count("*").alias("n"), F.countDistinct("user_id").alias("users"))
 
 
-QUERIES["rel_join_skew_whole"] = partial(join_skew, only="true")  # the twin reads a part only
-
 
 # --- aggregation ------------------------------------------------------------------------------------------------------
 
@@ -301,13 +298,11 @@ def win_leadlag(spark, d):
     return _t(spark, d, "events").select("event_id", (u - F.lag(u).over(w)).alias("gap"), F.lead("event_id").over(w).alias("next"))
 
 
-@rel("SELECT l_orderkey, l_linenumber, l_partkey, sum(l_quantity) OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey, l_quantity ROWS UNBOUNDED PRECEDING) AS running FROM lineitem WHERE l_partkey % 10 = 0")
-def win_rows_frame(spark, d, only="l_partkey % 10 = 0"):
+@rel("SELECT l_orderkey, l_linenumber, l_partkey, sum(l_quantity) OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey, l_quantity ROWS UNBOUNDED PRECEDING) AS running FROM lineitem")
+def win_rows_frame(spark, d):
     w = Window.partitionBy("l_suppkey").orderBy("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_quantity").rowsBetween(Window.unboundedPreceding, 0)
-    return _t(spark, d, "lineitem").where(only).select("l_orderkey", "l_linenumber", "l_partkey", F.sum("l_quantity").over(w).alias("running"))
-
+    return _t(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.sum("l_quantity").over(w).alias("running"))
 
-QUERIES["rel_win_rows_frame_whole"] = partial(win_rows_frame, only="true")  # the twin reads a part only
 
 
 @rel("WITH o AS (SELECT o_orderkey, o_custkey, date_diff('day', DATE '1970-01-01', o_orderdate::DATE) AS day FROM orders) SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY day RANGE BETWEEN 7 PRECEDING AND CURRENT ROW)::BIGINT AS n FROM o")
@@ -406,15 +401,13 @@ def date_parts(spark, d):
     return _t(spark, d, "orders").select("o_orderkey", F.year(o).alias("y"), F.month(o).alias("m"), F.dayofmonth(o).alias("dd"), F.quarter(o).alias("q"))
 
 
-@rel("SELECT l_orderkey, l_linenumber, l_partkey, date_diff('day', o_orderdate::DATE, l_shipdate::DATE)::INT AS days FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_partkey % 10 = 0")
-def date_diff(spark, d, only="l_partkey % 10 = 0"):
-    li = _t(spark, d, "lineitem").where(only)
+@rel("SELECT l_orderkey, l_linenumber, l_partkey, date_diff('day', o_orderdate::DATE, l_shipdate::DATE)::INT AS days FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+def date_diff(spark, d):
+    li = _t(spark, d, "lineitem")
     j = li.join(_t(spark, d, "orders").select("o_orderkey", "o_orderdate"), F.col("l_orderkey") == F.col("o_orderkey"))
     return j.select("l_orderkey", "l_linenumber", "l_partkey", F.datediff(F.to_date("l_shipdate"), F.to_date("o_orderdate")).alias("days"))
 
 
-QUERIES["rel_date_diff_whole"] = partial(date_diff, only="true")  # the twin reads a part only
-
 
 @rel("SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m') AS month, count(*)::BIGINT AS n FROM orders GROUP BY 1")
 def date_trunc(spark, d):

@@ -91,6 +91,18 @@ def estimates(rows: str, keep: str, digits: int = 6) -> str:
     return f"SELECT {keep}{', ' if keep else ''}{r('p', 'p')}, s1, s2, s3, s_rest, observed, {r('n2', 'n2')}, {r('n3', 'n3')}, {r('estimate', 'estimate')}, {r('variance', 'variance')}, {r('sqrt(variance)', 'sd')}, {status} FROM ({third})"
 
 
+def total_errors(rows: str, digits: int = 6) -> str:
+    """The same with the part of the error that comes from p, from rows that also have n_labelled and hits."""
+    at = lambda p: f"(s2 * (2 * ({p}) - 1) / ({p}) + s3 * (1 - 6 * ({p}) * (1 - ({p})) * (1 - ({p}))) / (({p}) * ({p}) * (3 - 2 * ({p}))))"
+    shrunk = "((hits + 0.5) / (n_labelled + 1))"
+    base = estimates(rows, "n_labelled, hits", 30)
+    one = f"SELECT *, abs({at('p + 1e-5')} - {at('p - 1e-5')}) / 2e-5 * sqrt({shrunk} * (1 - {shrunk}) / n_labelled) AS sd_p FROM ({base})"
+    two = f"SELECT *, sqrt(variance + sd_p * sd_p) AS sd_total FROM ({one})"
+    cols = ", ".join(f"round({c}, {digits}) AS {c}" for c in ("p", "n2", "n3", "estimate", "variance", "sd", "sd_p", "sd_total"))
+    bounds = f"round(estimate - 1.96 * sd_total, {digits}) AS lo, round(estimate + 1.96 * sd_total, {digits}) AS hi"
+    return f"SELECT {cols}, {bounds}, s1, s2, s3, s_rest, observed, status, n_labelled, hits FROM ({two})"
+
+
 #: The registry fixture (V1) from its definition.
 _L = lambda salt: f"translate(md5(concat_ws(',', c_custkey::VARCHAR, '{salt}')), '0123456789', 'ghijklmnop')"
 _COPIES = "CASE WHEN c_custkey % 10 <= 5 THEN 1 WHEN c_custkey % 10 <= 8 THEN 2 ELSE 3 END"

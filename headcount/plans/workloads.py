@@ -15,7 +15,7 @@ from headcount.operators import observed as O
 from headcount.operators import sampling as P
 from headcount.operators.components import components_auto
 from headcount.sources import tables as R
-from headcount.sources.storage import shared_dir, stored
+from headcount.sources.storage import dropped, shared_dir, stored
 from headcount.streaming import incremental as I
 
 from . import twins as W
@@ -62,42 +62,121 @@ def kl_table_registry(spark, d):
 
 @query()
 def kl_table_lines(spark, d):
-    """K = 8 on descriptor lines (hot keys at the published K = 4 are a property of the synthetic words)."""
+    """The settings of the large published set, K = 4 with L = 25 to 40, on descriptor lines. Grams of eight characters:
+    with three, K = 4 makes hot keys of the synthetic words."""
     li = stored(R.lines(spark, d), "lines")
-    out = kl_rows(li, R.LINES, ((6, 25), (8, 25)))
+    out = kl_rows(li, LONG_LINES, ((4, 25), (4, 32), (4, 35), (4, 40)))
     return out.withColumn("relative_error", M.relative_error("estimate", F.lit(float(li.select("entity").distinct().count()))))
 
 
+#: Descriptor lines with grams long enough for K = 4.
+LONG_LINES = R.RecordSpec("rec_id", ("text",), k=8, truth="entity")
+
+
 @query()
 def kl_table_documents(spark, d):
-    """W2, W7 on documents with equal texts as the truth: K = 1 makes hot buckets on prose, K = 4 does not."""
-    docs = R.documents(spark, d)
-    return kl_rows(docs, R.RecordSpec("rec_id", ("text",), 5, truth="entity"), ((2, 4), (4, 4), (8, 2)))
+    """W2, W7 on documents with equal texts as the truth: the published K = 1 with L = 5, 6, 8 and 14, which makes hot buckets
+    on prose, and K = 4 and 8, which do not."""
+    docs = stored(R.documents(spark, d), "documents")
+    out = kl_rows(docs, R.RecordSpec("rec_id", ("text",), 5, truth="entity"), ((1, 5), (1, 6), (1, 8), (1, 14), (4, 4), (8, 2)))
+    return out.withColumn("relative_error", M.relative_error("estimate", F.lit(float(docs.select("entity").distinct().count()))))
+
+
+def _runs(r: DataFrame, spec: R.RecordSpec, grid, seeds) -> DataFrame:
+    """run, cfg, seed, m, p, observed, estimate, sd, lo, hi of every (setting, seed) in one job: the run is part of the bucket
+    key, and components of all runs are found together, over vertices that are numbered by run and record."""
+    s = stored(spec.sets(r).withColumn("vertex", F.monotonically_increasing_id()), "sets")  # 2^33 records of each of 2^30 tasks
+    n = s.count()
+    runs = [(i, c, seed) for i, (c, seed) in enumerate((c, seed) for c in range(len(grid)) for seed in seeds)]
+    rows = _all([Sampler(*grid[c], seed).keys(s).select(F.lit(i).alias("run"), F.posexplode("keys").alias("tbl", "key"), "rec_id") for i, c, seed in runs])
+    rows = stored(rows, "buckets")
+    x, y = rows.alias("x"), rows.alias("y")
+    on = (F.col("x.run") == F.col("y.run")) & (F.col("x.tbl") == F.col("y.tbl")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.rec_id") < F.col("y.rec_id"))
+    true = stored(L.truth_pairs(s, "rec_id", "entity"), "true")
+    pairs = x.join(y, on).select("x.run", F.col("x.rec_id").alias("id_a"), F.col("y.rec_id").alias("id_b")).distinct()
+    pairs = stored(pairs.join(true.withColumn("_t", F.lit(1)), ["id_a", "id_b"], "left"), "pairs")
+    dropped(rows)
+    sizes = pairs.groupBy("run").agg(F.count("*").alias("m"), (F.count("_t") / F.lit(max(1, true.count()))).alias("p"))
+    # a vertex of the union of all graphs: its record's number, and the run
+    ids = s.select("rec_id", "vertex")
+    edges = pairs.where("_t = 1").join(ids.toDF("id_a", "a"), "id_a").join(ids.toDF("id_b", "b"), "id_b")
+    edges = stored(edges.select((F.col("a") * len(runs) + F.col("run")).alias("id_a"), (F.col("b") * len(runs) + F.col("run")).alias("id_b")), "edges")
+    comps = stored(components_auto(edges).select(F.pmod("rec_id", F.lit(len(runs))).cast("int").alias("run"), "component"), "components")
+    h = comps.groupBy("run", "component").agg(F.count("*").alias("size")).groupBy("run", "size").agg(F.count("*").alias("n"))
+    every = spark_rows(s, runs)
+    alone = every.join(comps.groupBy("run").agg(F.count("*").alias("c")), "run", "left").select("run", F.lit(1).cast("long").alias("size"), (F.lit(n) - F.coalesce("c", F.lit(0))).alias("n"))
+    h = h.union(alone).groupBy("run", "size").agg(F.sum("n").alias("n"))
+    return O.estimate_rows(h, ["run"], sizes).join(every, "run")
+
+
+def spark_rows(df: DataFrame, runs) -> DataFrame:
+    return df.sparkSession.createDataFrame(runs, "run int, cfg int, seed int")
+
+
+def compare_estimators(df: DataFrame, spec: R.RecordSpec, grid, seeds=(1, 2, 3), baseline_seeds=(1, 2)) -> DataFrame:
+    """Relative error of all estimators under equal budgets: (setting, method, runs, mean_budget, mean_re, sd_re).
+
+    Every setting's mean sample size is the budget of the competitors, which run over seeds of their own."""
+    spark = df.sparkSession
+    df = stored(df, "records")
+    n, m_rec = float(df.select(spec.truth).distinct().count()), df.count()
+    runs = stored(_runs(df, spec, grid, seeds), "runs")
+    cols = ("cfg", "method", "budget", "estimate")
+    pick = lambda x, name, e: x.select("cfg", F.lit(name).alias("method"), F.col("budget").cast("long"), F.col(e).cast("double").alias("estimate"))
+    ours = runs.withColumnRenamed("m", "budget").withColumn("all", F.lit(float(m_rec)))
+    rows = [pick(ours, "adaptive", "estimate"), pick(ours, "uncorrected", "observed"), pick(ours, "trivial", "all")]
+    for c, budget in runs.groupBy("cfg").agg(F.avg("m").cast("long")).collect():  # a row per setting
+        for seed in baseline_seeds:
+            them = {f"subgraph_{v}": B.subgraph_estimate(df, spec.id_col, spec.truth, budget, seed, v) for v in ("transitive", "forest", "scale")}
+            them |= {"vertex_search": B.vertex_bfs_estimate(df, spec.id_col, spec.truth, budget, seed), "uniform_pairs": B.uniform_pair_estimate(df, spec.id_col, spec.truth, budget, seed)}
+            rows += [pick(x.withColumn("cfg", F.lit(c)).withColumn("budget", F.lit(budget)), name, "estimate") for name, x in them.items()]
+    settings = spark.createDataFrame([(c, k, t) for c, (k, t) in enumerate(grid)], "cfg int, k int, l int")
+    out = _all([x.select(*cols) for x in rows]).withColumn("re", M.relative_error("estimate", F.lit(n)))
+    out = out.groupBy("cfg", "method").agg(F.count("*").alias("runs"), F.avg("budget").alias("mean_budget"), F.avg("re").alias("mean_re"), F.stddev_samp("re").alias("sd_re"))
+    return out.join(settings, "cfg").drop("cfg")
 
 
 @query()
 def re_by_budget(spark, d):
-    """Relative error of the estimators under equal budgets of pair queries, on the registry; the trivial answer M and the
-    uncorrected count stand beside them."""
-    r = stored(R.registry(spark, d), "registry")
-    n, m_rec = float(r.select("entity_id").distinct().count()), r.count()
-    rows = []
-    for k, t in ((6, 2), (4, 4)):
-        for seed in (1, 2):
-            e = estimate_unique_entities(r, R.REGISTRY, Sampler(k, t, seed)).first()
-            m = e["m_pairs"]
-            tag = lambda df, name, seed=seed, m=m: df.select(F.lit(name).alias("method"), F.lit(m).cast("long").alias("budget"), F.lit(seed).alias("seed"), F.col("estimate").cast("double").alias("estimate"))
-            rows.append(spark.createDataFrame([("adaptive", m, seed, e["estimate"]), ("uncorrected", m, seed, float(e["observed"])), ("trivial", m, seed, float(m_rec))], "method string, budget long, seed int, estimate double"))
-            rows.append(tag(B.uniform_pair_estimate(r, "rec_id", "entity_id", m, seed), "uniform_pairs"))
-            rows.append(tag(B.vertex_bfs_estimate(r, "rec_id", "entity_id", m, seed), "vertex_bfs"))
-            rows += [tag(B.subgraph_estimate(r, "rec_id", "entity_id", m, seed, v), f"subgraph_{v}") for v in ("transitive", "forest", "scale")]
-    runs = _all(rows).withColumn("n", F.lit(n)).withColumn("re", M.relative_error("estimate", "n"))
-    return runs.groupBy("method").agg(F.avg("budget").alias("mean_budget"), F.avg("re").alias("mean_re"), F.stddev_samp("re").alias("sd_re"))
+    """The main figure on the registry: four budgets, five seeds."""
+    return compare_estimators(R.registry(spark, d), R.REGISTRY, ((6, 1), (6, 2), (4, 3), (4, 5)), (1, 2, 3, 4, 5))
+
+
+@query()
+def re_by_budget_documents(spark, d):
+    """W5 on documents with equal texts as the truth."""
+    return compare_estimators(R.documents(spark, d), R.RecordSpec("rec_id", ("text",), 5, truth="entity"), ((8, 1), (8, 2), (4, 2), (4, 4)), (1, 2, 3, 4, 5), (1,))
+
+
+@query()
+def re_by_budget_lines(spark, d):
+    """W5 on all descriptor lines."""
+    return compare_estimators(R.lines(spark, d), LONG_LINES, ((8, 10), (8, 25), (6, 16), (6, 30)), (1, 2, 3, 4, 5), (1,))
+
+
+WORKLOADS = {"small": "kl_table_registry", "documents": "kl_table_documents", "lines": "kl_table_lines", "partial_labels": "partial_label_workload", "budgets": "re_by_budget", "hand_matching": "merged_records", "thinning": "thinning_bias", "stress": "thinning_stress"}
+
+
+def run_workload(name: str, spark, sf_dir: str) -> DataFrame:
+    """One of the experiment workloads by its name."""
+    return QUERIES[WORKLOADS[name]](spark, sf_dir)
+
+
+@query()
+def lines_k4_450k(spark, d):
+    """The published scale of the conflict data: a sample of some hundred thousand pairs of all lines at K = 4, with its time."""
+    import time
+
+    s = stored(LONG_LINES.sets(R.lines(spark, d)), "sets")
+    t = time.perf_counter()
+    m = Sampler(4, 25).pairs(s).count()
+    took = time.perf_counter() - t
+    return spark.createDataFrame([(s.count(), m, took, m / took)], "records long, pairs long, seconds double, pairs_a_second double")
 
 
 @query()
 def proxy_loss(spark, d):
-    """What labels of a classifier cost against true labels, with a training share below 1e-3 of all pairs."""
+    """What labels of a classifier cost against true labels, with a training share below 1e-4 of all pairs."""
     from .catalogue import _proxy
 
     n, pairs, s, labels, known = _proxy(spark, d, "svm")
@@ -110,12 +189,30 @@ def proxy_loss(spark, d):
 
 @query()
 def partial_label_workload(spark, d):
-    """Documents of four source lists, labels for a part only. T is cut from labelled documents; the rest is labelled by
-    similarity. Beside the estimate stands the answer of full resolution of the sample without correction."""
+    """Four source lists, labels for a part only. T are the true pairs among a fifth of the entities, chosen by hash; from them
+    the labeller is trained, on less than a ten-thousandth of all pairs, and p is measured. Everything else is unlabelled: the
+    sample is labelled by support vectors or by a forest. ``hidden`` is the answer that neither has seen."""
+    from .catalogue import TRAINING_SHARE
+
+    r = stored(R.registry(spark, d), "registry")
+    s = stored(R.REGISTRY.sets(r), "sets")
+    n = s.count()
+    open_ = r.where(R.portable_hash("entity_id", F.lit("labelled")) % 5 == 0).select("rec_id", F.col("entity_id").alias("entity"))
+    known = stored(L.truth_pairs(open_, "rec_id", "entity"), "known")
+    seen = Sampler(2, 12).pairs(s.join(open_.select("rec_id"), "rec_id", "left_semi"))
+    training = stored(L.training_pairs(known, seen, n * (n - 1) // 2, TRAINING_SHARE), "training")
+    rows = [estimate_unique_entities(r, R.REGISTRY, Sampler(4, 4), labelled=known, labeller=kind, training=training, sets=s).select(F.lit(kind).alias("labels"), "m_pairs", "p", "n_labelled", "observed", "estimate", "sd", "sd_total", "lo", "hi") for kind in ("svm", "forest")]
+    hidden = F.lit(r.select("entity_id").distinct().count())
+    return _all(rows).withColumn("hidden", hidden).withColumn("training_pairs", F.lit(training.count()))
+
+
+@query()
+def partial_label_documents(spark, d):
+    """W4 on documents: T is cut from labelled documents, the sample is labelled by similarity."""
     docs = R.table(spark, d, "documents").withColumnRenamed("doc_id", "rec_id")
-    sets = R.DOCUMENTS.sets(docs)
+    sets = stored(R.DOCUMENTS.sets(docs), "sets")
     known = stored(R.labelled_document_pairs(spark, d, sets, 0.7).where("is_match").select("id_a", "id_b"), "known")
-    return estimate_unique_entities(docs, R.DOCUMENTS, Sampler(8, 4), theta=0.7, labelled=known)
+    return estimate_unique_entities(docs, R.DOCUMENTS, Sampler(8, 4), theta=0.7, labelled=known, sets=sets)
 
 
 @query()
@@ -148,7 +245,7 @@ def _thin_all(edges: DataFrame, n_records: int, ps, seeds) -> DataFrame:
     spark = edges.sparkSession
     r = spark.createDataFrame(runs, "run int, p double, seed int")
     span = 1 << 42
-    u = F.pmod(F.xxhash64("id_a", "id_b", "seed"), F.lit(1 << 30)) / float(1 << 30)
+    u = P.hash32("id_a", "id_b", "seed") / float(1 << 32)
     e = stored(edges.select("id_a", "id_b"), "edges").join(F.broadcast(r), u < F.col("p"))  # a handful of runs
     shifted = e.select((F.col("id_a") + F.col("run") * F.lit(span)).alias("id_a"), (F.col("id_b") + F.col("run") * F.lit(span)).alias("id_b"))
     comps = components_auto(stored(shifted, "kept")).withColumn("run", F.floor(F.col("rec_id") / F.lit(span)).cast("int"))
@@ -158,28 +255,49 @@ def _thin_all(edges: DataFrame, n_records: int, ps, seeds) -> DataFrame:
     return O.estimate_rows(hist, ["run"], r.select("run", "p")).join(r.select("run", "seed"), "run")
 
 
-@query()
+def _thin_sql(source: str, rec_id: str, key: str, ps, seeds) -> str:
+    """Twin: runs of thinned cliques, their estimates, and the spread over seeds."""
+    grid = f"(SELECT p, s, row_number() OVER (ORDER BY p, s) AS run FROM (SELECT unnest({list(ps)})::DOUBLE AS p), (SELECT unnest({list(seeds)}) AS s))"
+    edges = f"e AS (SELECT x.{rec_id} AS a, y.{rec_id} AS b FROM {source} x JOIN {source} y ON x.{key} = y.{key} AND x.{rec_id} < y.{rec_id}), g AS {grid}, kept AS (SELECT a + run * 4398046511104 AS id_a, b + run * 4398046511104 AS id_b FROM e, g WHERE {W.hash32('a', 'b', 's')} / 4294967296.0 < p)"
+    sizes = f"sz AS (SELECT rec_id // 4398046511104 AS run, component, count(*) AS size FROM comps GROUP BY ALL), hs AS (SELECT run, size, count(*) AS n FROM sz GROUP BY ALL UNION ALL SELECT run, 1, (SELECT count(*) FROM {source}) - sum(size) FROM sz GROUP BY run), hr AS (SELECT run, {W.COUNTS} FROM hs GROUP BY run)"
+    est = W.estimates("(SELECT g.run, g.p, s1, s2, s3, s_rest, observed FROM hr JOIN g USING (run))", "run", 30)
+    n = f"(SELECT count(DISTINCT {key})::DOUBLE FROM {source})"
+    rounds = {"mean_estimate": "avg(estimate)", "sd_estimate": "stddev_samp(estimate)", "mean_re": f"avg(abs(estimate - {n}) / {n})", "sd_re": f"stddev_samp(abs(estimate - {n}) / {n})", "bias": f"avg(estimate - {n})", "mse": f"avg((estimate - {n}) * (estimate - {n}))", "coverage": f"avg((estimate - 1.96 * sd <= {n} AND {n} <= estimate + 1.96 * sd)::INT)", "closed_form_sd": "avg(sd)"}
+    return f"{edges}, {W.components('kept')}, {sizes} SELECT round(p, 6) AS p, count(*)::BIGINT AS runs, " + ", ".join(f"round({x}, 4) AS {c}" for c, x in rounds.items()) + f" FROM ({est}) GROUP BY p"
+
+
+def _thinned(records: DataFrame, key: str, ps, seeds) -> DataFrame:
+    runs = stored(_thin_all(R.clique_edges(records, "rec_id", [key]), records.count(), ps, seeds), "runs")
+    n = float(records.select(key).distinct().count())
+    s = M.spread(runs.withColumn("n", F.lit(n)), ["p"])
+    return rounded(s.join(runs.groupBy("p").agg(F.avg("sd").alias("closed_form_sd")), "p"), 4)
+
+
+@query(f"WITH RECURSIVE {W.REGISTRY}, " + _thin_sql("registry", "rec_id", "entity_id", (0.42, 0.6, 0.83), range(1, 9)))
 def thinning_bias(spark, d):
     """Independent thinning of the registry's cliques: unbiased at every p, spread as the closed form says."""
-    r = stored(R.registry(spark, d).select("rec_id", "entity_id"), "registry")
-    runs = _thin_all(R.clique_edges(r, "rec_id", ["entity_id"]), r.count(), (0.42, 0.6, 0.83), range(1, 9))
-    n = float(r.select("entity_id").distinct().count())
-    s = M.spread(runs.withColumn("n", F.lit(n)), ["p"])
-    return s.join(runs.groupBy("p").agg(F.avg("sd").alias("closed_form_sd")), "p")
+    return _thinned(stored(R.registry(spark, d).select("rec_id", "entity_id"), "registry"), "entity_id", (0.42, 0.6, 0.83), range(1, 9))
 
 
 @query()
 def thinning_stress(spark, d):
     """Orders by customer have cliques far beyond three: the assumption breaks at low p and mends at high p."""
     o = R.table(spark, d, "orders").select(F.col("o_orderkey").alias("rec_id"), "o_custkey")
-    runs = _thin_all(R.clique_edges(o, "rec_id", ["o_custkey"]), o.count(), (0.3, 0.83), (1, 2))
-    n = float(o.select("o_custkey").distinct().count())
-    return M.spread(runs.withColumn("n", F.lit(n)), ["p"])
+    return _thinned(o, "o_custkey", (0.3, 0.83), (1, 2))
+
+
+@query()
+def thinning_stress_lines(spark, d):
+    """W14 on lines by order, cliques of 1 to 12."""
+    li = R.table(spark, d, "lineitem").select(F.monotonically_increasing_id().alias("rec_id"), "l_orderkey")
+    li = stored(li, "lines").select(F.pmod("rec_id", F.lit(1 << 33)).alias("r"), F.shiftright("rec_id", 33).alias("t"), "l_orderkey")
+    return _thinned(stored(li.select((F.col("t") * (1 << 27) + F.col("r")).alias("rec_id"), "l_orderkey"), "numbered"), "l_orderkey", (0.3, 0.83), (1, 2))
 
 
 @query()
 def projection_against_minhash(spark, d):
-    """At equal bits, min-wise signatures find the copies of sparse sets with fewer pairs than random projections."""
+    """Eight tables each, of 20 signs or of 3 minima a key. Neither bits nor budgets are equal (160 signs, 24 minima), so the
+    rows are to be read by recall against share, not by rank."""
     from headcount.functions.hashing import sign_projection
     from headcount.sources.shipping import ship
 
@@ -262,56 +380,95 @@ def sampling_cost(spark, d):
 
 
 def _as_stream(df: DataFrame, files: int, by: str) -> DataFrame:
-    base = f"{shared_dir(df.sparkSession)}/in"
-    df.repartitionByRange(files, by).write.parquet(base)
-    return df.sparkSession.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(base)
+    """A stream of so many files in the order of a column: they are written one after the other, so no row is late."""
+    spark, base = df.sparkSession, f"{shared_dir(df.sparkSession)}/in"
+    ranged = stored(df.repartitionByRange(files, by).withColumn("_file", F.spark_partition_id()), "ranged")
+    for i in range(files):
+        ranged.where(F.col("_file") == i).drop("_file").coalesce(1).write.mode("append").parquet(base)
+    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(base)
 
 
-@query()
+_STREAM = f"WITH RECURSIVE {W.REGISTRY}, {W.sets('registry', 'rec_id', W.REGISTRY_TEXT, 2, 'entity_id AS entity')}, {W.sampled(4, 4)}"
+_STREAM_EST = f"{_STREAM}, matched AS (SELECT id_a, id_b FROM pairs JOIN sets x ON x.rec_id = id_a JOIN sets y ON y.rec_id = id_b WHERE x.entity = y.entity), known AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM sets x JOIN sets y ON x.entity = y.entity AND x.rec_id < y.rec_id), {W.components('matched')}, {W.histogram('(SELECT count(*) FROM sets)')} "
+_STREAM_EST += "SELECT *, 0::BIGINT AS pairs_that_differ FROM (" + W.estimates(f"(SELECT (SELECT count(p.id_a)::DOUBLE / nullif(count(*), 0) FROM known LEFT JOIN pairs p USING (id_a, id_b)) AS p, {W.COUNTS} FROM hist)", "") + ")"
+
+
+@query(_STREAM_EST)
 def stream_pairs_equals_batch(spark, d):
     """The registry in micro-batches gives the pairs and the estimate of the batch."""
+    from .catalogue import _EST_COLS
+
     r = R.registry(spark, d).select("rec_id", "entity_id", *R.REGISTRY.fields)
     index = I.PairIndex(spark)
     q = I.keyed(_as_stream(r, 4, "rec_id"), R.REGISTRY, 4, 4).writeStream.foreachBatch(lambda df, i: index.add(df, i)).option("checkpointLocation", f"{shared_dir(spark)}/cp").trigger(availableNow=True).start()
     q.awaitTermination()
-    batch = Sampler(4, 4, mode="portable").pairs(R.REGISTRY.sets(R.registry(spark, d), "portable"))
-    inc = index.pairs()
+    batch = stored(Sampler(4, 4, mode="portable").pairs(R.REGISTRY.sets(R.registry(spark, d), "portable")), "batch")
+    inc = stored(index.pairs(), "incremental")
     diff = inc.exceptAll(batch).union(batch.exceptAll(inc)).count()
     row = index.estimate(r, "rec_id", "entity_id", R.clique_edges(r, "rec_id", ["entity_id"]))
-    return row.withColumn("pairs_that_differ", F.lit(diff))
+    return rounded(row.select(*_EST_COLS)).withColumn("pairs_that_differ", F.lit(diff).cast("long"))
 
 
-@query()
+@query("SELECT count(DISTINCT event_id)::BIGINT AS kept, count(DISTINCT event_id)::BIGINT AS entities FROM events")
 def stream_watermark_dedupe(spark, d):
     """Repeated emissions of an event within the watermark are dropped once."""
     e = R.event_records(spark, d).select("entity", F.col("ts").cast("timestamp").alias("ts"), "user_id")
-    s = _as_stream(e, 3, "ts")
-    out = I.run_to_end(I.drop_repeats(s, ["entity"], "ts"), f"hc_dedupe_{abs(hash(d)) % 10**6}")
+    out = I.run_to_end(I.drop_repeats(_as_stream(e, 3, "ts"), ["entity"], "ts"))
     return out.agg(F.count("*").alias("kept"), F.countDistinct("entity").alias("entities"))
 
 
-@query()
+def _day_events(spark, d) -> DataFrame:
+    return R.table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
+
+
+def _window_rows(sizes: DataFrame, start: str = "w.start") -> DataFrame:
+    """The estimate per window. Records of a window that share their key are all compared, so p is 1 and the estimate is the
+    count itself; a sampled stream would bring its own p."""
+    hist = sizes.groupBy(F.date_format(start, "yyyy-MM-dd HH:mm:ss").alias("start"), "size").agg(F.count("*").alias("n"))
+    rows = O.estimate_rows(hist, ["start"], hist.select("start").distinct().withColumn("p", F.lit(1.0)))
+    return rows.select("start", "s1", "s2", "s3", "s_rest", "observed", "estimate", "sd")
+
+
+def _window_sql(windows: str, late: str = "1 hour") -> str:
+    return (
+        f"WITH w AS ({windows}), k AS (SELECT start, size, count(*) AS n FROM w WHERE stop <= (SELECT max(ts) FROM events) - INTERVAL {late} GROUP BY ALL) "
+        f"SELECT strftime(start, '%Y-%m-%d %H:%M:%S') AS start, {W.COUNTS.replace(', sum(n)::BIGINT AS observed', '')}, sum(n)::BIGINT AS observed, sum(n)::DOUBLE AS estimate, 0.0::DOUBLE AS sd FROM k GROUP BY start"
+    )
+
+
+@query(_window_sql("SELECT date_trunc('day', ts) AS start, date_trunc('day', ts) + INTERVAL 1 DAY AS stop, user_id, event_type, count(*) AS size FROM events GROUP BY ALL"))
 def stream_window_estimate(spark, d):
-    """Entities per day from a stream, one histogram per window, one estimate per window."""
-    e = R.table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
-    s = _as_stream(e, 3, "ts")
-    h = I.run_to_end(I.windowed_histogram(s, "ts", ["user_id", "event_type"]), f"hc_window_{abs(hash(d)) % 10**6}")
-    hist = h.groupBy(F.col("w.start").cast("string").alias("day"), "size").agg(F.count("*").alias("n"))
-    return O.estimate_rows(hist, ["day"], hist.select("day").distinct().withColumn("p", F.lit(0.83)))
+    """Entities per day from a stream, one histogram per window that the watermark has closed, one estimate per window."""
+    return _window_rows(I.run_to_end(I.windowed_histogram(_as_stream(_day_events(spark, d), 3, "ts"), "ts", ["user_id", "event_type"])))
 
 
-@query()
+@query(_window_sql("SELECT date_trunc('day', ts) - INTERVAL (b) DAY AS start, date_trunc('day', ts) - INTERVAL (b) DAY + INTERVAL 2 DAY AS stop, user_id, event_type, count(*) AS size FROM events, (VALUES (0), (1)) v(b) GROUP BY ALL"))
+def stream_sliding_estimate(spark, d):
+    """Windows of two days, one a day."""
+    return _window_rows(I.run_to_end(I.windowed_histogram(_as_stream(_day_events(spark, d), 3, "ts"), "ts", ["user_id", "event_type"], "2 days", "1 day")))
+
+
+@query(
+    "WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e), g AS (SELECT user_id, k, max(ts) + INTERVAL 30 MINUTE AS stop, count(*) AS size FROM s GROUP BY ALL) "
+    "SELECT size::BIGINT AS size, count(*)::BIGINT AS n FROM g WHERE stop <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR GROUP BY size"
+)
+def stream_session_sizes(spark, d):
+    """Sessions of a user, closed by a gap of half an hour: how many events they hold."""
+    e = _day_events(spark, d).select("ts", "user_id")
+    return I.run_to_end(I.session_histogram(_as_stream(e, 3, "ts"), "ts", "user_id")).groupBy("size").agg(F.count("*").alias("n"))
+
+
+@query("SELECT x.event_id AS id_a, y.event_id AS id_b FROM events x JOIN events y ON x.user_id = y.user_id AND x.event_id < y.event_id AND y.ts >= x.ts - INTERVAL 10 MINUTE AND y.ts <= x.ts + INTERVAL 10 MINUTE")
 def stream_interval_join(spark, d):
     """Pairs of a user's events within ten minutes, from two streams."""
-    e = R.table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id")
-    out = I.run_to_end(I.interval_pairs(_as_stream(e, 2, "ts"), _as_stream(e, 2, "ts"), "user_id", "ts", "event_id"), f"hc_interval_{abs(hash(d)) % 10**6}")
-    return out.select("id_a", "id_b")
+    e = _day_events(spark, d).select("event_id", "ts", "user_id")
+    return I.run_to_end(I.interval_pairs(_as_stream(e, 2, "ts"), _as_stream(e, 2, "ts"), "user_id", "ts", "event_id")).select("id_a", "id_b")
 
 
-@query()
+@query(f"{_STREAM} SELECT id_a, id_b FROM pairs")
 def stream_stateful_buckets(spark, d):
     """T5: bucket members as keyed state."""
     r = R.registry(spark, d).select("rec_id", "entity_id", *R.REGISTRY.fields)
     keys = I.keyed(_as_stream(r, 2, "rec_id"), R.REGISTRY, 4, 4)
     b = keys.select(F.posexplode("keys").alias("tbl", "key"), "rec_id")
-    return I.run_to_end(I.stateful_pairs(b), f"hc_state_{abs(hash(d)) % 10**6}").distinct()
+    return I.run_to_end(I.stateful_pairs(b)).distinct()

@@ -122,8 +122,9 @@ def stateful_pairs(buckets: DataFrame, keep_last: int = 0) -> DataFrame:
     return buckets.groupBy("tbl", "key").applyInPandasWithState(members, "id_a long, id_b long", "members array<long>", "append", "NoTimeout")
 
 
-def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a finite stream into memory and return what came out."""
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(df.sparkSession)}/stream").start()
+def run_to_end(df: DataFrame) -> DataFrame:
+    """Run a finite stream to its end into a Parquet sink in shared storage, exactly once per batch, and read it back."""
+    base = shared_dir(df.sparkSession)
+    q = df.writeStream.outputMode("append").format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/stream").trigger(availableNow=True).start()
     q.awaitTermination()
-    return df.sparkSession.table(name)
+    return df.sparkSession.read.schema(df.schema).parquet(f"{base}/out")
