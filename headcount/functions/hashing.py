@@ -116,6 +116,25 @@ def densified(bins: np.ndarray, how: str, seed: int = 42) -> np.ndarray:
     return out
 
 
+def probed_rows(tokens: np.ndarray, lengths: np.ndarray, b: int, seed: int) -> np.ndarray:
+    """Signatures of many sets at once (a row each), densified by probing: what :func:`bins_of` and :func:`densified` give set by
+    set, with one pass over all tokens and one step per attempt for all empty bins."""
+    n = len(lengths)
+    h = mix(tokens.view(np.uint64), seed)
+    out = np.full(n * b, EMPTY, np.uint64)
+    row = np.repeat(np.arange(n, dtype=np.int64), lengths)
+    np.minimum.at(out, row * b + ((h >> np.uint64(32)) % np.uint64(b)).astype(np.int64), h)
+    todo = np.flatnonzero((out == EMPTY) & np.repeat(lengths > 0, b))
+    filled, attempt = out.copy(), 0
+    while len(todo):
+        attempt += 1
+        place = mix(np.arange(b, dtype=np.uint64) * np.uint64(1_000_003) + np.uint64(attempt), seed + 1) % np.uint64(b)
+        found = out[todo - todo % b + place[todo % b].astype(np.int64)]
+        filled[todo] = found
+        todo = todo[found == EMPTY]
+    return filled.reshape(n, b)
+
+
 def minima_of(tokens: np.ndarray, b: int, seed: int) -> np.ndarray:
     """b independent minima."""
     if not len(tokens):
@@ -153,6 +172,12 @@ def signature(b: int, seed: int = 42, how: str = "probe"):
 
     @F.pandas_udf(T.ArrayType(T.LongType()))
     def run(tokens: pd.Series) -> pd.Series:
+        if how == "probe" and len(tokens):
+            sets = [np.empty(0, np.int64) if t is None else np.asarray(t, np.int64) for t in tokens]
+            lengths = np.fromiter(map(len, sets), np.int64, len(sets))
+            rows = probed_rows(np.concatenate(sets), lengths, b, seed).view(np.int64)
+            return pd.Series([row if n else None for row, n in zip(rows, lengths.tolist(), strict=True)])
+
         def one(t):
             if t is None or len(t) == 0:
                 return None

@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass, replace
 from functools import reduce
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from headcount.functions.estimators import random_recall, weight_upto, with_total_error
@@ -49,13 +49,13 @@ class Sampler:
 
 
 def observed_pass(judged: DataFrame, known: DataFrame) -> tuple[DataFrame, int, int]:
-    """The matched pairs, written, with the size of the sample and the number of known matches in it: all three come from the
-    one pass that writes the matches, the counts through an observation."""
-    seen = Observation()
+    """The matched pairs, the size of the sample and the number of known matches in it: sampling, labelling and p share the one
+    pass that writes the judged pairs, and one conditional aggregate over what it wrote. (An ``Observation`` would spare that
+    read, but puts a manager into the session that models of Spark ML cannot serialise.)"""
     flagged = judged.join(known.select("id_a", "id_b").withColumn("_known", F.lit(1)), ["id_a", "id_b"], "left")
-    flagged = flagged.observe(seen, F.count("*").alias("m"), F.count("_known").alias("hits"))
-    matched = stored(flagged.where("is_match").select("id_a", "id_b"), "matched")
-    return matched, seen.get["m"], seen.get["hits"]
+    flagged = stored(flagged.select("id_a", "id_b", "is_match", "_known"), "judged")
+    m, hits = flagged.agg(F.count("*"), F.count("_known")).first()
+    return flagged.where("is_match").select("id_a", "id_b"), m, hits
 
 
 def trained_labels(pairs: DataFrame, df: DataFrame, spec: RecordSpec, training: DataFrame, kind: str) -> DataFrame:

@@ -62,15 +62,15 @@ def kl_table_registry(spark, d):
 
 @query()
 def kl_table_lines(spark, d):
-    """The settings of the large published set, K = 4 with L = 25 to 40, on descriptor lines. Grams of eight characters:
-    with three, K = 4 makes hot keys of the synthetic words."""
+    """The settings of the large published set, K = 4 with L = 25 to 40, on descriptor lines. Grams of fourteen
+    characters: with three, K = 4 makes hot keys of the synthetic words."""
     li = stored(R.lines(spark, d), "lines")
     out = kl_rows(li, LONG_LINES, ((4, 25), (4, 32), (4, 35), (4, 40)))
     return out.withColumn("relative_error", M.relative_error("estimate", F.lit(float(li.select("entity").distinct().count()))))
 
 
 #: Descriptor lines with grams long enough for K = 4.
-LONG_LINES = R.RecordSpec("rec_id", ("text",), k=8, truth="entity")
+LONG_LINES = R.RecordSpec("rec_id", ("text",), k=14, truth="entity")
 
 
 @query()
@@ -151,7 +151,7 @@ def re_by_budget_documents(spark, d):
 @query()
 def re_by_budget_lines(spark, d):
     """W5 on all descriptor lines."""
-    return compare_estimators(R.lines(spark, d), LONG_LINES, ((8, 10), (8, 25), (6, 16), (6, 30)), (1, 2, 3, 4, 5), (1,))
+    return compare_estimators(R.lines(spark, d), LONG_LINES, ((4, 6), (4, 12), (4, 25), (4, 40)), (1, 2, 3, 4, 5), (1,))
 
 
 WORKLOADS = {"small": "kl_table_registry", "documents": "kl_table_documents", "lines": "kl_table_lines", "partial_labels": "partial_label_workload", "budgets": "re_by_budget", "hand_matching": "merged_records", "thinning": "thinning_bias", "stress": "thinning_stress"}
