@@ -45,26 +45,32 @@ def merge_records(records: DataFrame, comps: DataFrame, id_col: str, fields: dic
     return wide.select(F.col("_g").alias(id_col), "n_merged", *(F.element_at("m", f).cast(types[f]).alias(f) for f in fields))
 
 
-def near_days(df: DataFrame, id_col: str, keys: list[str], day: str, within: int = 1) -> DataFrame:
+def near_days(df: DataFrame, id_col: str, keys: list[str], day: str, within: int = 1, ring: int | None = None) -> DataFrame:
     """Pairs that agree on the keys and lie at most ``within`` days apart, across any border: a day bin and its next, then the
-    exact difference."""
+    exact difference. With ``ring`` the first key is a region of so many around a ring, and the two have to be neighbours."""
     width = max(1, within)
     x = df.select(F.col(id_col).alias("id_a"), *(F.col(k).alias(f"x_{k}") for k in keys), F.col(day).alias("_dx"), F.floor(F.col(day) / width).alias("_bx"))
     y = df.select(F.col(id_col).alias("id_b"), *(F.col(k).alias(f"y_{k}") for k in keys), F.col(day).alias("_dy"), F.explode(F.array(*(F.floor(F.col(day) / width) + i for i in (-1, 0, 1)))).alias("_by"))
+    if ring:
+        at = F.col(f"y_{keys[0]}")
+        y = y.withColumn(f"y_{keys[0]}", F.explode(F.array_distinct(F.array(F.pmod(at + 1, F.lit(ring)), F.pmod(at - 1, F.lit(ring))))))
     on: Column = F.col("_bx") == F.col("_by")
     for k in keys:
         on = on & (F.col(f"x_{k}") == F.col(f"y_{k}"))
     return x.join(y, on & (F.col("id_a") < F.col("id_b")) & (F.abs(F.col("_dx") - F.col("_dy")) <= within)).select("id_a", "id_b")
 
 
-def iterative_match_merge(records: DataFrame, id_col: str, block: list[str], day: str, name: str, fields: dict[str, str], strict: float = 0.6, rounds: int = 2) -> DataFrame:
+def iterative_match_merge(records: DataFrame, id_col: str, block: list[str], day: str, name: str, fields: dict[str, str], strict: float = 0.6, rounds: int = 2, ring: int | None = None) -> DataFrame:
     """The reference answer: blocks by region and period, labels by rule, merges; then again over the merged records and across
-    the borders of periods. Returns the merged records with how many records each stands for."""
+    the borders of periods and, with ``ring``, of neighbouring regions. Returns the merged records with how many records each
+    stands for."""
     from .sampling import block_pairs
 
     current = records.withColumn("n_merged", F.lit(1).cast("long"))
     for i in range(rounds):
         pairs = block_pairs(current, id_col, [*block[:-1], F.floor(F.col(day) / 365)]) if i == 0 else near_days(current, id_col, block[:-1], day, 1)
+        if i and ring:
+            pairs = pairs.union(near_days(current, id_col, block[:-1], day, 1, ring))
         labels = rule_label(pairs, current, id_col, name, strict)
         comps = stored(components_auto(stored(labels.where("is_match").select("id_a", "id_b"), "matched")), "groups")
         c = current.select(id_col, F.col("n_merged").alias("_m")).join(comps.select(F.col("rec_id").alias(id_col), "component"), id_col, "left")

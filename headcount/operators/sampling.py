@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from headcount.functions.shingles import PRIME, col, jaccard, let
+from headcount.sources.shipping import ship
 from headcount.sources.storage import stored
 
 # --- bucket tables ---------------------------------------------------------------------------------------------------
@@ -89,6 +92,34 @@ def sample_pairs_listed(buckets: DataFrame) -> DataFrame:
     return first.select("id_a", F.explode(F.slice("m", F.col("i") + 2, F.size("m"))).alias("id_b")).distinct()
 
 
+def _cell_pairs(cell: pa.Table) -> pa.Table:
+    """Pairs of the two blocks that meet in a cell, or of one block with itself."""
+    i, j = cell["i"][0].as_py(), cell["j"][0].as_py()
+    own, ids = cell["own"].to_numpy(), cell["rec_id"].to_numpy()
+    x, y = ids[own == i], ids[own == j]
+    if i == j:
+        a, b = np.triu_indices(len(x), 1)
+        a, b = x[a], x[b]
+    else:
+        a, b = np.repeat(x, len(y)), np.tile(y, len(x))
+    a, b = a[a != b], b[a != b]
+    return pa.table({"id_a": pa.array(np.minimum(a, b), pa.int64()), "id_b": pa.array(np.maximum(a, b), pa.int64())})
+
+
+def sample_pairs_grouped(buckets: DataFrame, most: int = 500) -> DataFrame:
+    """The pairs of :func:`sample_pairs` as a grouped map over Arrow tables, for policies that need a bucket's members at once.
+
+    No group is a whole bucket: its members are dealt into blocks of about ``most``, and every two blocks meet in a cell of their
+    own. A task holds two blocks whatever the bucket's size, and no pair is lost."""
+    ship(buckets.sparkSession)
+    sizes = buckets.groupBy("tbl", "key").agg(F.count("*").alias("_n")).where("_n > 1")
+    parts = F.ceil(F.col("_n") / most).cast("int")
+    b = buckets.join(sizes, ["tbl", "key"]).select("tbl", "key", "rec_id", parts.alias("parts"), F.pmod(F.xxhash64("rec_id"), parts).cast("int").alias("own"))
+    cells = b.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    cells = cells.select("tbl", "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rec_id")
+    return cells.groupBy("tbl", "key", "i", "j").applyInArrow(_cell_pairs, "id_a long, id_b long").distinct()
+
+
 def query_buckets(queries: DataFrame, buckets: DataFrame) -> DataFrame:
     """(query_id, rec_id): neighbours of query records, given as rows (query_id, tbl, key)."""
     return queries.join(buckets.select("tbl", "key", "rec_id"), ["tbl", "key"]).where("query_id <> rec_id").select("query_id", "rec_id").distinct()

@@ -100,17 +100,21 @@ def field_grams_parts(spark, d):
     return g.select("p_partkey", F.size("g").cast("long").alias("n"), F.md5(F.array_join(F.sort_array("g"), "|").cast("binary")).alias("digest"))
 
 
+def _contained(items, texts, id_col):
+    """(item_id, id, containment) of at least .8, by shared words. The words of the items are broadcast up to a checked number."""
+    words = items.select("item_id", F.size("w").alias("n"), F.explode("w").alias("t"))
+    few = words.limit(1_000_001).count() <= 1_000_000
+    shared = texts.select(id_col, F.explode(S.word_set("text")).alias("t")).join(F.broadcast(words) if few else words, "t")
+    return shared.groupBy("item_id", id_col, "n").agg(F.count("*").alias("c")).where("c >= 0.8 * n").select("item_id", id_col, F.round(F.col("c") / F.col("n"), 6).alias("containment"))
+
+
 _C = f"WITH c AS (SELECT doc_id, list_distinct(list_filter(string_split(text, ' '), lambda x: x <> '')) AS w FROM documents), b AS (SELECT item_id, list_distinct(list_filter(string_split(text, ' '), lambda x: x <> '')) AS w FROM benchmark) "  # noqa: F541
 
 
 @query(_C + "SELECT item_id, doc_id, round(len(list_intersect(b.w, c.w))::DOUBLE / len(b.w), 6) AS containment FROM b, c WHERE len(list_intersect(b.w, c.w)) >= 0.8 * len(b.w) AND len(b.w) > 0")
 def containment_benchmark_in_documents(spark, d):
-    """Items contained in documents. Items are a small table of checked size, so they are broadcast."""
-    b = R.table(spark, d, "benchmark").select("item_id", S.word_set("text").alias("w"))
-    assert b.count() <= 100_000
-    c = R.table(spark, d, "documents").select("doc_id", S.word_set("text").alias("v"))
-    words = c.select("doc_id", F.explode("v").alias("t")).join(F.broadcast(b.select("item_id", F.size("w").alias("n"), F.explode("w").alias("t"))), "t")
-    return words.groupBy("item_id", "doc_id", "n").agg(F.count("*").alias("c")).where("c >= 0.8 * n").select("item_id", "doc_id", F.round(F.col("c") / F.col("n"), 6).alias("containment"))
+    """Items contained in documents."""
+    return _contained(R.table(spark, d, "benchmark").select("item_id", S.word_set("text").alias("w")), R.table(spark, d, "documents"), "doc_id")
 
 
 _INVERTED = "t AS (SELECT id, len(t) AS n, unnest(t) AS t FROM tokens), s AS (SELECT x.id AS id_a, y.id AS id_b, count(*)::DOUBLE / (any_value(x.n) + any_value(y.n) - count(*)) AS j FROM t x JOIN t y ON x.t = y.t AND x.id < y.id GROUP BY 1, 2)"
@@ -265,6 +269,12 @@ def lsh_pairs_distinct(spark, d):
     return P.sample_pairs(_reg_buckets(spark, d), dedupe="distinct")
 
 
+@query(f"{_REG28} SELECT id_a, id_b FROM pairs")
+def lsh_pairs_grouped_map(spark, d):
+    """S3 as a grouped map; blocks of 8, so that buckets are split even on the smallest tables."""
+    return P.sample_pairs_grouped(_reg_buckets(spark, d), 8)
+
+
 @query(f"{_REG28} SELECT id_a, id_b FROM pairs")
 def lsh_pairs_listed(spark, d):
     return P.sample_pairs_listed(_reg_buckets(spark, d))
@@ -619,7 +629,7 @@ def estimate_documents(spark, d):
     s, pairs, m = _doc_matched(spark, d)
     r = L.recall_row(pairs, R.labelled_document_pairs(spark, d, s, 0.7).where("is_match")).first()
     row = O.estimate_row(O.size_histogram(components_auto(m), s.count()), r["p"])
-    return rounded(E.with_total_error(row.withColumn("n_labelled", F.lit(r["n_labelled"])).withColumn("hits", F.lit(r["hits"]))).select(*_TOTAL_COLS))
+    return rounded(E.with_total_error(row.withColumn("n_labelled", F.lit(r["n_labelled"]).cast("long")).withColumn("hits", F.lit(r["hits"]).cast("long"))).select(*_TOTAL_COLS))
 
 
 @query()
@@ -896,15 +906,15 @@ def dataset_summary(spark, d):
 
 
 def queries() -> dict[str, Query]:
-    from . import relational, workloads
+    from . import domains, relational, workloads
 
-    return QUERIES | relational.QUERIES | workloads.QUERIES
+    return QUERIES | domains.QUERIES | relational.QUERIES | workloads.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    from . import relational, workloads
+    from . import domains, relational, workloads
 
-    return TWINS | relational.TWINS | workloads.TWINS
+    return TWINS | domains.TWINS | relational.TWINS | workloads.TWINS
 
 
 __all__ = ["QUERIES", "TWINS", "T", "query"]

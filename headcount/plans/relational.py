@@ -520,6 +520,15 @@ def udf_udtf(spark, d):
     return _views(spark, d, "part").sql("SELECT p_partkey, g.gram FROM part, LATERAL grams(p_brand, 2) g")
 
 
+@rel(f"WITH {W.REGISTRY}, {W.sets('registry', 'rec_id', W.REGISTRY_TEXT, 2)}, {W.sampled(2, 8)} SELECT rec_id, tbl::INT AS tbl, key::BIGINT AS key FROM buckets")
+def udf_bucket_rows(spark, d):
+    from headcount.functions.sqlfuncs import register
+
+    register(spark)
+    R.REGISTRY.sets(R.registry(spark, d), "portable").createOrReplaceTempView("registry_sets")
+    return spark.sql("SELECT rec_id, b.tbl, b.key FROM registry_sets, LATERAL bucket_rows(rec_id, tokens, 2, 8, 42) b")
+
+
 @rel("SELECT round(sum(n * CASE WHEN size = 2 THEN (2 * 0.83 - 1) / 0.83 WHEN size = 3 THEN (1 - 6 * 0.83 * 0.0289) / (0.6889 * (3 - 1.66)) ELSE 1 END), 4) AS estimate FROM (SELECT count(*) AS size FROM part GROUP BY p_name, p_brand) z, LATERAL (SELECT 1 AS n)")
 def udf_udaf(spark, d):
     from headcount.functions.sqlfuncs import register

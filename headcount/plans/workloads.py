@@ -319,9 +319,9 @@ _FIELDS = {"full_name": "longest", "street": "longest", "city": "longest", "segm
 
 @query()
 def merged_records(spark, d):
-    """Two rounds of blocking, labelling and merging."""
+    """Two rounds of blocking, labelling and merging; the second across borders of periods and of neighbouring regions."""
     r = R.registry(spark, d).select("rec_id", *_FIELDS)
-    return merging.iterative_match_merge(stored(r, "registry"), "rec_id", ["region", "segment", "event_day"], "event_day", "full_name", _FIELDS)
+    return merging.iterative_match_merge(stored(r, "registry"), "rec_id", ["region", "segment", "event_day"], "event_day", "full_name", _FIELDS, ring=5)
 
 
 _SAME = f"WITH {W.REGISTRY}, p AS (SELECT x.rec_id AS id_a, y.rec_id AS id_b, x.region, x.full_name AS xa, y.full_name AS ya, x.street AS xs, y.street AS ys FROM registry x JOIN registry y ON x.segment = y.segment AND x.city = y.city AND x.rec_id < y.rec_id), r AS (SELECT id_a, id_b, substr(xa, 1, 3) = substr(ya, 1, 3) AS one, coalesce(xs = ys, false) AS two FROM p)"
@@ -345,6 +345,28 @@ def near_day_candidates(spark, d):
     return merging.near_days(R.registry(spark, d), "rec_id", ["region", "segment"], "event_day", 1)
 
 
+@query(f"WITH {W.REGISTRY} SELECT x.rec_id AS id_a, y.rec_id AS id_b FROM registry x JOIN registry y ON (x.region + 1) % 5 IN (y.region, (y.region + 2) % 5) AND x.segment = y.segment AND x.rec_id < y.rec_id AND abs(x.event_day - y.event_day) <= 1")
+def near_region_candidates(spark, d):
+    """W8, second pass: candidates of neighbouring regions, the five of them in a ring."""
+    return merging.near_days(R.registry(spark, d), "rec_id", ["region", "segment"], "event_day", 1, ring=5)
+
+
+_FIVE = f"{_SAME.rsplit(', r AS', 1)[0]}, h AS (SELECT xa, ya, ({W.hash32('id_a', 'id_b')} % 5)::INT AS r FROM p), v AS (SELECT xa, ya, least(r, (r + 1) % 5) AS a, greatest(r, (r + 1) % 5) AS b FROM h)"
+
+
+@query(f"{_FIVE} SELECT a + 1 AS first, b + 1 AS second, count(*)::BIGINT AS n, round(avg(((substr(xa, 1, a + 3) = substr(ya, 1, a + 3)) = (substr(xa, 1, b + 3) = substr(ya, 1, b + 3)))::INT), 6) AS agreement FROM v GROUP BY a, b")
+def five_reviewers(spark, d):
+    """Five reviewers whose shares overlap. A pair goes to two of them, by its hash; the later a reviewer, the longer
+    the beginning of the names that has to agree."""
+    r = R.registry(spark, d)
+    f = r.select("rec_id", "full_name")
+    p = P.block_pairs(r, "rec_id", ["segment", "city"]).join(f.toDF("id_a", "xa"), "id_a").join(f.toDF("id_b", "ya"), "id_b")
+    one = (R.portable_hash("id_a", "id_b") % 5).cast("int")
+    seen = p.select("*", F.explode(F.array(one, (one + 1) % 5)).alias("r"))
+    begin = lambda c: F.substr(F.col(c), F.lit(1), F.col("r") + 3)
+    return rounded(M.reviewer_agreement(seen.select((F.col("r") + 1).alias("reviewer"), "id_a", "id_b", (begin("xa") == begin("ya")).alias("is_match"))))
+
+
 @query(f"WITH {W.REGISTRY}, v AS (SELECT entity_id, full_name AS v, count(*) AS n FROM registry GROUP BY ALL) SELECT entity_id, v AS full_name FROM v QUALIFY row_number() OVER (PARTITION BY entity_id ORDER BY length(v) DESC, n DESC, v) = 1 AND count(*) OVER (PARTITION BY entity_id) = 1")
 def merged_unanimous(spark, d):
     """Merging where all copies agree: the value itself."""
@@ -399,14 +421,14 @@ def stream_pairs_equals_batch(spark, d):
     from .catalogue import _EST_COLS
 
     r = R.registry(spark, d).select("rec_id", "entity_id", *R.REGISTRY.fields)
-    index = I.PairIndex(spark)
+    known = stored(R.clique_edges(r, "rec_id", ["entity_id"]), "known")
+    index = I.PairIndex(spark, r.select("rec_id", F.col("entity_id").alias("entity")), known)
     q = I.keyed(_as_stream(r, 4, "rec_id"), R.REGISTRY, 4, 4).writeStream.foreachBatch(lambda df, i: index.add(df, i)).option("checkpointLocation", f"{shared_dir(spark)}/cp").trigger(availableNow=True).start()
     q.awaitTermination()
     batch = stored(Sampler(4, 4, mode="portable").pairs(R.REGISTRY.sets(R.registry(spark, d), "portable")), "batch")
     inc = stored(index.pairs(), "incremental")
     diff = inc.exceptAll(batch).union(batch.exceptAll(inc)).count()
-    row = index.estimate(r, "rec_id", "entity_id", R.clique_edges(r, "rec_id", ["entity_id"]))
-    return rounded(row.select(*_EST_COLS)).withColumn("pairs_that_differ", F.lit(diff).cast("long"))
+    return rounded(index.running_estimate().select(*_EST_COLS)).withColumn("pairs_that_differ", F.lit(diff).cast("long"))
 
 
 @query("SELECT count(DISTINCT event_id)::BIGINT AS kept, count(DISTINCT event_id)::BIGINT AS entities FROM events")
@@ -472,3 +494,11 @@ def stream_stateful_buckets(spark, d):
     keys = I.keyed(_as_stream(r, 2, "rec_id"), R.REGISTRY, 4, 4)
     b = keys.select(F.posexplode("keys").alias("tbl", "key"), "rec_id")
     return I.run_to_end(I.stateful_pairs(b)).distinct()
+
+
+@query("SELECT DISTINCT least(x.event_id, y.event_id) AS id_a, greatest(x.event_id, y.event_id) AS id_b FROM events x JOIN events y ON x.user_id = y.user_id AND x.event_type = y.event_type AND x.event_id < y.event_id AND abs(epoch_ms(x.ts) - epoch_ms(y.ts)) <= 86400000")
+def stream_expiring_buckets(spark, d):
+    """T5: buckets as state that leaves a day after its events: pairs of equal events of a user within a day."""
+    e = _day_events(spark, d)
+    b = _as_stream(e, 3, "ts").select(F.lit(0).alias("tbl"), F.xxhash64("user_id", "event_type").alias("key"), F.col("event_id").alias("rec_id"), "ts")
+    return I.run_to_end(I.expiring_pairs(b, "ts", 86_400)).distinct()

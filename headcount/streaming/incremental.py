@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from headcount.functions.hashing import minhash
 from headcount.operators import observed, sampling
 from headcount.operators.components import components_auto
-from headcount.sources.storage import shared_dir
+from headcount.sources.storage import dropped, shared_dir, stored
 from headcount.sources.tables import RecordSpec
 
 
@@ -27,12 +27,14 @@ def keyed(stream: DataFrame, spec: RecordSpec, k: int, tables: int, seed: int =
 
 class PairIndex:
     """A bucket table in storage that grows by micro-batches. Each batch is joined with itself and with what is stored;
-    bucket rows and pairs of a batch are written under its number, so a repeated batch replaces its own output."""
+    what a batch makes is written under its number, so a repeated batch replaces its own output.
 
-    def __init__(self, spark: SparkSession, matched: DataFrame | None = None):
-        self.spark, self.matched = spark, matched
+    With ``truth`` (rec_id, entity) and ``known`` (id_a, id_b) the estimate is kept up too: a batch labels its own pairs only, its
+    matches join components of the batch before it, and its hits add to the tally that p is read from."""
+
+    def __init__(self, spark: SparkSession, truth: DataFrame | None = None, known: DataFrame | None = None):
+        self.spark, self.truth, self.known = spark, truth, known
         self.base = shared_dir(spark)
-        self.n_records, self.hits = 0, 0
 
     def _write(self, df: DataFrame, table: str, batch: int) -> None:
         df.write.mode("overwrite").parquet(f"{self.base}/{table}/batch={batch}")
@@ -60,6 +62,39 @@ class PairIndex:
             j = j.where(F.array_position(agree, True) == F.col("x.tbl") + 1)
             pairs = pairs.union(j.select(F.least("x.rec_id", "y.rec_id").alias("id_a"), F.greatest("x.rec_id", "y.rec_id").alias("id_b")))
         self._write(pairs.distinct(), "pairs", batch)
+        if self.truth is not None:
+            self._grow(self.spark.read.parquet(f"{self.base}/pairs/batch={batch}"), now, batch)
+
+    def _grow(self, fresh: DataFrame, now: DataFrame, batch: int) -> None:
+        """Components and tallies after a batch from those before it and the batch's own pairs."""
+        from headcount.operators.labelling import label_by_truth
+
+        matched = stored(label_by_truth(fresh, self.truth, "rec_id", "entity").where("is_match").select("id_a", "id_b"), "fresh")
+        before = self._read("components", batch)
+        empty = self.spark.createDataFrame([], "rec_id long, component long")
+        # every batch writes all components, so the batch before holds the last state
+        before = before.where(F.col("batch") == batch - 1).select("rec_id", "component") if before is not None else empty
+        ends = matched.select(F.posexplode(F.array("id_a", "id_b")).alias("side", "rec_id"), F.struct("id_a", "id_b").alias("edge"))
+        ends = ends.join(before, "rec_id", "left").select("side", "rec_id", "edge", F.coalesce("component", "rec_id").alias("at"))
+        contracted = ends.groupBy("edge").agg(F.min("at").alias("id_a"), F.max("at").alias("id_b")).where("id_a <> id_b").select("id_a", "id_b").distinct()
+        joined = stored(components_auto(stored(contracted, "contracted")).select(F.col("rec_id").alias("at"), F.col("component").alias("to")), "joined")
+        vertices = before.union(ends.where(F.col("at") == F.col("rec_id")).select("rec_id", "at")).distinct()
+        after = vertices.select("rec_id", F.col("component").alias("at")).join(joined, "at", "left").select("rec_id", F.coalesce("to", "at").alias("component"))
+        self._write(after, "components", batch)
+        hits = fresh.join(self.known, ["id_a", "id_b"], "left_semi").agg(F.count("*").alias("hits"))
+        n = now.agg(F.count_distinct("rec_id").alias("n_records"))
+        self._write(n.crossJoin(hits), "tally", batch)  # one row each
+        dropped(matched, joined)
+
+    def running_estimate(self) -> DataFrame:
+        """The estimate as of the last batch, from what its increments left: no pair is labelled and no component found anew."""
+        comps = self.spark.read.parquet(f"{self.base}/components")
+        last = comps.agg(F.max("batch")).first()[0]
+        t = self.spark.read.parquet(f"{self.base}/tally").agg(F.sum("n_records").alias("n"), F.sum("hits").alias("hits")).first()
+        seen = self.spark.read.parquet(f"{self.base}/buckets").select("rec_id").distinct()
+        arrived = self.known.join(seen.toDF("id_a"), "id_a", "left_semi").join(seen.toDF("id_b"), "id_b", "left_semi").count()
+        comps = comps.where(F.col("batch") == (-1 if last is None else last))
+        return observed.estimate_row(observed.size_histogram(comps, t["n"]), t["hits"] / arrived if arrived else None)
 
     def pairs(self) -> DataFrame:
         return self.spark.read.parquet(f"{self.base}/pairs").select("id_a", "id_b").distinct()
@@ -122,6 +157,39 @@ def stateful_pairs(buckets: DataFrame, keep_last: int = 0) -> DataFrame:
     return buckets.groupBy("tbl", "key").applyInPandasWithState(members, "id_a long, id_b long", "members array<long>", "append", "NoTimeout")
 
 
+def _members_in_time(key, frames: Iterator[pd.DataFrame], state, span: int) -> Iterator[pd.DataFrame]:
+    """Pairs of a bucket's members at most ``span`` milliseconds apart; older members and idle buckets leave the state."""
+    if state.hasTimedOut:
+        state.remove()
+        return
+    held = list(zip(*state.get, strict=True)) if state.exists else []
+    out = []
+    for f in frames:
+        for r, at in zip(f["rec_id"].tolist(), f["at_ms"].tolist(), strict=True):
+            out += [(min(r, h), max(r, h)) for h, then in held if h != r and abs(at - then) <= span]
+            held.append((r, at))
+    now = state.getCurrentWatermarkMs()
+    held = [(h, then) for h, then in held if then >= now - span]
+    if held:
+        state.update(tuple(list(c) for c in zip(*held, strict=True)))
+        state.setTimeoutTimestamp(max(now, max(then for _, then in held)) + span + 1)
+    elif state.exists:
+        state.remove()
+    yield pd.DataFrame(out, columns=["id_a", "id_b"])
+
+
+def expiring_pairs(buckets: DataFrame, ts: str, seconds: int, late: str = "1 hour") -> DataFrame:
+    """T5 with a time limit: pairs of a stream of (tbl, key, rec_id, ts) that share a bucket at most so many seconds apart. A member
+    is held until the watermark has passed it by that much, so the state follows the arrival rate and not the length of the
+    stream; rows later than the watermark are lost to it."""
+
+    def members(key, frames, state):
+        return _members_in_time(key, frames, state, seconds * 1000)
+
+    b = buckets.select("tbl", "key", "rec_id", F.unix_millis(ts).alias("at_ms"), F.col(ts).alias("_ts")).withWatermark("_ts", late)
+    return b.groupBy("tbl", "key").applyInPandasWithState(members, "id_a long, id_b long", "members array<long>, at array<long>", "append", "EventTimeTimeout")
+
+
 def run_to_end(df: DataFrame) -> DataFrame:
     """Run a finite stream to its end into a Parquet sink in shared storage, exactly once per batch, and read it back."""
     base = shared_dir(df.sparkSession)
