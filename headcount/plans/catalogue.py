@@ -18,7 +18,7 @@ from headcount.operators import observed as O
 from headcount.operators import sampling as P
 from headcount.operators.components import components, components_auto, components_propagated
 from headcount.sources import tables as R
-from headcount.sources.storage import stored
+from headcount.sources.storage import dealt, stored
 
 from . import twins as W
 from .estimate import Sampler, estimate_unique_entities, rounded
@@ -50,7 +50,7 @@ def _joined(c: str) -> str:
 
 @query(f"WITH t AS (SELECT doc_id, {W.norm('text')} AS s FROM documents), g AS (SELECT doc_id, {W.grams('s', 5)} AS g FROM t) SELECT doc_id, len(g)::BIGINT AS n_grams, md5({_joined('g')}) AS digest FROM g")
 def gram_sets_documents(spark, d):
-    g = R.table(spark, d, "documents").select("doc_id", S.char_grams(S.normalise("text"), 5).alias("g"))
+    g = dealt(R.table(spark, d, "documents")).select("doc_id", S.char_grams(S.normalise("text"), 5).alias("g"))
     return g.select("doc_id", F.size("g").cast("long").alias("n_grams"), F.md5(F.array_join(F.sort_array("g"), "|").cast("binary")).alias("digest"))
 
 

@@ -45,9 +45,11 @@ def _all(rows: list[DataFrame]) -> DataFrame:
 def kl_rows(df: DataFrame, spec: R.RecordSpec, grid, seeds=(1,), mode: str = "native", known: DataFrame | None = None) -> DataFrame:
     """Per (K, L, seed): sample, share, p, uncorrected count, estimate, closed-form error."""
     rows = []
+    sets = stored(spec.sets(df, mode), "sets")
+    known = known if known is not None else stored(L.truth_pairs(sets, "rec_id", "entity"), "known")
     for k, t in grid:
         for seed in seeds:
-            r = estimate_unique_entities(df, spec, Sampler(k, t, seed, mode), labelled=known)
+            r = estimate_unique_entities(df, spec, Sampler(k, t, seed, mode), labelled=known, sets=sets)
             rows.append(r.select("k", "l", F.lit(seed).alias("seed"), "m_pairs", M.sample_share("m_pairs", "m_records").alias("share_percent"), "p", "observed", "estimate", "sd", "lo", "hi", "m_records"))
     return _all(rows)
 

@@ -30,6 +30,20 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{base}/hc-{uuid.uuid4().hex}"
 
 
+#: Bytes of a table per core below which it is dealt out: the least split Spark makes of a file.
+LEAST_SPLIT = 4 << 20
+
+
+def dealt(df: DataFrame) -> DataFrame:
+    """``df`` as it is, or, where it has less than the least split a core, dealt evenly over the cores.
+
+    A small table is often a single row group, which one task reads; all that follows without a shuffle would stay in that task.
+    The shuffle is of 4 MB a core at most, and larger tables, whose splits keep the cores busy, have none."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(cores) if size < cores * LEAST_SPLIT else df
+
+
 def stored(df: DataFrame, name: str = "t") -> DataFrame:
     """Write ``df`` to shared storage once and read it back."""
     path = f"{shared_dir(df.sparkSession)}-{name}"
