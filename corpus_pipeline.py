@@ -14,7 +14,7 @@ from headcount.llm.jaccard_join import drop_near_duplicates
 from headcount.llm.packing import pack_documents
 from headcount.llm.quality_rules import filter_quality
 from headcount.llm.secrets import redact_secrets
-from headcount.sources.storage import stored
+from headcount.sources.storage import dealt, stored
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,7 +55,7 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = dealt(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     for name, stage in STAGES:
         docs = stored(stage(spark, docs, sf_dir), name)
     return docs
