@@ -59,6 +59,7 @@ def test_known_and_sampled_pairs(spark, monkeypatch):
 WRITES_NO_SETS = [
     "estimate_by_lang",
     "estimate_by_list",
+    "estimate_documents",
 ]
 
 
