@@ -10,6 +10,7 @@ from headcount.operators import labelling as L
 from headcount.operators import observed as O
 from headcount.operators import sampling as P
 from headcount.operators.components import components_auto
+from headcount.operators.textsets import TextSets
 from headcount.sources import pairsource
 from headcount.sources import tables as R
 from headcount.sources.shipping import ship
@@ -17,7 +18,7 @@ from headcount.sources.storage import stored
 
 from . import twins as W
 from .catalogue import _EST_COLS, _MATCHED, _ROWS, _contained
-from .estimate import Sampler, rounded
+from .estimate import rounded
 
 QUERIES: dict = {}
 TWINS: dict[str, str] = {}
@@ -47,11 +48,9 @@ def _twin(source: str) -> str:
 
 def _estimate(records):
     """The estimate of a table of texts; p is measured on all pairs of similarity .7, found by an exact join."""
-    s = stored(R.DOCUMENTS.sets(records, "portable"), "sets")
-    pairs = stored(Sampler(4, 4, mode="portable").pairs(s), "pairs")
-    matched = stored(L.label_by_threshold(pairs, s, "rec_id", "tokens", 0.7).where("is_match").select("id_a", "id_b"), "matched")
-    p = L.edge_recall(pairs, R.similar_pairs(s, 0.7).where("is_match"))
-    return rounded(O.estimate_row(O.size_histogram(components_auto(matched), s.count()), p).select(*_EST_COLS))
+    t = TextSets(records, R.DOCUMENTS)
+    p = t.recall(t.known(0.7)).first()["p"]
+    return rounded(O.estimate_row(t.histogram(t.matched(0.7)), p).select(*_EST_COLS))
 
 
 @query(_twin(_PAGES))

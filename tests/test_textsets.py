@@ -61,6 +61,7 @@ WRITES_NO_SETS = [
     "estimate_by_list",
     "estimate_documents",
     "estimate_documents_native",
+    "estimate_pages",
 ]
 
 
