@@ -62,6 +62,7 @@ WRITES_NO_SETS = [
     "estimate_documents",
     "estimate_documents_native",
     "estimate_pages",
+    "labelled_recall",
 ]
 
 
