@@ -63,6 +63,7 @@ WRITES_NO_SETS = [
     "estimate_documents_native",
     "estimate_pages",
     "labelled_recall",
+    "labelled_recall_by_keys",
 ]
 
 
