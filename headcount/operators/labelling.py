@@ -56,9 +56,11 @@ def edge_recall_by_keys(keys: DataFrame, matched: DataFrame, id_col: str = "rec_
     return row.withColumn("p", F.when(F.col("n_labelled") > 0, F.col("hits") / F.col("n_labelled")))
 
 
-def modelled_recall(similarities: DataFrame, k: int, tables: int) -> DataFrame:
-    """p as the retrieval formula implies it for labelled matches: a diagnostic."""
-    return similarities.agg(F.avg(1 - F.pow(1 - F.pow("similarity", F.lit(k)), F.lit(tables))).alias("p_model"))
+def modelled_recall(similarities: DataFrame, k: int, tables: int, weight: str | None = None) -> DataFrame:
+    """p as the retrieval formula implies it for labelled matches: a diagnostic. A row counts ``weight`` times, or once."""
+    w = F.col(weight) if weight else F.lit(1)
+    p = 1 - F.pow(1 - F.pow("similarity", F.lit(k)), F.lit(tables))
+    return similarities.agg((F.sum(p * w) / F.sum(w)).alias("p_model"))
 
 
 def bootstrap_recall(pairs: DataFrame, matched: DataFrame, rounds: int = 200, seed: int = 0) -> DataFrame:

@@ -64,6 +64,7 @@ WRITES_NO_SETS = [
     "estimate_pages",
     "labelled_recall",
     "labelled_recall_by_keys",
+    "model_implied_recall",
 ]
 
 
