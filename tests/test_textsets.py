@@ -66,6 +66,7 @@ WRITES_NO_SETS = [
     "labelled_recall_by_keys",
     "model_implied_recall",
     "partial_label_documents",
+    "clique_check",
 ]
 
 
