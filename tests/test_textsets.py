@@ -67,6 +67,7 @@ WRITES_NO_SETS = [
     "model_implied_recall",
     "partial_label_documents",
     "clique_check",
+    "estimate_turns",
 ]
 
 
