@@ -68,6 +68,7 @@ WRITES_NO_SETS = [
     "partial_label_documents",
     "clique_check",
     "estimate_turns",
+    "observed_histogram",
 ]
 
 
