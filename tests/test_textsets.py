@@ -69,6 +69,7 @@ WRITES_NO_SETS = [
     "clique_check",
     "estimate_turns",
     "observed_histogram",
+    "threshold_labels",
 ]
 
 
