@@ -70,6 +70,7 @@ WRITES_NO_SETS = [
     "estimate_turns",
     "observed_histogram",
     "threshold_labels",
+    "components_lsh",
 ]
 
 
