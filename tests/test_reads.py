@@ -7,6 +7,7 @@ import __spark_entry__ as entry
 READS = [
     ("clique_contributions", "lineitem"),
     ("component_weights_c6", "lineitem"),
+    ("expected_histogram", "lineitem"),
 ]
 
 
