@@ -8,6 +8,7 @@ READS = [
     ("clique_contributions", "lineitem"),
     ("component_weights_c6", "lineitem"),
     ("expected_histogram", "lineitem"),
+    ("hash_cost", "lineitem"),
 ]
 
 
