@@ -9,6 +9,7 @@ READS = [
     ("component_weights_c6", "lineitem"),
     ("expected_histogram", "lineitem"),
     ("hash_cost", "lineitem"),
+    ("recover_counts", "lineitem"),
 ]
 
 
