@@ -10,6 +10,7 @@ READS = [
     ("expected_histogram", "lineitem"),
     ("hash_cost", "lineitem"),
     ("recover_counts", "lineitem"),
+    ("reduction_ratio", "lineitem"),
 ]
 
 
