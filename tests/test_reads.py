@@ -11,6 +11,7 @@ READS = [
     ("hash_cost", "lineitem"),
     ("recover_counts", "lineitem"),
     ("reduction_ratio", "lineitem"),
+    ("rel_cte_recursive", "orders"),
 ]
 
 
