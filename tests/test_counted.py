@@ -7,7 +7,7 @@ from headcount.operators import sampling as P
 from headcount.sources import tables as R
 
 
-@pytest.mark.parametrize("name", ["bucket_stats", "bucket_table"])
+@pytest.mark.parametrize("name", ["bucket_stats", "bucket_table", "candidates_per_record"])
 def test_registry_buckets_come_from_texts(spark, tiny, monkeypatch, name):
     monkeypatch.setattr(R.RecordSpec, "sets", lambda *a, **b: pytest.fail("sets by interpreted functions"))
     monkeypatch.setattr(P, "candidates_per_record", lambda *a: pytest.fail("holds lists"))
