@@ -78,3 +78,28 @@ WRITES_NO_SETS = [
 def test_no_set_is_written(spark, tiny, monkeypatch, name):
     monkeypatch.setattr(RecordSpec, "sets", lambda *a, **b: pytest.fail("gram sets take several times the room of the texts"))
     assert entry.queries()[name](spark, tiny).count()
+
+
+@pytest.mark.parametrize(("rows", "theta"), [(7, 0.7), (7, 0.4), (1000, 0.7)])
+def test_near_pairs_are_all_pairs(spark, monkeypatch, rows, theta):
+    from pyspark.sql.group import GroupedData
+
+    monkeypatch.setattr(X, "BLOCK", rows)
+    monkeypatch.setattr(X, "BYTES", 1)
+    monkeypatch.setattr(GroupedData, "applyInArrow", lambda *a: pytest.fail("a block is shuffled to every cell it meets"))
+    rng = np.random.default_rng(6)
+    sets = [np.unique(rng.integers(0, 1 << 31, n)) for n in (3, 40, 44, 90, 200, 1500, 1600, 90_000)]
+    sets += [np.unique(np.concatenate([s[: int(len(s) * f)], rng.integers(0, 1 << 31, len(s) // 20)])) for s in sets for f in (1.0, 0.9, 0.75, 0.5)]
+    n = np.array(list(map(len, sets)))
+    bits = G.parities(np.concatenate(sets), n)
+    df = spark.createDataFrame([(i, i % 2, int(n[i]), bits[i].tolist()) for i in range(len(sets))], "rec_id long, grp long, n int, bits array<long>")
+
+    def near(i, j):
+        w, most = min(len(bits[i]), len(bits[j])), (n[i] + n[j]) * (1 - theta) / (1 + theta) + 1e-6
+        apart = np.bitwise_count((G.folded(bits[i][None], w) ^ G.folded(bits[j][None], w)).view(np.uint64)).sum()
+        return (i - j) % 2 == 0 and apart <= most
+
+    got = [tuple(r) for r in X.near_pairs(df, theta).collect()]
+    want = {(i, j) for j in range(len(sets)) for i in range(j) if near(i, j) and min(n[i], n[j]) >= theta * max(n[i], n[j])}
+    assert want <= set(got) and len(got) == len(set(got)) and len(want) > 10
+    assert all(near(*p) for p in got)  # sizes may be let through, never held back
